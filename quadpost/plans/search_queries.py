@@ -8,6 +8,7 @@ from quadpost.operators import corpus, search
 from quadpost.operators.index import build_index
 from quadpost.plans import sql
 from quadpost.sources import tables
+from quadpost.sources.shared import written
 
 QUERIES, ORACLES = {}, {}
 
@@ -23,10 +24,10 @@ def query(name: str, oracle: str | None = None):
 
 
 def prepared(spark, d, codec: str = "quad_selector", collection: str = "documents"):
-    """(searcher, asked terms) over a collection."""
-    docs = tables.collection(spark, d, collection)
-    found = corpus.postings(docs)
-    searcher = search.Searcher(build_index(found, codec), found.groupBy("doc_id").agg(F.sum("tf").alias("len")))
+    """(searcher, asked terms) over a collection. The index and the lengths are tables, as a search engine has them."""
+    found = written(corpus.postings(tables.collection(spark, d, collection)), "postings")
+    lengths = written(found.groupBy("doc_id").agg(F.sum("tf").alias("len")), "lengths")
+    searcher = search.Searcher(written(build_index(found, codec), "index"), lengths)
     return searcher, search.query_terms(tables.table(spark, d, "benchmark"), corpus.dictionary(found), searcher.n_docs)
 
 

@@ -36,14 +36,14 @@ def q_event_gaps(spark, d):
     """Seconds between neighbouring events of a type."""
     from pyspark.sql import Window as W
 
-    e = tables.table(spark, d, "events").select("event_type", "event_id", F.unix_timestamp("ts").alias("s"))
+    e = tables.table(spark, d, "events").select("event_type", "event_id", F.unix_seconds(F.col("ts").cast("timestamp")).alias("s"))
     return e.select("event_type", "event_id", F.coalesce(F.col("s") - F.lag("s").over(W.partitionBy("event_type").orderBy("s", "event_id")), F.lit(0)).alias("gap"))
 
 
 @query("q_win_tumbling", "SELECT cast(epoch(date_trunc('hour', ts)) AS BIGINT) AS start, event_type, count(*) AS events, count(DISTINCT user_id) AS users FROM events GROUP BY ALL")
 def q_win_tumbling(spark, d):
     w = tables.table(spark, d, "events").groupBy(F.window("ts", "1 hour").alias("w"), "event_type").agg(F.count("*").alias("events"), F.count_distinct("user_id").alias("users"))
-    return w.select(F.unix_timestamp("w.start").alias("start"), "event_type", "events", "users")
+    return w.select(F.unix_seconds(F.col("w.start").cast("timestamp")).alias("start"), "event_type", "events", "users")
 
 
 @query(
@@ -52,7 +52,7 @@ def q_win_tumbling(spark, d):
 )
 def q_win_sliding(spark, d):
     w = tables.table(spark, d, "events").groupBy(F.window("ts", "1 hour", "15 minutes").alias("w")).agg(F.count("*").alias("events"))
-    return w.select(F.unix_timestamp("w.start").alias("start"), "events")
+    return w.select(F.unix_seconds(F.col("w.start").cast("timestamp")).alias("start"), "events")
 
 
 @query(
@@ -62,7 +62,7 @@ def q_win_sliding(spark, d):
 )
 def q_win_session(spark, d):
     w = tables.table(spark, d, "events").groupBy(F.session_window("ts", "2 hours").alias("w"), "user_id").agg(F.count("*").alias("events"))
-    return w.select("user_id", F.unix_micros("w.start").alias("start"), "events")
+    return w.select("user_id", F.unix_micros(F.col("w.start").cast("timestamp")).alias("start"), "events")
 
 
 _GAP_ROWS = sql.ROWS.format(values="gap")
