@@ -35,24 +35,35 @@ BLOCK = 4096
 HELD_LINKS = 200_000
 
 
-def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
-    """The unsigned 64-bit fingerprint."""
+def shingle_hashes(text: str | None, shingle: int) -> np.ndarray:
+    """The unsigned XXH64 of every shingle of the text, repeats included."""
     words = (text or "").encode("utf-8", "surrogatepass").lower().split()
     if not words:
-        return 0
+        return np.zeros(0, np.uint64)
     digest = xxhash.xxh64_intdigest
-    if len(words) <= shingle:
-        return digest(b" ".join(words), SEED)
     joined = b" ".join(words)
+    if len(words) <= shingle:
+        return np.array([digest(joined, SEED)], np.uint64)
     ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1)
     starts = np.concatenate([[0], ends[:-1]])[: len(words) - shingle + 1].tolist()
     stops = (ends[shingle - 1 :] - 1).tolist()
-    n = len(starts)
-    hashed = np.fromiter((digest(joined[a:b], SEED) for a, b in zip(starts, stops, strict=True)), np.uint64, n)
+    return np.fromiter((digest(joined[a:b], SEED) for a, b in zip(starts, stops, strict=True)), np.uint64, len(starts))
+
+
+def majority(hashed: np.ndarray, even: bool = False) -> int:
+    """The bits that over half of the hashes have; zero of none. ``even``: a tied bit is the least hash's, so that few shingles do not mean few bits."""
     votes = np.zeros(64, np.int64)
-    for i in range(0, n, 8192):
+    for i in range(0, len(hashed), 8192):
         votes += np.unpackbits(hashed[i : i + 8192].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
-    return int(np.packbits(2 * votes > n, bitorder="little").view("<u8")[0])
+    bits = 2 * votes > len(hashed)
+    if even and len(hashed):
+        bits |= (2 * votes == len(hashed)) & np.unpackbits(hashed.min(keepdims=True).view(np.uint8), bitorder="little").astype(bool)
+    return int(np.packbits(bits, bitorder="little").view("<u8")[0])
+
+
+def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
+    """The unsigned 64-bit fingerprint."""
+    return majority(shingle_hashes(text, shingle))
 
 
 def _fingerprints(shingle: int):
@@ -159,5 +170,88 @@ def classes(docs: DataFrame, shingle: int = SHINGLE, radius: int = RADIUS) -> Da
     return marks.join(rooted.select("fp", "root").join(named, "root").drop("root"), "fp").select("doc_id", "fp", "component_id")
 
 
+# --- wide fingerprints: near copies by similarity ---------------------------------------------------------------------
+
+#: Five-word shingles of Jaccard similarity 0.8 have a cosine of 2 * 0.8 / 1.8; two such texts differ in
+#: arccos(0.889) / pi of a fingerprint's bits, 19.3 of 128 on average with a deviation of 4. Unrelated texts
+#: differ in 64 with a deviation of 5.7. The radius lies between: 2 deviations above one, 6.4 below the other.
+WIDE_SHINGLE, WIDE_RADIUS = 5, 28
+#: Distinct fingerprints of one group; every pair of groups is one task.
+GROUP = 32_768
+_TILE = 1024
+
+
+def _second(hashed: np.ndarray) -> np.ndarray:
+    """Hashes for the second 64 bits from those for the first."""
+    x = (hashed ^ (hashed >> np.uint64(31))) * np.uint64(0x9E3779B97F4A7C15)
+    x = (x ^ (x >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
+    return x ^ (x >> np.uint64(32))
+
+
+def wide_fingerprint(text: str | None, shingle: int = WIDE_SHINGLE) -> tuple[int, int]:
+    hashed = shingle_hashes(text, shingle)
+    return majority(hashed, True), majority(_second(hashed), True)
+
+
+def _wide(shingle: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            marks = np.array([wide_fingerprint(t.as_py(), shingle) for t in batch.column(1)], np.uint64).reshape(-1, 2).view(np.int64)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(marks[:, 0]), pa.array(marks[:, 1])], ["doc_id", "a", "b"])
+
+    return run
+
+
+def _compare_groups(radius: int):
+    """All pairs between two groups (or within one), tile by tile in the order of population counts."""
+
+    def side(table: pa.Table):
+        ids, a, b = (np.array(table.column(n)) for n in ("id", "a", "b"))
+        a, b = a.view(np.uint64), b.view(np.uint64)
+        count = np.bitwise_count(a).astype(np.int64) + np.bitwise_count(b)
+        order = np.argsort(count, kind="stable")
+        return ids[order], a[order], b[order], count[order]
+
+    def run(key, table):
+        low, high = (k.as_py() for k in key)
+        group = np.array(table.column("g"))
+        left = side(table.filter(pa.array(group == low)))
+        right = left if low == high else side(table.filter(pa.array(group == high)))
+        forest, out = Forest(), []
+        for i in range(0, len(left[0]), _TILE):
+            ids, a, b, count = (x[i : i + _TILE] for x in left)
+            begin, end = np.searchsorted(right[3], [count[0] - radius, count[-1] + radius + 1])
+            for j in range(max(begin, i) if low == high else begin, end, _TILE):
+                z = min(end, j + _TILE)
+                x, y = np.nonzero(np.bitwise_count(a[:, None] ^ right[1][None, j:z]) <= radius)
+                far = np.bitwise_count(a[x] ^ right[1][j:z][y]).astype(np.int64) + np.bitwise_count(b[x] ^ right[2][j:z][y])
+                near = (far <= radius) & (ids[x] != right[0][j:z][y])
+                forest.join(ids[x[near]], right[0][j:z][y[near]])
+                if len(forest.up) >= HELD_LINKS:
+                    out.append(forest.edges())
+        out.append(forest.edges())
+        return pa.Table.from_batches(out)
+
+    return run
+
+
+def wide_classes(docs: DataFrame, shingle: int = WIDE_SHINGLE, radius: int = WIDE_RADIUS) -> DataFrame:
+    """(doc_id, component_id) for every row: classes of texts whose 128-bit fingerprints are linked within the radius.
+
+    Distinct fingerprints are dealt to groups of a fixed size and compared group by
+    group; the comparisons grow with the square of their number, the memory of a task does not.
+    """
+    marks = written(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(_wide(shingle), "doc_id long, a long, b long").withColumn("id", F.xxhash64("a", "b")), "wide-fingerprints")
+    nodes = marks.groupBy("id", "a", "b").agg(F.min("doc_id").alias("least"))
+    groups = -(-nodes.count() // GROUP) or 1
+    dealt = nodes.select("id", "a", "b", F.pmod(F.xxhash64("id", F.lit(7)), F.lit(groups)).cast("int").alias("g"))
+    paired = dealt.withColumn("o", F.explode(F.sequence(F.lit(0), F.lit(groups - 1)))).select("id", "a", "b", "g", F.least("g", "o").alias("low"), F.greatest("g", "o").alias("high"))
+    edges = paired.groupBy("low", "high").applyInArrow(_compare_groups(radius), "u long, v long")
+    roots = stars(edges)
+    rooted = nodes.select("id", "least").join(roots, F.col("id") == F.col("node"), "left").select("id", "least", F.coalesce("root", "id").alias("root"))
+    named = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
+    return marks.join(rooted.select("id", "root").join(named, "root").drop("root"), "id").select("doc_id", "component_id")
+
+
 def hex_digits(fp: Column) -> Column:
     return F.lower(F.lpad(F.hex(fp), 16, "0"))
