@@ -31,7 +31,7 @@ from quadpost.llm.staging import written
 WINDOW, END_ID = 2048, 1
 OPEN_WINDOWS = 64
 #: Partitions whose leftovers are merged in one task: at most so many times OPEN_WINDOWS windows of ids.
-MERGED_PARTITIONS = 64
+MERGED_PARTITIONS = 16
 #: A partition numbers its windows from its own number times this.
 NUMBERS = 1 << 36
 _ROWS = 8192

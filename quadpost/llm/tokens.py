@@ -1,48 +1,38 @@
-"""Token ids of a public byte-level BPE vocabulary, with a bounded cache of word pieces.
+"""Token ids of a public byte-level BPE vocabulary.
 
-Between two characters that are not white space, a single space always starts a
-new piece for this family of tokenizers, so a text cut there has the ids of its
-parts in order. Texts with other white space around a space are encoded whole.
+The vocabulary comes as a file of merges (.json, read by tokenizers) and as a file
+of ranks (.tiktoken). Both give the same ids; the second reader is about four times
+as fast, so it is the default. Strings of special tokens in a text are ordinary text.
 """
 
 from __future__ import annotations
 
+import base64
 import os
-import re
 
 import numpy as np
 
-CACHE_PIECES = 200_000
-_ODD_SPACE = re.compile(r"\s |  | \s|^ | $")
-
 
 class Encoder:
     def __init__(self, path: str):
-        os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        from tokenizers import Tokenizer
-
-        self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
-        self.cache: dict[str, bytes] = {}
-
-    def _encode(self, texts: list[str]) -> list[bytes]:
-        return [np.array(e.ids, np.uint32).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+        self.path = path
+        if path.endswith(".tiktoken"):
+            import public_tokenizers
+            import tiktoken
+
+            with open(path, "rb") as lines:
+                ranks = {base64.b64decode(token): int(rank) for token, rank in map(bytes.split, lines)}
+            self._ids = tiktoken.Encoding("byte_bpe", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
+        else:
+            os.environ["TOKENIZERS_PARALLELISM"] = "false"
+            from tokenizers import Tokenizer
+
+            tokenizer = Tokenizer.from_file(path)
+            tokenizer.encode_special_tokens = True
+            self._ids = lambda text: tokenizer.encode(text, add_special_tokens=False).ids
 
     def ids(self, text: str) -> np.ndarray:
-        if not text:
-            return np.zeros(0, np.uint32)
-        if _ODD_SPACE.search(text):
-            return np.frombuffer(self._encode([text])[0], np.uint32)
-        first, *rest = text.split(" ")
-        parts = [first, *[" " + p for p in rest]]
-        cache = self.cache
-        new = [p for p in set(parts) if p not in cache]
-        if new:
-            if len(cache) + len(new) > CACHE_PIECES:
-                cache.clear()
-                new = list(set(parts))
-            cache.update(zip(new, self._encode(new), strict=True))
-        return np.frombuffer(b"".join(map(cache.__getitem__, parts)), np.uint32)
+        return np.array(self._ids(text), np.uint32)
 
 
 _encoders: dict[str, Encoder] = {}
@@ -57,4 +47,4 @@ def encoder(path: str) -> Encoder:
 def default_path() -> str:
     import public_tokenizers
 
-    return public_tokenizers.path("byte_bpe_50k.json")
+    return public_tokenizers.path("byte_bpe_50k.tiktoken")
