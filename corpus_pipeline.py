@@ -36,7 +36,7 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each class of near-duplicates (five-word shingles, similarity 0.8) the document with the smallest doc_id stays, once."""
     found = simhash.wide_classes(docs).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id").distinct()
     stays = docs.join(found.withColumnRenamed("doc_id", "_keep"), F.col("doc_id").eqNullSafe(F.col("_keep")), "left_semi")
-    return _documents(stays.dropDuplicates(["doc_id"]))
+    return _documents(stays.withColumn("_text", F.xxhash64("text")).dropDuplicates(["doc_id", "_text"]))
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -89,9 +89,9 @@ def assign_shards(df: DataFrame, key: str, size: Column, limit: int) -> DataFram
     placed = (
         rows.withColumn("_q_spot", spots)
         .withColumns({"_q_high": F.col("_q_spot.high"), "_q_cell": F.col("_q_spot.cell")})
-        .join(found.withColumnsRenamed({"high": "_q_high", "cell": "_q_cell", "rows": "_q_rows", "one_key": "_q_one"}), ["_q_high", "_q_cell"])
+        .join(found.withColumnsRenamed({"high": "_q_high", "cell": "_q_cell", "prefix": "_q_prefix", "rows": "_q_rows", "one_key": "_q_one"}), ["_q_high", "_q_cell"])
     )
-    out = placed.withColumn("shard", F.when(F.col("depth") == 0, F.lit("")).otherwise(F.lpad(F.bin("prefix"), F.col("depth"), F.lit("0"))))
+    out = placed.withColumn("shard", F.when(F.col("depth") == 0, F.lit("")).otherwise(F.lpad(F.bin("_q_prefix"), F.col("depth"), F.lit("0"))))
     out = out.withColumn("_q_chain", F.col("_q_one") & (F.col("_q_rows") > 1) & (F.col("shard_bytes") > limit))
     plain = out.where(~F.col("_q_chain")).withColumn("page", F.lit(0))
     keep = [c for c in rows.columns if not c.startswith("_q_")]
