@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 _TABLE = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
 WINDOW = 13
 #: Documents and bytes of text that one segment holds at most (one longer document makes its own).
-SEGMENT_DOCS, SEGMENT_BYTES = 4096, 16 << 20
+SEGMENT_DOCS, SEGMENT_BYTES = 4096, 8 << 20
 #: Bytes of benchmark text that one pass over the index asks about; larger sets go in several passes.
 BLOCK_BYTES = 64 << 20
 
@@ -106,9 +106,13 @@ def _segments(vocabulary: dict[bytes, int] | None, min_run: int):
     return run
 
 
+def _narrow(docs: DataFrame) -> DataFrame:
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
+
+
 def build_segments(docs: DataFrame, vocabulary: dict[bytes, int] | None = None, min_run: int = 1) -> DataFrame:
     """The positional index of (doc_id, text) as segment rows; storable as Parquet."""
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(_segments(vocabulary, min_run), SEGMENTS)
+    return _narrow(docs).mapInArrow(_segments(vocabulary, min_run), SEGMENTS)
 
 
 class Postings:
@@ -221,10 +225,13 @@ def vocabulary_of(windows) -> dict[bytes, int]:
     return {w: term_id(w) or 1 for window in windows for w in window}
 
 
+def _asked(windows: dict[tuple[bytes, ...], list[str]]) -> list[tuple[list[int], list[str]]]:
+    return [([term_id(w) or 1 for w in window], ids) for window, ids in windows.items()]
+
+
 def phrase_hits(segments: DataFrame, windows: dict[tuple[bytes, ...], list[str]]) -> DataFrame:
     """Every document of the index, the spans that windows cover in it (start, end, ...) and the items they come from."""
-    asked = [([term_id(w) or 1 for w in window], ids) for window, ids in windows.items()]
-    return segments.mapInArrow(_hits(asked), HITS)
+    return segments.mapInArrow(_hits(_asked(windows)), HITS)
 
 
 def proximity_hits(segments: DataFrame, terms: list[str], within: int) -> DataFrame:
@@ -255,8 +262,9 @@ def contamination(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW, blo
         part = items if blocks == 1 else items.where(F.pmod(F.xxhash64("item_id"), F.lit(blocks)) == b)
         windows = item_windows([tuple(r) for r in part.collect()], size)
         if blocks == 1:
-            segments = build_segments(docs, vocabulary_of(windows), min((len(w) for w in windows), default=1))
-            return phrase_hits(segments, windows).mapInArrow(_digest, DIGESTS)
+            # one Python worker builds, asks and digests its segments
+            build, ask = _segments(vocabulary_of(windows), min((len(w) for w in windows), default=1)), _hits(_asked(windows))
+            return _narrow(docs).mapInArrow(lambda batches: _digest(ask(build(batches))), DIGESTS)
         keyed = docs.select(F.xxhash64("doc_id", "text").alias("doc_id"), "text")
         passes.append(phrase_hits(build_segments(keyed, vocabulary_of(windows), min((len(w) for w in windows), default=1)), windows))
     every = passes[0]
