@@ -73,3 +73,20 @@ def merge_segments(segments: DataFrame, name: str = "quad_selector", size: int =
     if not twice.isEmpty():
         raise ValueError("segments share documents")
     return build_index(segments.select("term", "doc_id", "tf"), name, size)
+
+
+def build_segments(docs: DataFrame, limit: int) -> DataFrame:
+    """Local, uncompressed segments (seg, term, doc_id, tf) of about ``limit`` bytes of text each.
+
+    Documents are dealt to as many segments as the text needs by a hash of their id; one aggregation makes all segments.
+    """
+    total = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    count = max(1, -(-total // limit))
+    dealt = docs.select("doc_id", "text", F.pmod(F.xxhash64("doc_id"), F.lit(count)).cast("int").alias("seg"))
+    words = dealt.select("seg", "doc_id", F.explode(F.split(F.lower("text"), corpus.TOKEN_BREAK)).alias("term")).where("term != ''")
+    return words.groupBy("seg", "term", "doc_id").agg(F.count("*").alias("tf"))
+
+
+def write_segments(segments: DataFrame, path: str) -> None:
+    """One folder per segment; writing again replaces the segments that come, and no others."""
+    segments.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("seg").parquet(path)

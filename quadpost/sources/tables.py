@@ -66,3 +66,17 @@ def relation(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """Postings (term, doc_id, tf) of a relation: which members each key has, and how often."""
     source, key, member = RELATIONS[name]
     return table(spark, sf_dir, source).groupBy(F.col(key).cast("string").alias("term"), F.col(member).cast("long").alias("doc_id")).agg(F.count("*").alias("tf"))
+
+
+def read_texts(spark: SparkSession, path: str, kind: str, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """(doc_id, text) of files of kind parquet, orc, json, csv or text; nothing is inferred.
+
+    A text file's lines have no ids: they get dense ones in the order of their content.
+    """
+    if kind == "text":
+        from quadpost.operators.corpus import dense_doc_ids
+
+        return dense_doc_ids(spark.read.text(path), "value").select(F.col("dense_id").alias("doc_id"), F.col("value").alias("text"))
+    reader = spark.read.schema(f"`{key}` bigint, `{text}` string")
+    found = reader.option("header", "true").option("multiLine", "true").csv(path) if kind == "csv" else reader.format(kind).load(path)
+    return found.select(F.col(key).alias("doc_id"), F.col(text).alias("text"))

@@ -176,3 +176,23 @@ def test_entry(spark):
 
     assert entry.entry(spark).columns == ["query_id", "rank", "doc_id", "score"]
     assert set(registry.queries()) <= set(entry.queries())
+
+
+def test_batch_segments_merge_to_the_same_index(spark, found, tmp_path):
+    from quadpost.operators.index import build_segments, write_segments
+
+    docs = tables.collection(spark, SMALL, "documents")
+    write_segments(build_segments(docs, 100_000), str(tmp_path / "s"))
+    stored = spark.read.schema("term string, doc_id bigint, tf bigint, seg int").parquet(str(tmp_path / "s"))
+    assert stored.select("seg").distinct().count() > 3
+    assert index_bits(merge_segments(stored)).first() == index_bits(build_index(found)).first()
+
+
+@pytest.mark.parametrize("kind", ["json", "csv", "orc", "text"])
+def test_sources(spark, tmp_path, kind):
+    rows = [(0, "alpha beta"), (1, "gamma, \"delta\"")]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string")
+    path = str(tmp_path / kind)
+    {"json": lambda: df.write.json(path), "csv": lambda: df.write.option("header", "true").option("escape", "\"").csv(path), "orc": lambda: df.write.orc(path), "text": lambda: df.select("text").write.text(path)}[kind]()
+    got = sorted(map(tuple, tables.read_texts(spark, path, kind).collect()))
+    assert [i for i, _ in got] == [0, 1] and got[0] == rows[0]
