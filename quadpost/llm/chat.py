@@ -25,6 +25,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
+from quadpost.llm.staging import written
+
 START, TEXT, END = "<|start|>", "<|text|>", "<|end|>"
 #: What a text may not contain as it is: our own marks, and those of common chat templates.
 CONTROL = ("<|", "</s>", "<s>", "[INST]", "[/INST]", "<<SYS>>", "<</SYS>>")
@@ -52,11 +54,14 @@ def chain_messages(turns: DataFrame) -> DataFrame:
 
 
 def reply_paths(messages: DataFrame, best: int = 1) -> DataFrame:
-    """(conv_id, rank, path array of msg_id from root to leaf, score): the ``best`` branches of each conversation."""
+    """(conv_id, rank, path array of msg_id from root to leaf, score): the ``best`` branches of each conversation.
+
+    Every round of joins is a table of its own, so plans stay small however deep the trees are.
+    """
     links = messages.groupBy("conv_id", "msg_id").agg(F.min("parent_id").alias("parent_id"), F.max(F.coalesce("score", F.lit(0.0))).alias("score"))
-    most = links.groupBy("conv_id").count().agg(F.max("count")).first()[0] or 1
     here = F.struct(F.col("conv_id").isNull().alias("no"), F.coalesce(F.col("conv_id"), F.lit(0)).alias("id"))
-    nodes = links.select(here.alias("conv"), "msg_id", "parent_id", "score")
+    nodes = written(links.select(here.alias("conv"), "msg_id", "parent_id", "score"), "messages")
+    most = nodes.groupBy("conv").count().agg(F.max("count")).first()[0] or 1
     parents = nodes.select("conv", F.col("parent_id").alias("msg_id")).where("msg_id IS NOT NULL").distinct()
     leaves = nodes.select("conv", "msg_id").join(parents, ["conv", "msg_id"], "left_anti").select("conv", F.col("msg_id").alias("leaf"))
     part = nodes.select("conv", "msg_id", F.col("parent_id").alias("top"), F.array("msg_id").alias("path"), "score")
@@ -64,9 +69,10 @@ def reply_paths(messages: DataFrame, best: int = 1) -> DataFrame:
     part = part.join(real, ["conv", "top"], "left").select("conv", "msg_id", F.when(F.col("known"), F.col("top")).alias("top"), "path", "score")
     for _ in range(ceil(log2(max(most, 1)))):
         above = part.select("conv", F.col("msg_id").alias("top"), F.col("top").alias("next"), F.col("path").alias("before"), F.col("score").alias("add"))
-        part = part.join(above, ["conv", "top"], "left").select(
+        longer = part.join(above, ["conv", "top"], "left").select(
             "conv", "msg_id", F.col("next").alias("top"), F.concat(F.coalesce("before", F.array().cast("array<bigint>")), "path").alias("path"), (F.col("score") + F.coalesce("add", F.lit(0.0))).alias("score")
         )
+        part = written(longer, "paths")
     branches = part.where("top IS NULL").join(leaves.withColumnRenamed("leaf", "msg_id"), ["conv", "msg_id"], "left_semi")
     conv = F.when(~F.col("conv.no"), F.col("conv.id")).alias("conv_id")
     if best == 1:

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from quadpost.llm import chat, decontamination, html, language, lines, neighbours, packing, sharding, simhash, substrings
+from quadpost.llm.staging import written
 
 #: Bytes of text in a shard of op6_sharding.
 SHARD_BYTES = 1 << 20
@@ -59,7 +60,7 @@ def op9_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     extra = spark.range(2).select(
         F.lit(TEST_CONVERSATION).cast("long").alias("conv_id"), F.col("id").alias("turn"), F.when(F.col("id") == 0, F.lit("user")).otherwise(F.lit("assistant")).alias("role"), F.lit(TEST_TEXT).alias("text")
     )
-    messages = chat.chain_messages(turns.unionByName(extra))
+    messages = written(chat.chain_messages(turns.unionByName(extra)), "conversation-messages")
     made = chat.format_paths(messages, chat.reply_paths(messages)).withColumn("turns", chat.read_turns(F.col("formatted"))).withColumn("loss", chat.read_loss(F.col("formatted"), F.col("loss_spans")))
     digest = F.array_join(F.transform("turns", lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n"))), "")
     return made.select(
