@@ -39,7 +39,7 @@ from quadpost.llm.staging import shuffle_parts, written
 
 WINDOW, GRAM = 50, 6
 #: Different super-k-mers of one minimiser that one salt takes.
-SALTED = 1_000
+SALTED = 20_000
 #: Packed bytes that one bucket should hold.
 BUCKET_BYTES = 8 << 20
 _ODD = np.uint64(0x9E3779B97F4A7C15)
