@@ -172,12 +172,16 @@ def classes(docs: DataFrame, shingle: int = SHINGLE, radius: int = RADIUS) -> Da
 
 # --- wide fingerprints: near copies by similarity ---------------------------------------------------------------------
 
-#: Five-word shingles of Jaccard similarity 0.8 have a cosine of 2 * 0.8 / 1.8; two such texts differ in
-#: arccos(0.889) / pi of a fingerprint's bits, 19.3 of 128 on average with a deviation of 4. Unrelated texts
-#: differ in 64 with a deviation of 5.7. The radius lies between: 2 deviations above one, 6.4 below the other.
-WIDE_SHINGLE, WIDE_RADIUS = 5, 28
-#: Distinct fingerprints of one group; every pair of groups is one task.
+#: Two texts are near copies from this Jaccard similarity of their sets of five-word shingles on. At 0.8 the cosine
+#: is 0.889 at least, and the fingerprints differ in arccos(0.889) / pi of their bits, 19.3 of 128 on average with a
+#: deviation of 4 (24 for sets of four and five shingles). Unrelated texts differ in 64 with a deviation of 5.7.
+#: Fingerprints within the radius are candidates only; the sets themselves are compared before two texts are linked.
+SIMILARITY = 0.8
+WIDE_SHINGLE, WIDE_RADIUS = 5, 32
+#: Distinct sets whose fingerprints are compared in one group; every pair of groups is one task.
 GROUP = 32_768
+#: Sets, and shingles of all sets, that one block of a candidate class holds; every pair of blocks is one task.
+CHECKED, CHECKED_SHINGLES = 1024, 1 << 21
 _TILE = 1024
 
 
@@ -188,66 +192,152 @@ def _second(hashed: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(32))
 
 
+def shingle_set(text: str | None, shingle: int = WIDE_SHINGLE) -> np.ndarray:
+    """The distinct shingle hashes, ascending."""
+    return np.unique(shingle_hashes(text, shingle))
+
+
 def wide_fingerprint(text: str | None, shingle: int = WIDE_SHINGLE) -> tuple[int, int]:
-    hashed = shingle_hashes(text, shingle)
-    return majority(hashed, True), majority(_second(hashed), True)
+    """Of distinct shingles, as the similarity is."""
+    found = shingle_set(text, shingle)
+    return majority(found, True), majority(_second(found), True)
+
+
+def alike(a: np.ndarray, b: np.ndarray, similarity: float = SIMILARITY) -> bool:
+    """Whether two sets of ascending distinct hashes reach the Jaccard similarity."""
+    few, many = sorted((len(a), len(b)))
+    if few < similarity * many:
+        return False
+    both = np.concatenate([a, b])
+    both.sort(kind="stable")
+    common = int(np.count_nonzero(both[1:] == both[:-1]))
+    return common >= similarity * (few + many - common)
 
 
 def _wide(shingle: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            marks = np.array([wide_fingerprint(t.as_py(), shingle) for t in batch.column(1)], np.uint64).reshape(-1, 2).view(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(marks[:, 0]), pa.array(marks[:, 1])], ["doc_id", "a", "b"])
+            marks = np.zeros((batch.num_rows, 4), np.uint64)
+            for i, t in enumerate(batch.column(2)):
+                found = shingle_set(t.as_py(), shingle)
+                marks[i] = majority(found, True), majority(_second(found), True), xxhash.xxh64_intdigest(found.tobytes(), SEED), len(found)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *map(pa.array, marks.view(np.int64).T.copy())], ["doc_id", "row", "a", "b", "id", "n"])
 
     return run
 
 
-def _compare_groups(radius: int):
-    """All pairs between two groups (or within one), tile by tile in the order of population counts."""
+def _sets(shingle: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sets = [shingle_set(t.as_py(), shingle).tobytes() for t in batch.column(1)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sets, pa.binary())], ["row", "hashes"])
+
+    return run
+
+
+def _near_pairs(left: tuple, right: tuple, within: bool, radius: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Rows of two sides within the radius, and how far they are apart, tile by tile; ``within``: the sides are one."""
+    for i in range(0, len(left[0]), _TILE):
+        a, b, count = (x[i : i + _TILE] for x in left[1:4])
+        begin, end = np.searchsorted(right[3], [count[0] - radius, count[-1] + radius + 1])
+        for j in range(max(begin, i) if within else begin, end, _TILE):
+            z = min(end, j + _TILE)
+            far = np.bitwise_count(a[:, None] ^ right[1][None, j:z])
+            far += np.bitwise_count(b[:, None] ^ right[2][None, j:z])
+            x, y = np.nonzero(far <= radius)
+            far, x, y = far[x, y], x + i, y + j
+            other = x < y if within else left[0][x] != right[0][y]
+            yield x[other], y[other], far[other]
+
+
+def _side(table: pa.Table) -> tuple:
+    """ids and both halves in the order of population counts, the counts and that order."""
+    ids, a, b = (np.array(table.column(n)) for n in ("id", "a", "b"))
+    a, b = a.view(np.uint64), b.view(np.uint64)
+    count = np.bitwise_count(a).astype(np.int64) + np.bitwise_count(b)
+    order = np.argsort(count, kind="stable")
+    return ids[order], a[order], b[order], count[order], order
+
+
+def _two_sides(key, table: pa.Table) -> tuple[pa.Table, pa.Table | None]:
+    low, high = (k.as_py() for k in key[-2:])
+    group = np.array(table.column("g"))
+    return table.filter(pa.array(group == low)), None if low == high else table.filter(pa.array(group == high))
 
-    def side(table: pa.Table):
-        ids, a, b = (np.array(table.column(n)) for n in ("id", "a", "b"))
-        a, b = a.view(np.uint64), b.view(np.uint64)
-        count = np.bitwise_count(a).astype(np.int64) + np.bitwise_count(b)
-        order = np.argsort(count, kind="stable")
-        return ids[order], a[order], b[order], count[order]
+
+def _compare_groups(radius: int):
+    """All pairs between two groups (or within one)."""
 
     def run(key, table):
-        low, high = (k.as_py() for k in key)
-        group = np.array(table.column("g"))
-        left = side(table.filter(pa.array(group == low)))
-        right = left if low == high else side(table.filter(pa.array(group == high)))
+        low, high = _two_sides(key, table)
+        left = _side(low)
+        right = left if high is None else _side(high)
         forest, out = Forest(), []
-        for i in range(0, len(left[0]), _TILE):
-            ids, a, b, count = (x[i : i + _TILE] for x in left)
-            begin, end = np.searchsorted(right[3], [count[0] - radius, count[-1] + radius + 1])
-            for j in range(max(begin, i) if low == high else begin, end, _TILE):
-                z = min(end, j + _TILE)
-                x, y = np.nonzero(np.bitwise_count(a[:, None] ^ right[1][None, j:z]) <= radius)
-                far = np.bitwise_count(a[x] ^ right[1][j:z][y]).astype(np.int64) + np.bitwise_count(b[x] ^ right[2][j:z][y])
-                near = (far <= radius) & (ids[x] != right[0][j:z][y])
-                forest.join(ids[x[near]], right[0][j:z][y[near]])
-                if len(forest.up) >= HELD_LINKS:
-                    out.append(forest.edges())
+        for x, y, _ in _near_pairs(left, right, high is None, radius):
+            forest.join(left[0][x], right[0][y])
+            if len(forest.up) >= HELD_LINKS:
+                out.append(forest.edges())
         out.append(forest.edges())
         return pa.Table.from_batches(out)
 
     return run
 
 
-def wide_classes(docs: DataFrame, shingle: int = WIDE_SHINGLE, radius: int = WIDE_RADIUS) -> DataFrame:
-    """(doc_id, component_id) for every row: classes of texts whose 128-bit fingerprints are linked within the radius.
+def _check_blocks(radius: int, similarity: float):
+    """The pairs between two blocks (or within one) of a candidate class that are within the radius and alike; those already joined need no comparison."""
+
+    def sets(table: pa.Table, order: np.ndarray) -> list[np.ndarray]:
+        hashes = table.column("hashes")
+        return [np.frombuffer(hashes[int(i)].as_buffer(), np.uint64) for i in order]
+
+    def run(key, table):
+        low, high = _two_sides(key, table)
+        left = _side(low)
+        own = sets(low, left[4])
+        right, others = (left, own) if high is None else ((r := _side(high)), sets(high, r[4]))
+        forest = Forest()
+        for x, y, far in _near_pairs(left, right, high is None, radius):
+            order = np.argsort(far, kind="stable")
+            for i, j in zip(x[order].tolist(), y[order].tolist(), strict=True):
+                u, v = int(left[0][i]), int(right[0][j])
+                if forest.root(u) != forest.root(v) and alike(own[i], others[j], similarity):
+                    forest.join(left[0][i : i + 1], right[0][j : j + 1])
+        return pa.Table.from_batches([forest.edges()])
+
+    return run
+
+
+def _paired(dealt: DataFrame, groups: Column) -> DataFrame:
+    """Every row once for each group that its own group ``g`` meets, as (low, high)."""
+    return dealt.withColumn("o", F.explode(F.sequence(F.lit(0), groups.cast("int") - 1))).withColumn("low", F.least("g", "o")).withColumn("high", F.greatest("g", "o")).drop("o")
+
+
+def _dealt(groups: Column) -> Column:
+    return F.pmod(F.xxhash64("id", F.lit(7)), groups).cast("int")
+
+
+def wide_classes(docs: DataFrame, shingle: int = WIDE_SHINGLE, radius: int = WIDE_RADIUS, similarity: float = SIMILARITY) -> DataFrame:
+    """(doc_id, component_id) for every row: classes of texts linked by fingerprints within the radius and a Jaccard similarity of their shingles.
 
-    Distinct fingerprints are dealt to groups of a fixed size and compared group by
-    group; the comparisons grow with the square of their number, the memory of a task does not.
+    Distinct shingle sets are dealt to groups of a fixed size and their fingerprints
+    compared group by group; the comparisons grow with the square of their number, the
+    memory of a task does not. That gives candidate classes, which hold every candidate
+    pair. Only there the sets travel, and pairs are linked that are alike.
     """
-    marks = written(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(_wide(shingle), "doc_id long, a long, b long").withColumn("id", F.xxhash64("a", "b")), "wide-fingerprints")
-    nodes = marks.groupBy("id", "a", "b").agg(F.min("doc_id").alias("least"))
+    rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string").alias("text")).withColumn("row", F.xxhash64("doc_id", "text"))
+    marks = written(rows.select("doc_id", "row", "text").mapInArrow(_wide(shingle), "doc_id long, row long, a long, b long, id long, n long"), "wide-fingerprints")
+    nodes = marks.groupBy("id", "a", "b", "n").agg(F.min("doc_id").alias("least"), F.min("row").alias("row"))
     groups = -(-nodes.count() // GROUP) or 1
-    dealt = nodes.select("id", "a", "b", F.pmod(F.xxhash64("id", F.lit(7)), F.lit(groups)).cast("int").alias("g"))
-    paired = dealt.withColumn("o", F.explode(F.sequence(F.lit(0), F.lit(groups - 1)))).select("id", "a", "b", "g", F.least("g", "o").alias("low"), F.greatest("g", "o").alias("high"))
-    edges = paired.groupBy("low", "high").applyInArrow(_compare_groups(radius), "u long, v long")
-    roots = stars(edges)
+    paired = _paired(nodes.select("id", "a", "b", _dealt(F.lit(groups)).alias("g")), F.lit(groups))
+    roots = stars(paired.groupBy("low", "high").applyInArrow(_compare_groups(radius), "u long, v long"))
+    members = roots.select("node", "root").unionByName(roots.select(F.col("root").alias("node"), "root").distinct())
+    candidates = written(nodes.join(members, F.col("id") == F.col("node")).select("id", "a", "b", "n", "row", "root"), "candidates")
+    sizes = candidates.groupBy("root").agg(F.ceil(F.greatest(F.count("*") / CHECKED, F.sum("n") / CHECKED_SHINGLES, F.lit(1.0))).alias("blocks"))
+    texts = rows.select("row", "text").join(candidates.select("row"), "row", "left_semi")
+    sets = texts.mapInArrow(_sets(shingle), "row long, hashes binary").dropDuplicates(["row"])
+    blocked = candidates.join(sizes, "root").withColumn("g", _dealt(F.col("blocks"))).join(sets, "row").select("root", "id", "a", "b", "g", "blocks", "hashes")
+    checked = _paired(blocked, F.col("blocks")).drop("blocks")
+    roots = stars(checked.groupBy("root", "low", "high").applyInArrow(_check_blocks(radius, similarity), "u long, v long"))
     rooted = nodes.select("id", "least").join(roots, F.col("id") == F.col("node"), "left").select("id", "least", F.coalesce("root", "id").alias("root"))
     named = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
     return marks.join(rooted.select("id", "root").join(named, "root").drop("root"), "id").select("doc_id", "component_id")

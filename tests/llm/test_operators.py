@@ -220,6 +220,26 @@ def test_wide_classes(spark, empty):
     assert simhash.wide_classes(empty).count() == 0
 
 
+def test_wide_classes_link_by_exact_similarity(spark, monkeypatch):
+    """Against all pairs: chains of ever less alike texts, and texts of one long word repetition with different ends."""
+    monkeypatch.setattr(simhash, "CHECKED", 5)
+    rng = np.random.default_rng(3)
+    texts = [f"{'word ' * 300}{' '.join(f'w{x}' for x in rng.integers(0, 9000, 40))}" for _ in range(6)]
+    for share in (0.004, 0.02, 0.03, 0.04, 0.06, 0.08):
+        base = rng.integers(0, 9000, 250)
+        texts += [" ".join(f"w{x}" for x in np.where(rng.random(250) < share, rng.integers(0, 9000, 250), base)) for _ in range(6)]
+    sets = [{tuple(t.split()[i : i + 5]) for i in range(len(t.split()) - 4)} for t in texts]
+    root = list(range(len(texts)))
+    for i, j in product(range(len(texts)), repeat=2):
+        if i < j and len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j]):
+            root = [root[i] if r == root[j] else r for r in root]
+    want = {i: min(j for j, r in enumerate(root) if r == root[i]) for i in range(len(texts))}
+    rows = [*enumerate(texts), (90, texts[0]), (90, texts[0])]
+    got = {r["doc_id"]: r["component_id"] for r in simhash.wide_classes(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
+    assert got == {**want, 90: 0} and 6 < len(set(want.values())) < len(texts)
+    assert simhash.wide_fingerprint("a b c d e " * 50) == simhash.wide_fingerprint("a b c d e " * 3)
+
+
 def test_components_of_a_long_chain(spark):
     from quadpost.llm.components import stars
 
