@@ -1,38 +1,66 @@
 """Token ids of a public byte-level BPE vocabulary.
 
-The vocabulary comes as a file of merges (.json, read by tokenizers) and as a file
-of ranks (.tiktoken). Both give the same ids; the second reader is about four times
-as fast, so it is the default. Strings of special tokens in a text are ordinary text.
+The vocabulary comes as a file of merges (.json, read by tokenizers), whose plain
+call without added tokens defines the ids, and as a file of ranks (.tiktoken), whose
+reader is about four times as fast and is the default. The two differ in strings of
+special tokens, which are one id each by the first, and in very long white space,
+which overflows the second's stack; such texts go to the first.
 """
 
 from __future__ import annotations
 
 import base64
+import json
 import os
+import re
+from collections.abc import Callable
+from functools import cached_property
 
 import numpy as np
 
+#: The reader of ranks takes no text with so long a run of white space (it fails between 200,000 and 1,000,000).
+LONG_SPACE = 10_000
+_LONG_SPACE = re.compile(rf"(?<!\s)\s{{{LONG_SPACE}}}")
+
+
+def _merges_reader(path: str) -> Callable[[str], list[int]]:
+    os.environ["TOKENIZERS_PARALLELISM"] = "false"
+    from tokenizers import Tokenizer
+
+    tokenizer = Tokenizer.from_file(path)
+    return lambda text: tokenizer.encode(text, add_special_tokens=False).ids
+
+
+def _ranks_reader(path: str) -> Callable[[str], list[int]]:
+    import public_tokenizers
+    import tiktoken
+
+    with open(path, "rb") as lines:
+        ranks = {base64.b64decode(token): int(rank) for token, rank in map(bytes.split, lines)}
+    return tiktoken.Encoding("byte_bpe", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
+
 
 class Encoder:
     def __init__(self, path: str):
         self.path = path
+        self.merges_path = f"{path.removesuffix('.tiktoken')}.json" if path.endswith(".tiktoken") else path
+        self._fast, self._special = None, None
         if path.endswith(".tiktoken"):
-            import public_tokenizers
-            import tiktoken
+            with open(self.merges_path, "rb") as f:
+                added = [t["content"] for t in json.load(f).get("added_tokens", ())]
+            self._fast, self._special = _ranks_reader(path), re.compile("|".join(map(re.escape, added))) if added else None
 
-            with open(path, "rb") as lines:
-                ranks = {base64.b64decode(token): int(rank) for token, rank in map(bytes.split, lines)}
-            self._ids = tiktoken.Encoding("byte_bpe", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
-        else:
-            os.environ["TOKENIZERS_PARALLELISM"] = "false"
-            from tokenizers import Tokenizer
+    @cached_property
+    def _exact(self) -> Callable[[str], list[int]]:
+        return _merges_reader(self.merges_path)
 
-            tokenizer = Tokenizer.from_file(path)
-            tokenizer.encode_special_tokens = True
-            self._ids = lambda text: tokenizer.encode(text, add_special_tokens=False).ids
+    def _plain(self, text: str) -> bool:
+        """Whether both readers give the same ids."""
+        return not (self._special and self._special.search(text)) and (len(text) < LONG_SPACE or not _LONG_SPACE.search(text))
 
     def ids(self, text: str) -> np.ndarray:
-        return np.array(self._ids(text), np.uint32)
+        read = self._fast if self._fast and self._plain(text) else self._exact
+        return np.array(read(text), np.uint32)
 
 
 _encoders: dict[str, Encoder] = {}

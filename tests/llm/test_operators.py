@@ -362,6 +362,18 @@ def test_both_vocabulary_files_give_the_same_ids(spark):
     assert all(merges.ids(t).tolist() == ranks.ids(t).tolist() for t in texts)
 
 
+def test_ids_are_those_of_the_plain_call():
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    plain = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    ours = tokens.Encoder(tokens.default_path())
+    texts = ["stop <|endoftext|> go", "<|endoftext|><|endoftext|>", "<|endoftext", f"a{' ' * 9_999}b", f"a{' ' * 1_000_000}b", "a" + "\n" * 1_000_000, "x\u3000" * 10 + "\u3000" * 1_000_000]
+    for t in texts:
+        assert ours.ids(t).tolist() == plain.encode(t, add_special_tokens=False).ids
+    assert ours.ids(texts[0]).tolist() == [11338, 220, 50256, 467]
+
+
 def check_pieces(rows, texts, size):
     encode, by_doc, by_seq = tokens.encoder(tokens.default_path()).ids, {}, {}
     for r in rows:
