@@ -5,7 +5,12 @@ words' borders, hashed to buckets. A document is the average of its pieces'
 embeddings; a linear layer and softmax give the languages. Embeddings and layer
 are trained by stochastic gradient descent in numpy on a bounded sample of
 labelled rows. A temperature fitted on a held-back part calibrates the score,
-and the rejection threshold is a low quantile of the scores of right answers there.
+and two limits of rejection are low quantiles of the right answers there: of the
+score, and of the share of a text's pieces whose buckets training saw. A text is
+accepted if its language scores enough. A text split between two known languages is
+accepted if no more is left for all others than the second of the two has, and enough
+of its pieces were seen. With one
+or two known languages scores tell nothing, and the share of seen pieces decides.
 Buckets that training never saw have zero embeddings, so strange texts score low.
 
 Defined cases: a null text, or one without a letter, is ``und`` with score 0 and
@@ -30,9 +35,9 @@ BUCKET_BITS, DIMENSIONS = 16, 12
 ROWS_PER_LANGUAGE = 300
 EPOCHS, RATE, HELD_BACK = 6, 2.0, 5
 UNKNOWN = "und"
-#: The rejection threshold is at most this, and rejects about this share of right answers. A text half in one and
-#: half in another known language scores just below a half, and is no reason to reject.
-MOST_THRESHOLD, LOST_SHARE = 0.4, 0.001
+#: Each limit of rejection rejects about this share of right answers (of under 1000 of them, the least gives the limit);
+#: the defaults hold if no held-back answer is right.
+LOST_SHARE, DEFAULT_THRESHOLD, DEFAULT_SEEN = 0.001, 0.5, 0.5
 _NOT_LETTERS = re.compile(r"[\W\d_]+")
 _SPACE = 32
 
@@ -60,19 +65,31 @@ def pieces(text: str | None) -> np.ndarray | None:
 class Model:
     """``table`` has the embeddings times the linear layer: one row of logits per bucket."""
 
-    def __init__(self, languages: list[str], table: np.ndarray, bias: np.ndarray, temperature: float, threshold: float):
+    def __init__(self, languages: list[str], table: np.ndarray, bias: np.ndarray, temperature: float, threshold: float, seen: np.ndarray, least_seen: float):
         self.languages, self.table, self.bias, self.temperature, self.threshold = languages, table, bias, temperature, threshold
+        self.seen, self.least_seen = seen, least_seen
 
     def logits(self, found: np.ndarray) -> np.ndarray:
         return self.table[found].sum(axis=0, dtype=np.float64) / max(1, len(found)) + self.bias
 
-    def predict(self, text: str | None) -> tuple[str, float]:
+    def judge(self, text: str | None) -> tuple[str, float, bool]:
+        """The language, its score, and whether the text is accepted."""
         found = pieces(text)
         if found is None or not self.languages:
-            return UNKNOWN, 0.0
+            return UNKNOWN, 0.0, False
         p = _softmax(self.logits(found) / self.temperature)
         best = int(p.argmax())
-        return self.languages[best], float(min(1.0, p[best]))
+        accepted = len(p) > 2 and p[best] >= self.threshold
+        if not accepted:
+            second, rest = (np.partition(p, -2)[-2], 1 - np.sort(p)[-2:].sum()) if len(p) > 2 else (0.0, 0.0)
+            accepted = rest <= second and self.seen_share(found) >= self.least_seen
+        return self.languages[best], float(min(1.0, p[best])), bool(accepted)
+
+    def seen_share(self, found: np.ndarray) -> float:
+        return np.count_nonzero(self.seen[found]) / max(1, len(found))
+
+    def predict(self, text: str | None) -> tuple[str, float]:
+        return self.judge(text)[:2]
 
 
 def _softmax(x: np.ndarray) -> np.ndarray:
@@ -86,7 +103,7 @@ def train(rows: list[tuple[str, str]], seed: int = 7) -> Model:
     languages = sorted({lang for _, lang in data})
     k, size = len(languages), 1 << BUCKET_BITS
     if not k:
-        return Model([], np.zeros((size, 0), np.float32), np.zeros(0), 1.0, MOST_THRESHOLD)
+        return Model([], np.zeros((size, 0), np.float32), np.zeros(0), 1.0, DEFAULT_THRESHOLD, np.zeros(size, bool), DEFAULT_SEEN)
     draw = np.random.default_rng(seed)
     number = {lang: i for i, lang in enumerate(languages)}
     held, learned = data[::HELD_BACK], [x for i, x in enumerate(data) if i % HELD_BACK] or data
@@ -110,12 +127,13 @@ def train(rows: list[tuple[str, str]], seed: int = 7) -> Model:
             embed[buckets] -= rate * 20 * np.outer(share, back)
             done += 1
     embed[~seen] = 0
-    model = Model(languages, (embed @ layer).astype(np.float32), bias, 1.0, MOST_THRESHOLD)
+    model = Model(languages, (embed @ layer).astype(np.float32), bias, 1.0, DEFAULT_THRESHOLD, seen, DEFAULT_SEEN)
     raw = [(model.logits(f), number[lang]) for f, lang in held]
     loss = lambda t: -sum(np.log(max(1e-12, _softmax(x / t)[y])) for x, y in raw)
     model.temperature = float(min(np.geomspace(0.5, 8, 25), key=loss))
-    right = [_softmax(x / model.temperature)[y] for x, y in raw if int(x.argmax()) == y]
-    model.threshold = float(min(MOST_THRESHOLD, np.quantile(right, LOST_SHARE))) if right else MOST_THRESHOLD
+    right = [(_softmax(x / model.temperature)[y], model.seen_share(f)) for (x, y), (f, _) in zip(raw, held, strict=True) if int(x.argmax()) == y]
+    if right:
+        model.threshold, model.least_seen = np.quantile(np.array(right), LOST_SHARE, axis=0).tolist()
     return model
 
 
@@ -145,9 +163,9 @@ def predict(docs: DataFrame, model: Model) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
         for batch in batches:
-            found = [m.predict(t.as_py()) for t in batch.column(1)]
+            found = [m.judge(t.as_py()) for t in batch.column(1)]
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array([x for x, _ in found], pa.string()), pa.array([s for _, s in found], pa.float64()), pa.array([x != UNKNOWN and s >= m.threshold for x, s in found], pa.bool_())],
+                [batch.column(0), pa.array([x for x, _, _ in found], pa.string()), pa.array([s for _, s, _ in found], pa.float64()), pa.array([a for _, _, a in found], pa.bool_())],
                 ["doc_id", "lang_pred", "score", "accepted"],
             )
 
@@ -162,7 +180,6 @@ def keep_accepted(docs: DataFrame, model: Model) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
         for batch in batches:
-            found = [m.predict(t.as_py()) for t in batch.column(at)]
-            yield batch.filter(pa.array([x != UNKNOWN and s >= m.threshold for x, s in found], pa.bool_()))
+            yield batch.filter(pa.array([m.judge(t.as_py())[2] for t in batch.column(at)], pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)

@@ -441,3 +441,26 @@ def test_odd_texts_have_no_language(spark, docs, empty):
     assert len(got) == docs.count() and all(p == "und" for d, p in got if d in (0, 1, 2, 16)) and all(p != "und" for d, p in got if d in (3, 4, 6))
     assert language.predict(docs, language.fit(empty)).where("lang_pred != 'und'").count() == 0
     assert language.keep_accepted(docs, model).columns == docs.columns
+
+
+UNLEARNED = [
+    "Nel mezzo del cammin di nostra vita mi ritrovai per una selva oscura, che la diritta via era smarrita. Il governo ha deciso ieri che la nuova legge sarà discussa dal parlamento.",
+    "Wczoraj wieczorem poszliśmy do kina, aby obejrzeć nowy film, który wszyscy bardzo chwalili.",
+    "Eilen illalla menimme elokuviin katsomaan uutta elokuvaa, jota kaikki olivat kehuneet.",
+    "Gisteravond gingen we naar de bioscoop om de nieuwe film te zien die iedereen zo geprezen had.",
+    "Вчера вечером мы пошли в кино, чтобы посмотреть новый фильм.",
+    "昨天晚上我们去电影院看了一部新电影",
+    "xkcd qwrtz bvnmp lkjhg fdsqw zxcvb",
+]
+
+
+@pytest.mark.parametrize("known", [("de", "en", "es", "fr"), ("en", "fr"), ("en",)])
+def test_texts_in_unlearned_languages_go(spark, known):
+    d = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").where(F.col("lang").isin(*known)).cache()
+    model = language.fit(d)
+    assert list(known) == model.languages and not any(model.judge(t)[2] for t in UNLEARNED)
+    assert language.keep_accepted(d, model).count() > 0.95 * d.count()
+    assert language.keep_accepted(spark.createDataFrame([(i, t) for i, t in enumerate(UNLEARNED)], "doc_id bigint, text string"), model).count() == 0
+    long = {lang: [r["text"] for r in d.where((F.col("lang") == lang) & (F.length("text") > 1500)).orderBy("doc_id").limit(10).collect()] for lang in (known[0], known[-1])}
+    split = [a[:800] + "\n" + b[:800] for a, b in zip(long[known[0]], long[known[-1]], strict=True)]
+    assert np.mean([model.judge(t)[2] for t in split]) >= 0.9
