@@ -283,6 +283,27 @@ def test_nearest_of_uneven_lengths_in_blocks(spark):
     assert neighbours.nearest(df.limit(0), F.col("vec_id") % 20 == 0).count() == 0
 
 
+@pytest.mark.parametrize("case", ["one long", "lognormal", "small", "few met"])
+def test_nearest_of_any_lengths_is_whole(spark, case):
+    rng = np.random.default_rng(5)
+    n = 15 if case == "small" else 2000
+    x = rng.normal(size=(n, 64))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    if case == "one long":
+        x[7] *= 100
+    if case == "lognormal":
+        x *= rng.lognormal(size=(n, 1))
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id bigint, embedding array<double>")
+    few = {"tables": 1, "probes": 1, "small": 0} if case == "few met" else {}
+    got = neighbours.nearest(df, F.col("vec_id") % 20 == 0, **few).collect()
+    by = {}
+    for r in got:
+        by.setdefault(r["query_id"], set()).add(r["vec_id"])
+    for q in range(0, n, 20):
+        best = [i for i in np.argsort(-(x @ x[q]), kind="stable").tolist() if i != q][:20]
+        assert len(by[q]) == min(20, n - 1) and (case == "few met" or by[q] == set(best))
+
+
 # --- 6 -----------------------------------------------------------------------------------------------------------------
 
 
