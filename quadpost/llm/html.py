@@ -38,6 +38,8 @@ BLOCK_TAGS = frozenset(
 VOID_TAGS = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW_TAGS = frozenset("script style noscript template title textarea iframe noembed noframes xmp svg math head".split())
 _NO_CLOSE_RAW = frozenset(("script", "style", "title", "textarea", "iframe", "noembed", "noframes", "xmp"))
+#: Elements left out whole that hold mark-up: they end where their parents do at the latest; the first two may close themselves.
+_FOREIGN, _NESTED = frozenset(("svg", "math")), frozenset(("svg", "math", "noscript", "template"))
 #: An opening tag closes these if they are still open above it.
 CLOSES = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",)}
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|<[!?][^>]*(?:>|\Z)|<[a-zA-Z/][^<]*\Z", re.S)
@@ -59,6 +61,36 @@ class Node:
         self.label = False
 
 
+def _raw_end(page: str, tag: str, at: int) -> int:
+    return re.compile(rf"</{tag}\b[^>]*>|\Z", re.I).search(page, at).end()
+
+
+def _nested_end(page: str, tag: str, at: int, around: set[str]) -> int:
+    """Where an element of mark-up that opened before ``at`` ends: after its closing tag, or before that of one of ``around``."""
+    depth, inner, skip_to = 1, [], at
+    for m in _TOKEN.finditer(page, at):
+        if m.start() < skip_to or m[2] is None:
+            continue
+        name, closes_itself = m[2].lower(), m[3].endswith("/")
+        if m[1]:
+            if name == tag:
+                depth -= 1
+                if not depth:
+                    return m.end()
+            elif name in inner:
+                while inner.pop() != name:
+                    pass
+            elif name in around:
+                return m.start()
+        elif name == tag:
+            depth += not (closes_itself and tag in _FOREIGN)
+        elif name in _NO_CLOSE_RAW:
+            skip_to = _raw_end(page, name, m.end())
+        elif name in BLOCK_TAGS and name not in VOID_TAGS:
+            inner.append(name)
+    return len(page)
+
+
 def parse(page: str) -> tuple[list[Node], list[tuple[int, str]]]:
     """The tree of block elements (parents before children), and the blocks: (node, text) in page order."""
     nodes, blocks, open_nodes, links, at = [Node("#page", (), -1)], [], [0], 0, 0
@@ -106,8 +138,14 @@ def parse(page: str) -> tuple[list[Node], list[tuple[int, str]]]:
                     flush()
             continue
         if tag in RAW_TAGS:
-            end = re.compile(rf"</{tag}\b[^>]*>|\Z" if tag in _NO_CLOSE_RAW or tag != "head" else r"</head\b[^>]*>|(?=<body\b)|\Z", re.I).search(page, at)
-            skip_to = at = end.end()
+            if tag in _FOREIGN and m[3].endswith("/"):
+                continue
+            if tag in _NESTED:
+                skip_to = at = _nested_end(page, tag, at, {nodes[i].tag for i in open_nodes[1:]})
+            elif tag == "head":
+                skip_to = at = re.compile(r"</head\b[^>]*>|(?=<body\b)|\Z", re.I).search(page, at).end()
+            else:
+                skip_to = at = _raw_end(page, tag, at)
             continue
         if tag == "br":
             held.append((" ", False))

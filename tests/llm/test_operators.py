@@ -92,6 +92,16 @@ def test_odd_pages(spark):
     assert html.parse("<div><p>x<p>y</div>z")[1] == [(2, "x"), (3, "y"), (0, "z")]
 
 
+@pytest.mark.parametrize("tag", ["svg", "math", "noscript", "template"])
+def test_left_out_elements_end_with_their_parents(tag):
+    words = lambda page: [t for _, t in html.parse(page)[1]]
+    assert words(f"<div>a<{tag}><p>no</p>{'<b>' * 3}<script>'</div>'</script></div><p>b</p>") == ["a", "b"]
+    assert words(f"<div>a<{tag}><div>no</div>no</{tag}>c</div><p>b</p>") == ["ac", "b"]
+    assert words(f"<p>a<{tag}><{tag}>no</{tag}>no</{tag}>c</p>b") == ["ac", "b"]
+    if tag in ("svg", "math"):
+        assert words(f'<p>a<{tag} class="i"/>b</p><p>c</p><{tag}><g>no</g></{tag}><p>d</p>') == ["ab", "c", "d"]
+
+
 # --- 2 -----------------------------------------------------------------------------------------------------------------
 
 
