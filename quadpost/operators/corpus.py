@@ -6,6 +6,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
+from quadpost.sources.shared import written
+
 TOKEN_BREAK = r"[^\p{L}\p{N}]+"
 BLOCK = 512
 #: Lists shorter than this are left to variable byte codes.
@@ -81,10 +83,14 @@ def _ordered_sum(name: str):
 def dense_doc_ids(docs: DataFrame, key: str) -> DataFrame:
     """``docs`` with dense_id from 0 in the order of ``key``: range partitions, their sizes, and one offset each.
 
-    No task orders more than a range. The offsets are one row per partition.
+    No task orders more than a range. The ranges are a table of the shared folder, each row
+    with its range and place: planned twice, they would be sampled and coalesced apart. The
+    offsets are one row per range.
     """
-    ranged = docs.repartitionByRange(F.col(key)).sortWithinPartitions(key).withColumn("_part", F.spark_partition_id()).withColumn("_at", F.monotonically_increasing_id())
-    start = ranged.groupBy("_part").agg(F.count("*").alias("_size"), F.min("_at").alias("_first"))
-    before = F.coalesce(F.sum("_size").over(W.orderBy("_part").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
-    offsets = start.select("_part", "_first", before.alias("_before"))
-    return ranged.join(F.broadcast(offsets), "_part").select(*[F.col(f"`{c}`") for c in docs.columns], (F.col("_at") - F.col("_first") + F.col("_before")).alias("dense_id"))
+    own = docs.columns
+    ranged = docs.repartitionByRange(F.col(f"`{key}`")).sortWithinPartitions(F.col(f"`{key}`"))
+    held = written(ranged.select(*[F.col(f"`{c}`") for c in own], F.spark_partition_id().alias("_q_part"), F.monotonically_increasing_id().alias("_q_at")), "ranged")
+    start = held.groupBy("_q_part").agg(F.count("*").alias("_q_size"), F.min("_q_at").alias("_q_first"))
+    before = F.coalesce(F.sum("_q_size").over(W.orderBy("_q_part").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    offsets = start.select("_q_part", "_q_first", before.alias("_q_before"))
+    return held.join(F.broadcast(offsets), "_q_part").select(*[F.col(f"`{c}`") for c in own], (F.col("_q_at") - F.col("_q_first") + F.col("_q_before")).alias("dense_id"))

@@ -145,9 +145,10 @@ def q_docid_recovery(spark, d):
     return corpus.doc_ids(long_gaps(spark, d)).select("term", "pos", "doc_id")
 
 
-@query("q_dense_ids", "SELECT doc_id, row_number() OVER (ORDER BY doc_id) - 1 AS dense_id FROM documents")
+@query("q_dense_ids", "SELECT doc_id, text, lang, source, n_chars, row_number() OVER (ORDER BY doc_id) - 1 AS dense_id FROM documents")
 def q_dense_ids(spark, d):
-    return corpus.dense_doc_ids(tables.table(spark, d, "documents").select("doc_id"), "doc_id")
+    """Every document with all its columns and its place in the order of ids."""
+    return corpus.dense_doc_ids(tables.table(spark, d, "documents"), "doc_id")
 
 
 @query("q_index_postings", sql.postings() + " SELECT term, doc_id, tf FROM tf")

@@ -7,6 +7,7 @@ gets the same committed files, whatever is computed again upstream.
 from __future__ import annotations
 
 import atexit
+import re
 import tempfile
 import uuid
 
@@ -16,10 +17,13 @@ CHECKPOINT_DIR = "spark.checkpoint.dir"
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared folder; a temporary one of our own only if none is named (local tests)."""
+    """The cluster's shared folder; a temporary one of our own only in a single local JVM that names none (tests)."""
     named = spark.conf.get(CHECKPOINT_DIR, None)
     if named:
         return named
+    master = spark.conf.get("spark.master", "")
+    if not re.match(r"local(\[|$)", master):
+        raise ValueError(f"{CHECKPOINT_DIR} must name a folder that all of {master} shares")
     own = getattr(spark, "_quadpost_shared", None)
     if own is None:
         own = f"file://{tempfile.mkdtemp(prefix='quadpost-')}"

@@ -19,7 +19,7 @@ def found(spark):
     return corpus.postings(tables.collection(spark, SMALL, "documents")).cache()
 
 
-SAMPLE = ["q_tf", "q_dgap", "q_dataset_stats", "q_seek_asof", "q_skip_blocks", "q_selector_modes", "q_iu_ctrl_bits", "q_afor_partition", "q_pfor_width", "q_exceptions", "q_bits_cube", "q_choose_codec", "q_and_topk", "q_or_topk", "q_or_wand", "q_or_maxscore", "q_set_not", "q_win_session", "q_decode_udtf", "q_bits_udaf", "q_pages_fields", "q_rel_postings_bits"]
+SAMPLE = ["q_tf", "q_dgap", "q_dataset_stats", "q_seek_asof", "q_skip_blocks", "q_selector_modes", "q_iu_ctrl_bits", "q_afor_partition", "q_pfor_width", "q_exceptions", "q_bits_cube", "q_choose_codec", "q_and_topk", "q_or_topk", "q_or_wand", "q_or_maxscore", "q_set_not", "q_win_session", "q_decode_udtf", "q_bits_udaf", "q_pages_fields", "q_rel_postings_bits", "q_dense_ids"]
 
 
 @pytest.mark.parametrize("name", SAMPLE)
@@ -81,6 +81,29 @@ def test_dense_ids(spark):
     assert sorted(map(tuple, corpus.dense_doc_ids(df, "k").collect())) == [(10, 0), (20, 1), (30, 2), (99, 3)]
 
 
+@pytest.mark.parametrize("adaptive", ["true", "false"])
+def test_dense_ids_keep_every_wide_row(spark, adaptive):
+    before = spark.conf.get("spark.sql.adaptive.enabled")
+    spark.conf.set("spark.sql.adaptive.enabled", adaptive)
+    try:
+        wide = spark.range(400_000, numPartitions=32).select((F.col("id") * 7919 % 1_000_003).alias("k"), F.repeat(F.sha2(F.col("id").cast("string"), 256), 8).alias("wide"), F.lit(1).alias("_part"))
+        got = corpus.dense_doc_ids(wide, "k").select("k", "dense_id").orderBy("k").toPandas()
+        assert got["dense_id"].tolist() == list(range(400_000)) and got["k"].is_unique
+    finally:
+        spark.conf.set("spark.sql.adaptive.enabled", before)
+
+
+def test_a_cluster_must_name_its_shared_folder():
+    from types import SimpleNamespace
+
+    from quadpost.sources import shared
+
+    conf = lambda **held: SimpleNamespace(conf=SimpleNamespace(get=lambda k, default=None: held.get(k, default)))
+    with pytest.raises(ValueError):
+        shared.shared_dir(conf(**{"spark.master": "local-cluster[2,1,1024]"}))
+    assert shared.shared_dir(conf(**{"spark.master": "yarn", "spark.checkpoint.dir": "hdfs://x"})) == "hdfs://x"
+
+
 def test_wand_skips_and_stays_exact():
     rng = np.random.default_rng(2)
     lists = [(np.sort(rng.choice(3000, n, replace=False)), rng.random(n) * w) for n, w in ((40, 5.0), (900, 1.0), (2000, 0.4))]
