@@ -1,66 +1,58 @@
-"""Token ids of a public byte-level BPE vocabulary.
+"""Token ids of a public byte-level BPE vocabulary, by the tokenizers library's plain call without added tokens.
 
-The vocabulary comes as a file of merges (.json, read by tokenizers), whose plain
-call without added tokens defines the ids, and as a file of ranks (.tiktoken), whose
-reader is about four times as fast and is the default. The two differ in strings of
-special tokens, which are one id each by the first, and in very long white space,
-which overflows the second's stack; such texts go to the first.
+Words come back all the time, so ids are kept by word. A text is cut before a space
+that stands between two characters which are no white space: the vocabulary's
+pattern begins a piece at every such space and never reaches over it, and special
+tokens hold no space, so the parts' ids one after another are the text's ids.
 """
 
 from __future__ import annotations
 
-import base64
-import json
 import os
-import re
-from collections.abc import Callable
-from functools import cached_property
 
 import numpy as np
 
-#: The reader of ranks takes no text with so long a run of white space (it fails between 200,000 and 1,000,000).
-LONG_SPACE = 10_000
-_LONG_SPACE = re.compile(rf"(?<!\s)\s{{{LONG_SPACE}}}")
-
-
-def _merges_reader(path: str) -> Callable[[str], list[int]]:
-    os.environ["TOKENIZERS_PARALLELISM"] = "false"
-    from tokenizers import Tokenizer
-
-    tokenizer = Tokenizer.from_file(path)
-    return lambda text: tokenizer.encode(text, add_special_tokens=False).ids
-
-
-def _ranks_reader(path: str) -> Callable[[str], list[int]]:
-    import public_tokenizers
-    import tiktoken
-
-    with open(path, "rb") as lines:
-        ranks = {base64.b64decode(token): int(rank) for token, rank in map(bytes.split, lines)}
-    return tiktoken.Encoding("byte_bpe", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
+#: Words whose ids are kept, and the longest such word. The store is emptied when it is full.
+KEPT_WORDS, KEPT_LENGTH = 400_000, 64
 
 
 class Encoder:
     def __init__(self, path: str):
-        self.path = path
-        self.merges_path = f"{path.removesuffix('.tiktoken')}.json" if path.endswith(".tiktoken") else path
-        self._fast, self._special = None, None
-        if path.endswith(".tiktoken"):
-            with open(self.merges_path, "rb") as f:
-                added = [t["content"] for t in json.load(f).get("added_tokens", ())]
-            self._fast, self._special = _ranks_reader(path), re.compile("|".join(map(re.escape, added))) if added else None
-
-    @cached_property
-    def _exact(self) -> Callable[[str], list[int]]:
-        return _merges_reader(self.merges_path)
-
-    def _plain(self, text: str) -> bool:
-        """Whether both readers give the same ids."""
-        return not (self._special and self._special.search(text)) and (len(text) < LONG_SPACE or not _LONG_SPACE.search(text))
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"
+        from tokenizers import Tokenizer
+
+        self._tokenizer, self._kept = Tokenizer.from_file(path), {}
+
+    def _read(self, texts: list[str]) -> list[bytes]:
+        return [np.array(e.ids, "<u4").tobytes() for e in self._tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
     def ids(self, text: str) -> np.ndarray:
-        read = self._fast if self._fast and self._plain(text) else self._exact
-        return np.array(read(text), np.uint32)
+        first, *parts = text.split(" ")
+        if not all(parts) or not text.isprintable():  # white space beside white space has no cut in it
+            first, *parts = _safe_parts([first, *parts])
+        get = self._kept.get
+        found = list(map(get, parts))
+        if None in found:
+            new = list({p for p, ids in zip(parts, found, strict=True) if ids is None})
+            read = dict(zip(new, self._read([f" {p}" for p in new]), strict=True))
+            found = [read[p] if ids is None else ids for p, ids in zip(parts, found, strict=True)]
+            if len(self._kept) > KEPT_WORDS:
+                self._kept.clear()
+            self._kept.update((p, ids) for p, ids in read.items() if len(p) <= KEPT_LENGTH)
+        return np.frombuffer(b"".join([*self._read([first]), *found]), "<u4")
+
+
+def _safe_parts(parts: list[str]) -> list[str]:
+    """The parts again, those joined that have white space on either side of their border."""
+    out, run, open_end = [], [], False
+    for p in parts:
+        if run and not open_end and p and not p[0].isspace():
+            out.append(" ".join(run))
+            run = []
+        run.append(p)
+        open_end = not p or p[-1].isspace()
+    out.append(" ".join(run))
+    return out
 
 
 _encoders: dict[str, Encoder] = {}
@@ -75,4 +67,4 @@ def encoder(path: str) -> Encoder:
 def default_path() -> str:
     import public_tokenizers
 
-    return public_tokenizers.path("byte_bpe_50k.tiktoken")
+    return public_tokenizers.path("byte_bpe_50k.json")

@@ -8,6 +8,8 @@ from itertools import product
 import numpy as np
 import pytest
 import xxhash
+from hypothesis import given, settings
+from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
 from quadpost.llm import chat, decontamination, html, language, lines, neighbours, packing, queries, sharding, simhash, substrings, tokens
@@ -452,25 +454,45 @@ def test_super_kmers_cover_every_window_once():
 # --- 8 -----------------------------------------------------------------------------------------------------------------
 
 
-def test_both_vocabulary_files_give_the_same_ids(spark):
+@pytest.fixture(scope="module")
+def plain():
     import public_tokenizers
+    from tokenizers import Tokenizer
 
-    merges, ranks = tokens.Encoder(public_tokenizers.path("byte_bpe_50k.json")), tokens.Encoder(tokens.default_path())
-    odd = ["", " ", "a  b", "\n\n x", " 　 z", "<|endoftext|>", "it's we'LL 'S", "x" * 3000, "日本語 テスト 🎉🎉", "é ñ̃", "1234 5,678.90", "\t\t\ttab", "a\r\nb \r\n", "…—“”", "\x00\x01"]
-    texts = odd + [r["text"] for r in spark.read.parquet(f"{SMALL}/documents.parquet").collect()]
-    assert all(merges.ids(t).tolist() == ranks.ids(t).tolist() for t in texts)
+    reader = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    return lambda text: reader.encode(text, add_special_tokens=False).ids
 
 
-def test_ids_are_those_of_the_plain_call():
-    import public_tokenizers
-    from tokenizers import Tokenizer
+ODD_TEXTS = ["", " ", "a  b", "a   b", "   ", "\n\n x", " 　 z", "a\n  b", "a \n b", "a\t b \t", "x\x1c y", "x \x1dy", "x\x85 y", "<|endoftext|>", "stop <|endoftext|> go", "stop  <|endoftext|>  go", "<|endoftext|><|endoftext|>", "<|endoftext", "it's we'LL 'S 's", " 's x", "x" * 3000, "日本語 テスト 🎉🎉", "é ñ̃", "1234 5,678.90", "\t\t\ttab", "a\r\nb \r\n", "…—“”", "\x00\x01", "a ​ b", "a \xa0b"]
+
+
+def test_ids_are_those_of_the_plain_call(spark, plain):
+    texts = ODD_TEXTS + [r["text"] for r in spark.read.parquet(f"{SMALL}/documents.parquet").collect()]
+    ours = tokens.Encoder(tokens.default_path())
+    for t in texts * 2:
+        assert ours.ids(t).tolist() == plain(t)
+    assert ours.ids("stop <|endoftext|> go").tolist() == [11338, 220, 50256, 467]
+
+
+@pytest.mark.parametrize("text", [f"a{' ' * 1_000_000}b", "a" + "\n" * 1_000_000, "x" * 1_000_000, "日" * 300_000, "a b" * 300_000, "x " * 300_000])
+def test_ids_of_very_long_runs(plain, text):
+    assert tokens.Encoder(tokens.default_path()).ids(text).tolist() == plain(text)
+
+
+@settings(max_examples=400, deadline=None)
+@given(st.text(st.one_of(st.sampled_from(" \t\n\r\x0b\x1c\x85\u3000\u200b a1'.é<|"), st.characters(exclude_categories=("Cs",))), max_size=30))
+def test_ids_of_any_text(plain, text):
+    ours = tokens.encoder(tokens.default_path())
+    assert ours.ids(text).tolist() == plain(text)
+
 
-    plain = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+def test_a_full_store_of_words_is_emptied(plain, monkeypatch):
+    monkeypatch.setattr(tokens, "KEPT_WORDS", 5)
     ours = tokens.Encoder(tokens.default_path())
-    texts = ["stop <|endoftext|> go", "<|endoftext|><|endoftext|>", "<|endoftext", f"a{' ' * 9_999}b", f"a{' ' * 1_000_000}b", "a" + "\n" * 1_000_000, "x\u3000" * 10 + "\u3000" * 1_000_000]
-    for t in texts:
-        assert ours.ids(t).tolist() == plain.encode(t, add_special_tokens=False).ids
-    assert ours.ids(texts[0]).tolist() == [11338, 220, 50256, 467]
+    for k in range(30):
+        text = " ".join(f"w{k}x{j}" for j in range(4)) + " again"
+        assert ours.ids(text).tolist() == plain(text)
+    assert len(ours._kept) <= 11
 
 
 def check_pieces(rows, texts, size):
