@@ -6,14 +6,15 @@ by its first 2^i lines, from the ranks of the two halves of that prefix. Ranks
 come from a range-partitioned sort of the distinct pairs, so no task sees more
 than a range. A suffix whose prefix no other has is settled and leaves; a suffix
 with a settled second half cannot repeat either. So a round holds only what
-still repeats, in suffix array order.
+still repeats, in suffix array order, and doubling goes on until nothing does.
 
 Suffixes of equal rank after round i are an interval of the longest-common-prefix
 array of at least 2^i lines. A member after the interval's first starts a later
-copy of a repeated run. Deleted is every line under a later copy of two lines or
-more, and a later copy of a single line of ``MIN_WORDS`` words or more; adjacent
-ones make the maximal runs. Later rounds only cut the same intervals finer, so
-deletion stops after the round that reaches ``RUN_LINES``.
+copy. Of each such suffix the deepest interval counts; neighbouring suffixes whose
+first members are neighbours too make one run, whose length is exact: the lines
+that the suffixes have beside one another, and the depth of the last. Deleted is
+every line of a run of ``RUN_LINES`` lines or more, and a run of one line of
+``MIN_WORDS`` words or more.
 
 Defined cases: a null text has no lines and stays null; blank lines are never
 deleted and end a run; "earlier" is by doc_id (null first), then text hash, then
@@ -34,7 +35,6 @@ from pyspark.sql import Window as W
 from quadpost.llm.staging import shuffle_parts, written
 
 RUN_LINES, MIN_WORDS = 2, 5
-_AT = F.struct
 
 
 def _key():
@@ -60,29 +60,49 @@ def _ranked(suffixes: DataFrame, pair: list[str]) -> DataFrame:
     return written(suffixes.drop("first").join(ranks.withColumnRenamed("rank", "_q_rank"), pair).select(*keep, F.col("_q_rank").alias("rank"), "first"), "suffixes")
 
 
-def suffix_rounds(lines: DataFrame, length: int) -> list[tuple[int, DataFrame]]:
-    """[(2^i, suffixes that share their first 2^i lines with another: position, words, rank, first)], until 2^i >= length or all are settled."""
+def suffix_rounds(lines: DataFrame, length: int | None = None) -> list[tuple[int, DataFrame]]:
+    """[(2^i, suffixes that share their first 2^i lines with another: position, words, rank, first)], until all are settled (or 2^i >= length)."""
     now, size, out = _ranked(lines, ["a", "b"]), 1, []
-    while True:
+    while not now.isEmpty():
         out.append((size, now))
-        if size >= length or now.isEmpty():
-            return out
+        if length and size >= length:
+            break
         by = W.partitionBy("_q_doc", "_q_hash").orderBy("pos").rangeBetween(size, size)
         pairs = now.select("_q_doc", "_q_hash", "pos", "words", F.col("rank").alias("head"), F.first("rank").over(by).alias("tail")).where("tail IS NOT NULL")
         now, size = _ranked(pairs, ["head", "tail"]), size * 2
+    return out
+
+
+def repeated_runs(lines: DataFrame) -> DataFrame | None:
+    """(_q_doc, _q_hash, pos, n, words, source): every later copy of a run of ``n`` lines from line ``pos`` on, and where it stands first; None if no line repeats.
+
+    ``words`` are those of the run's first line.
+    """
+    found = None
+    for size, suffixes in suffix_rounds(lines):
+        copies = suffixes.where(F.struct("_q_doc", "_q_hash", "pos") > F.col("first")).select("_q_doc", "_q_hash", "pos", F.struct(F.lit(size).alias("size"), "first", "words").alias("copy"))
+        found = copies if found is None else found.unionByName(copies)
+    if found is None:
+        return None
+    deepest = found.groupBy("_q_doc", "_q_hash", "pos").agg(F.max_by("copy", "copy.size").alias("copy"))
+    by = W.partitionBy("_q_doc", "_q_hash").orderBy("pos")
+    before = F.lag("copy").over(by)
+    source, earlier = F.col("copy.first"), before["first"]
+    follows = (F.lag("pos").over(by) == F.col("pos") - 1) & (before["size"] == F.col("copy.size")) & earlier["_q_doc"].eqNullSafe(source["_q_doc"]) & (earlier["_q_hash"] == source["_q_hash"]) & (earlier["pos"] == source["pos"] - 1)
+    runs = deepest.withColumn("fresh", F.when(follows, 0).otherwise(1)).withColumn("run", F.sum("fresh").over(by))
+    return runs.groupBy("_q_doc", "_q_hash", "run").agg(
+        F.min("pos").alias("pos"), (F.count("*") - 1 + F.max("copy.size")).cast("int").alias("n"), F.min_by("copy.words", "pos").alias("words"), F.min_by("copy.first", "pos").alias("source")
+    ).drop("run")
 
 
 def later_copies(docs: DataFrame) -> DataFrame:
-    """(_q_doc, _q_hash, cut array of line numbers): the lines of later copies of repeated runs."""
-    later, found = F.struct("_q_doc", "_q_hash", "pos") > F.col("first"), None
-    for size, suffixes in suffix_rounds(line_ids(docs), RUN_LINES):
-        copies = suffixes.where(later)
-        if size == 1:
-            hits = copies.where(F.col("words") >= MIN_WORDS).select("_q_doc", "_q_hash", "pos")
-        else:
-            hits = copies.select("_q_doc", "_q_hash", F.explode(F.sequence("pos", F.col("pos") + size - 1)).alias("pos"))
-        found = hits if found is None else found.unionByName(hits)
-    return found.groupBy("_q_doc", "_q_hash").agg(F.collect_set("pos").alias("_q_cut"))
+    """(_q_doc, _q_hash, _q_cut array of line numbers, _q_longest): the lines of later copies of repeated runs."""
+    runs = repeated_runs(line_ids(docs))
+    if runs is None:
+        return docs.sparkSession.createDataFrame([], "_q_doc bigint, _q_hash bigint, _q_cut array<int>, _q_longest int")
+    cut = runs.where((F.col("n") >= RUN_LINES) | (F.col("words") >= MIN_WORDS))
+    lines = cut.select("_q_doc", "_q_hash", "n", F.explode(F.sequence("pos", F.col("pos") + F.col("n") - 1)).alias("pos"))
+    return lines.groupBy("_q_doc", "_q_hash").agg(F.collect_set("pos").alias("_q_cut"), F.max("n").alias("_q_longest"))
 
 
 def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -95,15 +115,19 @@ def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             total.append(len(parts))
             gone.append(len(drop))
             kept.append(text if not drop else "\n".join(x for i, x in enumerate(parts) if i not in drop))
-        columns = {n: batch.column(i) for i, n in enumerate(names) if n != "_q_cut"} | {"text": pa.array(kept, pa.string()), "n_lines": pa.array(total, pa.int64()), "n_removed": pa.array(gone, pa.int64())}
+        longest = batch.column(names.index("_q_longest")).fill_null(0)
+        columns = {n: batch.column(i) for i, n in enumerate(names) if n not in ("_q_cut", "_q_longest")} | {"text": pa.array(kept, pa.string()), "n_lines": pa.array(total, pa.int64()), "n_removed": pa.array(gone, pa.int64()), "longest_run": longest}
         yield pa.RecordBatch.from_arrays(list(columns.values()), list(columns))
 
 
+_OWN = ("n_lines", "n_removed", "longest_run", "_q_doc", "_q_hash", "_q_cut", "_q_longest")
+
+
 def dedup_lines(docs: DataFrame) -> DataFrame:
-    """``docs`` with later copies of repeated line runs cut out of text, and columns n_lines and n_removed."""
-    own = docs.select(*[F.col(f"`{c}`") for c in docs.columns if c not in ("n_lines", "n_removed", "_q_doc", "_q_hash", "_q_cut")])
+    """``docs`` with later copies of repeated line runs cut out of text, and columns n_lines, n_removed and longest_run (lines of the longest run cut)."""
+    own = docs.select(*[F.col(f"`{c}`") for c in docs.columns if c not in _OWN])
     keyed = own.select("*", *_key())
     cuts = later_copies(docs).withColumnsRenamed({"_q_doc": "_q_d", "_q_hash": "_q_h"})
-    joined = keyed.join(cuts, keyed["_q_doc"].eqNullSafe(cuts["_q_d"]) & (keyed["_q_hash"] == cuts["_q_h"]), "left").select(*[F.col(f"`{c}`") for c in own.columns], "_q_cut")
+    joined = keyed.join(cuts, keyed["_q_doc"].eqNullSafe(cuts["_q_d"]) & (keyed["_q_hash"] == cuts["_q_h"]), "left").select(*[F.col(f"`{c}`") for c in own.columns], "_q_cut", "_q_longest")
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString() if f.name != 'text' else 'string'}" for f in own.schema)
-    return joined.mapInArrow(_cut, f"{fields}, n_lines long, n_removed long")
+    return joined.mapInArrow(_cut, f"{fields}, n_lines long, n_removed long, longest_run int")

@@ -249,6 +249,40 @@ def test_suffix_rounds_find_the_common_prefixes(spark):
     assert rounds == {1: 18, 2: 16, 4: 12, 8: 4}
 
 
+def test_doubling_goes_on_until_nothing_repeats(spark):
+    body = "\n".join(f"line {i} of the run" for i in range(21))
+    df = spark.createDataFrame([(1, body), (2, "start\n" + body), (3, "x")], "doc_id bigint, text string")
+    assert [size for size, _ in lines.suffix_rounds(lines.line_ids(df))] == [1, 2, 4, 8, 16]
+    assert lines.repeated_runs(lines.line_ids(df.where("doc_id = 3"))) is None
+
+
+def test_repeated_runs_have_exact_lengths(spark):
+    rng = np.random.default_rng(8)
+    texts = [[f"l{x}" for x in rng.integers(0, 12, n)] for n in (30, 40, 25, 60)] + [["l1"] * 30]
+    texts.append(texts[0][3:25] + texts[1][5:38])
+    df = spark.createDataFrame([(i, "\n".join(t)) for i, t in enumerate(texts)], "doc_id bigint, text string")
+    spots = [(d, p) for d, t in enumerate(texts) for p in range(len(t))]
+
+    def common(a, b):
+        (d, p), (e, q), n = a, b, 0
+        while p + n < len(texts[d]) and q + n < len(texts[e]) and texts[d][p + n] == texts[e][q + n]:
+            n += 1
+        return n
+
+    longest = {s: max((common(s, o) for o in spots if o < s), default=0) for s in spots}
+    got = lines.repeated_runs(lines.line_ids(df)).collect()
+    covered = {}
+    for r in got:
+        here, source = (r["_q_doc"], r["pos"]), (r["source"]["_q_doc"], r["source"]["pos"])
+        assert source < here and common(here, source) >= r["n"]
+        for k in range(r["n"]):
+            covered[here[0], here[1] + k] = max(covered.get((here[0], here[1] + k), 0), r["n"] - k)
+    # every later copy lies under a run, and the runs reach at least half the longest common prefix at its start
+    assert set(covered) == {(d, p + k) for (d, p), n in longest.items() for k in range(n)}
+    assert all(2 * covered[s] >= n for s, n in longest.items() if n)
+    assert max(r["n"] for r in got) == max(longest.values())
+
+
 # --- 4 -----------------------------------------------------------------------------------------------------------------
 
 
