@@ -1,16 +1,15 @@
-"""Benchmark decontamination with a positional inverted index of the training texts.
+"""Benchmark decontamination with a distributed positional inverted index of the training texts.
 
-The index is a table of segments. A segment holds whole documents and, for every
-term that it stores, the term's postings as global token positions of the
-segment (documents follow each other with a gap, so a phrase never crosses a
-border). A phrase query starts from its rarest term's list and intersects the
-lists of the others, rarest first, each shifted by the term's offset. Each
-segment answers on its own, so neither building nor asking moves rows.
+The index is a stored table. Documents are dealt to segments as they are read; a
+row is one term's postings in one segment: its token positions there, ascending
+(documents follow each other with a gap, so no phrase crosses a border). The row
+of term 0 has each document's start instead, and the documents' ids and lengths.
 
-``build_segments`` can leave out postings that no phrase of a given query set
-can use: terms outside its vocabulary, and runs of known terms shorter than its
-shortest phrase. That changes no phrase match. Proximity queries need an index
-built without ``min_run``.
+A phrase query is a distributed join. Every phrase is asked by its rarest term (by
+the postings counted in the whole index): it travels to the segments that have
+postings of that term, where it meets the lists of the asked terms. There lists are
+intersected from the rarest on, each shifted by the term's offset in the phrase.
+Proximity queries go the same way. A segment's lists are bounded by its bytes.
 
 Defined cases: null and empty texts have no words and match nothing; benchmark
 rows with a null id or without words give no window; repeated items with one id
@@ -21,24 +20,32 @@ columns are ignored.
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 import xxhash
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from quadpost.llm.staging import written
+
 #: Letters A-Z become a-z; ASCII other than letters and digits becomes a space.
 _TABLE = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
 WINDOW = 13
 #: Documents and bytes of text that one segment holds at most (one longer document makes its own).
 SEGMENT_DOCS, SEGMENT_BYTES = 4096, 8 << 20
-#: Bytes of benchmark text that one pass over the index asks about; larger sets go in several passes.
-BLOCK_BYTES = 64 << 20
+#: A partition numbers its segments from its own number times this.
+NUMBERS = 1 << 32
+#: The term of the rows that have the documents' starts.
+STARTS = 0
+#: Rows of postings in one batch.
+_ROWS = 4096
 
-SEGMENTS = "doc_id bigint, n_words array<int>, doc_ids array<bigint>, terms array<bigint>, ends array<int>, positions array<int>"
-DIGESTS = "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean"
+POSTINGS = "seg long, term long, n int, positions array<int>, doc_ids array<long>, lengths array<int>"
+_SCHEMA = pa.schema([("seg", pa.int64()), ("term", pa.int64()), ("n", pa.int32()), ("positions", pa.list_(pa.int32())), ("doc_ids", pa.list_(pa.int64())), ("lengths", pa.list_(pa.int32()))])
+HITS = "seg long, ordinal int, n_hit long, n_items long, items_sha256 string"
 
 
 def words(text: str | None) -> list[bytes]:
@@ -46,230 +53,211 @@ def words(text: str | None) -> list[bytes]:
 
 
 def term_id(word: bytes) -> int:
-    return xxhash.xxh3_64_intdigest(word) - (1 << 63)
-
-
-def item_windows(rows: list[tuple], size: int = WINDOW) -> dict[tuple[bytes, ...], list[str]]:
-    """Each window of the items' words and the ids of the items that have it."""
-    found: dict[tuple[bytes, ...], set[str]] = {}
-    for item, text in rows:
-        ws = words(text)
-        if item is None or not ws:
-            continue
-        for i in range(max(1, len(ws) - size + 1)):
-            found.setdefault(tuple(ws[i : i + size]), set()).add(str(item))
-    return {w: sorted(ids) for w, ids in found.items()}
-
-
-def _segments(vocabulary: dict[bytes, int] | None, min_run: int):
-    """vocabulary None: every word is a term."""
-
-    def segment(ids: list, texts: list[list[int | bytes]]) -> dict:
-        lengths = np.array([len(t) for t in texts], np.int64)
-        starts = np.concatenate([[0], np.cumsum(lengths + 1)])  # a gap of one after each document
-        flat_terms, flat_pos = [], []
-        for at, t in zip(starts, texts, strict=False):
-            codes = np.fromiter(t, np.int64, len(t))
-            keep = codes != 0
-            if min_run > 1 and len(t):
-                edges = np.flatnonzero(np.diff(np.concatenate([[0], keep.astype(np.int8), [0]])))
-                for a, b in zip(edges[::2], edges[1::2], strict=True):
-                    if b - a < min_run:
-                        keep[a:b] = False
-            where = np.flatnonzero(keep)
-            flat_terms.append(codes[where])
-            flat_pos.append(where + at)
-        terms = np.concatenate(flat_terms) if flat_terms else np.zeros(0, np.int64)
-        pos = np.concatenate(flat_pos) if flat_pos else np.zeros(0, np.int64)
-        order = np.argsort(terms, kind="stable")
-        distinct, first = np.unique(terms[order], return_index=True)
-        ends = np.append(first[1:], len(terms)).astype(np.int32) if len(distinct) else np.zeros(0, np.int32)
-        return {"doc_id": ids[0] if ids else None, "n_words": lengths.astype(np.int32), "doc_ids": ids, "terms": distinct, "ends": ends, "positions": pos[order].astype(np.int32)}
+    """64 bits of the word's hash; never that of the starts."""
+    return (xxhash.xxh3_64_intdigest(word) - (1 << 63)) or 1
+
+
+# --- the index -----------------------------------------------------------------------------------------------------
+
+
+def _lists(values: np.ndarray, ends: np.ndarray, kind: pa.DataType) -> pa.ListArray:
+    return pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]), pa.int32()), pa.array(values, kind))
+
+
+def _segment(seg: int, ids: list, texts: list[list[bytes]]) -> Iterator[pa.RecordBatch]:
+    lengths = np.fromiter(map(len, texts), np.int64, len(texts))
+    starts = np.cumsum(lengths + 1) - lengths - 1  # a gap of one after each document
+    position = np.arange(int(lengths.sum())) + np.repeat(np.arange(len(texts)), lengths)
+    coded = pa.array([w for t in texts for w in t], pa.binary()).dictionary_encode()
+    terms = np.fromiter(map(term_id, coded.dictionary.to_pylist()), np.int64, len(coded.dictionary))
+    codes = coded.indices.to_numpy()
+    order = np.argsort(codes, kind="stable")
+    counts = np.bincount(codes, minlength=len(terms)) if len(codes) else np.zeros(0, np.int64)
+    yield pa.RecordBatch.from_arrays([pa.array([v], f.type) for v, f in zip((seg, STARTS, len(ids), starts.tolist(), ids, lengths.tolist()), _SCHEMA, strict=True)], schema=_SCHEMA)
+    ends, position = np.cumsum(counts), position[order]
+    for a in range(0, len(terms), _ROWS):
+        z = min(len(terms), a + _ROWS)
+        first = int(ends[a] - counts[a])
+        none = pa.nulls(z - a, pa.list_(pa.int64())), pa.nulls(z - a, pa.list_(pa.int32()))
+        yield pa.RecordBatch.from_arrays([pa.array(np.full(z - a, seg), pa.int64()), pa.array(terms[a:z]), pa.array(counts[a:z], pa.int32()), _lists(position[first : ends[z - 1]], ends[a:z] - first, pa.int32()), *none], schema=_SCHEMA)
+
 
+def _segments(most_docs: int, most_bytes: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        schema = pa.schema([("doc_id", pa.int64()), ("n_words", pa.list_(pa.int32())), ("doc_ids", pa.list_(pa.int64())), ("terms", pa.list_(pa.int64())), ("ends", pa.list_(pa.int32())), ("positions", pa.list_(pa.int32()))])
-        code = (lambda w: term_id(w) or 1) if vocabulary is None else (lambda w: vocabulary.get(w, 0))
-        ids, texts, size = [], [], 0
-        emit = lambda: pa.RecordBatch.from_pylist([{k: (v.tolist() if isinstance(v, np.ndarray) else v) for k, v in segment(ids, texts).items()}], schema)
+        seg, ids, texts, size = TaskContext.get().partitionId() * NUMBERS, [], [], 0
         for batch in batches:
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                 text = text.as_py()
+                if ids and (len(ids) >= most_docs or size + len(text or "") > most_bytes):
+                    yield from _segment(seg, ids, texts)
+                    seg, ids, texts, size = seg + 1, [], [], 0
                 ids.append(doc)
-                texts.append(list(map(code, words(text))))
+                texts.append(words(text))
                 size += len(text or "")
-                if len(ids) >= SEGMENT_DOCS or size >= SEGMENT_BYTES:
-                    yield emit()
-                    ids, texts, size = [], [], 0
         if ids:
-            yield emit()
+            yield from _segment(seg, ids, texts)
+
+    return run
+
+
+def build_index(docs: DataFrame, segment_docs: int = SEGMENT_DOCS, segment_bytes: int = SEGMENT_BYTES) -> DataFrame:
+    """The positional index of every word of (doc_id, text), as a stored table of postings rows."""
+    return written(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(_segments(segment_docs, segment_bytes), POSTINGS), "postings")
+
+
+def documents(index: DataFrame) -> DataFrame:
+    """(seg, ordinal, doc_id, n_words) of the indexed documents."""
+    rows = index.where(F.col("term") == STARTS).select("seg", F.posexplode(F.arrays_zip("doc_ids", "lengths")).alias("ordinal", "d"))
+    return rows.select("seg", "ordinal", F.col("d.doc_ids").alias("doc_id"), F.col("d.lengths").cast("long").alias("n_words"))
+
+
+# --- what is asked -------------------------------------------------------------------------------------------------
+
+
+def item_windows(text: str | None, size: int = WINDOW) -> list[list[bytes]]:
+    """The windows of an item's words: ``size`` in a row; an item of fewer is one window."""
+    ws = words(text)
+    return [ws[i : i + size] for i in range(max(1, len(ws) - size + 1))] if ws else []
+
+
+def _cut_windows(size: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = [(item, list(map(term_id, w))) for item, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True) if item is not None for w in item_windows(text, size)]
+            yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in rows], pa.string()), pa.array([t for _, t in rows], pa.list_(pa.int64()))], ["item", "terms"])
 
     return run
 
 
-def _narrow(docs: DataFrame) -> DataFrame:
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
+def windows_of(benchmark: DataFrame, size: int = WINDOW) -> DataFrame:
+    """(query, terms, items): every distinct window of (item_id, text) and the ids of the items that have it."""
+    cut = benchmark.select(F.col("item_id").cast("string"), F.col("text").cast("string")).mapInArrow(_cut_windows(size), "item string, terms array<long>")
+    return cut.groupBy("terms").agg(F.sort_array(F.collect_set("item")).alias("items")).select(F.xxhash64("terms").alias("query"), "terms", "items")
 
 
-def build_segments(docs: DataFrame, vocabulary: dict[bytes, int] | None = None, min_run: int = 1) -> DataFrame:
-    """The positional index of (doc_id, text) as segment rows; storable as Parquet."""
-    return _narrow(docs).mapInArrow(_segments(vocabulary, min_run), SEGMENTS)
+def _asked(index: DataFrame, queries: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(seg, terms, items) of the segments that have each query's rarest term, and the postings of all asked terms; queries with a term that the index lacks go."""
+    spots = queries.select("query", F.explode(F.array_distinct("terms")).alias("term"))
+    lists = index.join(spots.select("term").distinct(), "term", "left_semi").select("seg", "term", "n", "positions")
+    counts = lists.groupBy("term").agg(F.sum("n").alias("total"))
+    known = spots.join(counts, "term").groupBy("query").agg(F.count("*").alias("known"), F.min(F.struct("total", "term")).alias("rarest"))
+    routed = queries.join(known, "query").where(F.col("known") == F.size(F.array_distinct("terms"))).select("terms", "items", F.col("rarest.term").alias("term"))
+    return routed.join(lists.select("seg", "term"), "term").select("seg", "terms", "items"), lists
 
 
-class Postings:
-    """One segment, with its lists by term."""
+class Segment:
+    """The asked lists of one segment, by term."""
 
-    def __init__(self, row: dict):
-        self.doc_ids, self.lengths = row["doc_ids"], np.array(row["n_words"], np.int64)
-        self.starts = np.concatenate([[0], np.cumsum(self.lengths + 1)])[:-1]
-        ends, self.positions = row["ends"], np.asarray(row["positions"], np.int64)
-        self.spans = dict(zip(row["terms"], zip([0, *ends[:-1]] if len(ends) else [], ends, strict=True), strict=True))
+    def __init__(self, table: pa.Table):
+        columns = {n: table.column(n) for n in ("term", "positions")}
+        held = [(t, p.values.to_numpy()) for t, p in zip(columns["term"].to_pylist(), columns["positions"], strict=True)]
+        self.lists = dict(held)
+        self.starts = self.lists.pop(STARTS, np.zeros(0, np.int64))
 
-    def of(self, term: int) -> np.ndarray:
-        a, b = self.spans.get(term, (0, 0))
-        return self.positions[a:b]
+    def owner(self, at: np.ndarray) -> np.ndarray:
+        return np.searchsorted(self.starts, at, side="right") - 1
 
     def phrase(self, terms: list[int]) -> np.ndarray:
         """Where the phrase starts: lists from the rarest on, each shifted to the phrase's start."""
-        if not all(t in self.spans for t in terms):
+        if not all(t in self.lists for t in terms):
             return np.zeros(0, np.int64)
-        by_length = sorted(range(len(terms)), key=lambda j: self.spans[terms[j]][1] - self.spans[terms[j]][0])
-        at = self.of(terms[by_length[0]]) - by_length[0]
-        for j in by_length[1:]:
+        order = sorted(range(len(terms)), key=lambda j: len(self.lists[terms[j]]))
+        at = self.lists[terms[order[0]]] - order[0]
+        for j in order[1:]:
             if not len(at):
                 break
-            other = self.of(terms[j]) - j
-            i = np.searchsorted(other, at)
-            at = at[(i < len(other)) & (other[np.minimum(i, len(other) - 1)] == at)]
+            other = self.lists[terms[j]]
+            i = np.searchsorted(other, at + j)
+            at = at[(i < len(other)) & (other[np.minimum(i, len(other) - 1)] == at + j)]
         return at
 
     def near(self, terms: list[int], within: int) -> np.ndarray:
         """Positions of the rarest term that have every other term at most ``within`` tokens away, in the same document."""
-        if not all(t in self.spans for t in terms):
+        if not all(t in self.lists for t in terms):
             return np.zeros(0, np.int64)
-        first, *rest = sorted(terms, key=lambda t: self.spans[t][1] - self.spans[t][0])
-        at = self.of(first)
-        doc = np.searchsorted(self.starts, at, side="right") - 1
-        low, high = np.maximum(at - within, self.starts[doc]), np.minimum(at + within, self.starts[doc] + self.lengths[doc] - 1)
+        first, *rest = sorted(terms, key=lambda t: len(self.lists[t]))
+        at = self.lists[first]
+        doc = self.owner(at)
+        after = np.append(self.starts[1:], np.iinfo(np.int32).max)
+        low, high = np.maximum(at - within, self.starts[doc]), np.minimum(at + within, after[doc] - 1)
         keep = np.ones(len(at), bool)
         for t in rest:
-            other = self.of(t)
+            other = self.lists[t]
             keep &= np.searchsorted(other, low) < np.searchsorted(other, high, side="right")
         return at[keep]
 
 
-def _rows(batches: Iterator[pa.RecordBatch]) -> Iterator[Postings]:
-    for batch in batches:
-        for i in range(batch.num_rows):
-            yield Postings({name: batch.column(k)[i].values.to_numpy(zero_copy_only=False) if name != "doc_ids" else batch.column(k)[i].as_py() for k, name in enumerate(batch.schema.names) if name != "doc_id"})
-
-
-def _hits(windows: list[tuple[list[int], list[str]]]):
-    """Per document of a segment: the hit spans and the items."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for seg in _rows(batches):
-            spans: dict[int, list[tuple[int, int]]] = {}
-            items: dict[int, set[str]] = {}
-            for terms, ids in windows:
-                at = seg.phrase(terms)
-                if not len(at):
-                    continue
-                owner = np.searchsorted(seg.starts, at, side="right") - 1
-                for d, p in zip(owner.tolist(), (at - seg.starts[owner]).tolist(), strict=True):
-                    spans.setdefault(d, []).append((p, p + len(terms)))
-                    items.setdefault(d, set()).update(ids)
-            n = len(seg.doc_ids)
-            yield pa.RecordBatch.from_arrays(
-                [
-                    pa.array(seg.doc_ids, pa.int64()),
-                    pa.array(range(n), pa.int32()),
-                    pa.array(seg.lengths, pa.int64()),
-                    pa.array([[x for s in sorted(spans.get(d, ())) for x in s] for d in range(n)], pa.list_(pa.int32())),
-                    pa.array([sorted(items.get(d, ())) for d in range(n)], pa.list_(pa.string())),
-                ],
-                ["doc_id", "ordinal", "n_words", "spans", "items"],
-            )
-
-    return run
-
-
-def _covered(spans: list[int]) -> int:
-    n, end = 0, 0
-    for a, b in sorted(zip(spans[::2], spans[1::2], strict=True)):
-        n += max(0, b - max(a, end))
-        end = max(end, b)
-    return n
-
-
-def _digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        n_words, spans, items = (batch.column(k).to_pylist() for k in (2, 3, 4))
-        hit = [_covered(s) for s in spans]
-        yield pa.RecordBatch.from_arrays(
-            [
-                batch.column(0),
-                batch.column(2),
-                pa.array(hit, pa.int64()),
-                pa.array([len(x) for x in items], pa.int64()),
-                pa.array([hashlib.sha256(",".join(sorted(x)).encode()).hexdigest() for x in items], pa.string()),
-                pa.array([h > 0 and 20 * h >= n for h, n in zip(hit, n_words, strict=True)], pa.bool_()),
-            ],
-            ["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated"],
-        )
-
-
-HITS = "doc_id long, ordinal int, n_words long, spans array<int>, items array<string>"
-
-
-def vocabulary_of(windows) -> dict[bytes, int]:
-    return {w: term_id(w) or 1 for window in windows for w in window}
-
-
-def _asked(windows: dict[tuple[bytes, ...], list[str]]) -> list[tuple[list[int], list[str]]]:
-    return [([term_id(w) or 1 for w in window], ids) for window, ids in windows.items()]
-
-
-def phrase_hits(segments: DataFrame, windows: dict[tuple[bytes, ...], list[str]]) -> DataFrame:
-    """Every document of the index, the spans that windows cover in it (start, end, ...) and the items they come from."""
-    return segments.mapInArrow(_hits(_asked(windows)), HITS)
-
-
-def proximity_hits(segments: DataFrame, terms: list[str], within: int) -> DataFrame:
-    """(doc_id, position): where the rarest of ``terms`` stands with all others at most ``within`` words away."""
-    asked = [term_id(w) or 1 for t in terms for w in words(t)]
-
-    def run(batches):
-        for seg in _rows(batches):
-            at = seg.near(asked, within)
-            owner = np.searchsorted(seg.starts, at, side="right") - 1
-            yield pa.RecordBatch.from_arrays([pa.array([seg.doc_ids[d] for d in owner.tolist()], pa.int64()), pa.array(at - seg.starts[owner], pa.int64())], ["doc_id", "position"])
-
-    return segments.mapInArrow(run, "doc_id long, position long")
-
-
-def contamination(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW, block_bytes: int = BLOCK_BYTES) -> DataFrame:
-    """One row per document: n_words, n_hit, n_items, items_sha256, contaminated.
-
-    The benchmark's bytes are counted first. A set within ``block_bytes`` is asked
-    in one pass that moves no rows; a larger one in as many passes as it has
-    blocks, and the passes' hits meet in one aggregation by document.
-    """
-    items = benchmark.select(F.col("item_id"), F.col("text").cast("string").alias("text"))
-    total = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    blocks = -(-total // block_bytes) or 1
-    passes = []
-    for b in range(blocks):
-        part = items if blocks == 1 else items.where(F.pmod(F.xxhash64("item_id"), F.lit(blocks)) == b)
-        windows = item_windows([tuple(r) for r in part.collect()], size)
-        if blocks == 1:
-            # one Python worker builds, asks and digests its segments
-            build, ask = _segments(vocabulary_of(windows), min((len(w) for w in windows), default=1)), _hits(_asked(windows))
-            return _narrow(docs).mapInArrow(lambda batches: _digest(ask(build(batches))), DIGESTS)
-        keyed = docs.select(F.xxhash64("doc_id", "text").alias("doc_id"), "text")
-        passes.append(phrase_hits(build_segments(keyed, vocabulary_of(windows), min((len(w) for w in windows), default=1)), windows))
-    every = passes[0]
-    for p in passes[1:]:
-        every = every.unionByName(p)
-    merged = every.groupBy("doc_id").agg(F.max("n_words").alias("n_words"), F.flatten(F.collect_set("spans")).alias("spans"), F.array_distinct(F.flatten(F.collect_set("items"))).alias("items"))
-    digest = merged.select("doc_id", F.lit(0).alias("ordinal"), "n_words", "spans", "items").mapInArrow(_digest, DIGESTS).withColumnRenamed("doc_id", "_q_key")
-    return docs.select("doc_id", F.xxhash64("doc_id", "text").alias("_q_key")).join(digest, "_q_key").drop("_q_key")
+def _answer(index: DataFrame, queries: DataFrame, answer: Callable[[int, Segment, list, list], pa.Table], schema: str) -> DataFrame:
+    """What ``answer`` gives for every segment that is asked, of its lists and its queries."""
+    asked, lists = _asked(index, queries)
+    starts = index.where(F.col("term") == STARTS).select("seg", "term", "n", "positions")
+    held = lists.unionByName(starts).groupBy("seg")
+
+    def run(key, left, right):
+        if not len(right):
+            return answer(0, None, [], [])
+        return answer(key[0].as_py(), Segment(left), right.column("terms").to_pylist(), right.column("items").to_pylist())
+
+    return held.cogroup(asked.groupBy("seg")).applyInArrow(run, schema)
+
+
+def _covered(starts: np.ndarray, sizes: np.ndarray) -> int:
+    """How many positions the spans cover; starts ascending."""
+    ends = np.maximum.accumulate(starts + sizes)
+    return int((ends - np.maximum(starts, np.concatenate([[starts[0]], ends[:-1]]))).clip(0).sum())
+
+
+def _hits(seg: int, segment: Segment | None, terms: list, items: list) -> pa.Table:
+    at, sizes, which = [], [], []
+    for k, t in enumerate(terms):
+        here = segment.phrase(t)
+        if len(here):
+            at.append(here)
+            sizes.append(np.full(len(here), len(t)))
+            which.append(np.full(len(here), k))
+    rows = []
+    if at:
+        at, sizes, which = map(np.concatenate, (at, sizes, which))
+        order = np.argsort(at, kind="stable")
+        at, sizes, which = at[order].astype(np.int64), sizes[order], which[order]
+        doc = segment.owner(at)
+        for part in np.split(np.arange(len(at)), np.flatnonzero(np.diff(doc)) + 1):
+            ids = sorted({i for k in np.unique(which[part]).tolist() for i in items[k]})
+            rows.append((seg, int(doc[part[0]]), _covered(at[part], sizes[part]), len(ids), hashlib.sha256(",".join(ids).encode()).hexdigest()))
+    names = [f.split()[0] for f in HITS.split(", ")]
+    kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.string())
+    return pa.table({n: pa.array([r[i] for r in rows], k) for i, (n, k) in enumerate(zip(names, kinds, strict=True))})
+
+
+def phrase_hits(index: DataFrame, queries: DataFrame) -> DataFrame:
+    """(seg, ordinal, n_hit, n_items, items_sha256) of every document in which a phrase of (query, terms, items) occurs: how many words the occurrences cover, and the items they come from."""
+    return _answer(index, queries, _hits, HITS)
+
+
+def proximity_hits(index: DataFrame, queries: DataFrame, within: int) -> DataFrame:
+    """(item, doc_id, position): where the rarest term of each of (item_id, text) stands with all its others at most ``within`` words away."""
+    whole = queries.where("item_id IS NOT NULL").select(F.col("item_id").cast("string").alias("item_id"), "text")
+    asked = windows_of(whole, np.iinfo(np.int32).max)
+
+    def near(seg: int, segment: Segment | None, terms: list, items: list) -> pa.Table:
+        out: list[tuple] = []
+        for t, ids in zip(terms, items, strict=True):
+            at = segment.near(list(dict.fromkeys(t)), within)
+            doc = segment.owner(at)
+            out += [(i, seg, d, p) for d, p in zip(doc.tolist(), (at - segment.starts[doc]).tolist(), strict=True) for i in ids]
+        return pa.table({n: pa.array([r[k] for r in out], kind) for k, (n, kind) in enumerate((("item", pa.string()), ("seg", pa.int64()), ("ordinal", pa.int32()), ("position", pa.int64())))})
+
+    found = _answer(index, asked, near, "item string, seg long, ordinal int, position long")
+    return found.join(documents(index), ["seg", "ordinal"]).select("item", "doc_id", "position")
+
+
+def contamination(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW, segment_docs: int = SEGMENT_DOCS) -> DataFrame:
+    """One row per document: doc_id, n_words, n_hit, n_items, items_sha256, contaminated."""
+    index = build_index(docs, segment_docs)
+    hits = phrase_hits(index, written(windows_of(benchmark, size), "windows"))
+    none = hashlib.sha256(b"").hexdigest()
+    whole = documents(index).join(hits, ["seg", "ordinal"], "left")
+    n_hit = F.coalesce("n_hit", F.lit(0)).cast("long")
+    return whole.select(
+        "doc_id", "n_words", n_hit.alias("n_hit"), F.coalesce("n_items", F.lit(0)).cast("long").alias("n_items"), F.coalesce("items_sha256", F.lit(none)).alias("items_sha256"), ((n_hit > 0) & (20 * n_hit >= F.col("n_words"))).alias("contaminated")
+    )

@@ -192,24 +192,49 @@ def brute_contamination(texts, items, size):
     return sorted(out, key=str)
 
 
-@pytest.mark.parametrize("block", [1 << 20, 300])
-def test_contamination(spark, docs, block):
-    items = [(1, BASE[:150]), (20, "ONE"), (3, None), (None, "one"), (4, "!!"), (1, "one two"), (5, prose(20))]
-    got = decontamination.contamination(docs, spark.createDataFrame(items, "item_id bigint, text string, extra int".replace(", extra int", "")), 13, block)
+BENCHMARK = "item_id bigint, text string, doc_id string, term int, extra int"
+
+
+@pytest.mark.parametrize("segment", [4096, 3, 1])
+def test_contamination(spark, docs, segment):
+    items = [(1, BASE[:150]), (20, "ONE"), (3, None), (None, "one"), (4, "!!"), (1, "one two"), (5, prose(20)), (6, "x"), (7, "word that nowhere stands"), (8, prose(500)), (9, "same line of five words here other"), (10, "")]
+    got = decontamination.contamination(docs, spark.createDataFrame([(*r, "d", 1, None) for r in items], BENCHMARK), segment_docs=segment)
+    assert got.columns == ["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated"]
     assert sorted(map(tuple, got.collect()), key=str) == brute_contamination(pairs(docs), items, 13)
 
 
 def test_contamination_of_empty_tables(spark, docs, empty):
-    none = spark.createDataFrame([], "item_id bigint, text string")
+    none = spark.createDataFrame([], BENCHMARK)
     assert decontamination.contamination(empty, none).count() == 0
-    assert {r["contaminated"] for r in decontamination.contamination(docs, none).collect()} == {False}
-
-
-def test_proximity(spark):
-    df = spark.createDataFrame([(1, "a b c d e"), (2, "a x x x e"), (3, "e a")], "doc_id bigint, text string")
-    index = decontamination.build_segments(df)
-    assert sorted(map(tuple, decontamination.proximity_hits(index, ["a", "e"], 1).collect()))[-1][0] == 3
-    assert {r["doc_id"] for r in decontamination.proximity_hits(index, ["a", "e"], 4).collect()} == {1, 2, 3}
+    assert decontamination.contamination(empty, spark.createDataFrame([(1, "one", "d", 1, 1)], BENCHMARK)).count() == 0
+    got = decontamination.contamination(docs, none).collect()
+    assert len(got) == docs.count() and {r["contaminated"] for r in got} == {False} and {r["items_sha256"] for r in got} == {hashlib.sha256(b"").hexdigest()}
+
+
+def test_the_index_has_every_posting(spark, docs):
+    index = decontamination.build_index(docs)
+    total = sum(len(decontamination.words(t)) for _, t in pairs(docs))
+    assert index.where("term != 0").agg(F.sum("n"), F.sum(F.size("positions"))).first() == (total, total)
+    assert sorted(map(tuple, decontamination.documents(index).select("doc_id", "n_words").collect()), key=str) == sorted(((d, len(decontamination.words(t))) for d, t in pairs(docs)), key=str)
+
+
+def test_proximity(spark, docs):
+    df = spark.createDataFrame([(1, "a b c d e"), (2, "a x x x e"), (3, "e a"), (None, "e"), (5, None)], "doc_id bigint, text string")
+    index = decontamination.build_index(df)
+    asked = spark.createDataFrame([(7, "A e", 1), (8, "b", 1), (None, "a", 1), (9, None, 1), (10, "a nowhere", 1)], "item_id bigint, text string, doc_id int")
+    ask = lambda within: {(r["item"], r["doc_id"]) for r in decontamination.proximity_hits(index, asked, within).collect()}
+    assert ask(1) == {("7", 3), ("8", 1)} and ask(4) == {("7", 1), ("7", 2), ("7", 3), ("8", 1)}
+
+
+@pytest.mark.parametrize("within", [2, 6])
+def test_proximity_equals_brute_force(spark, docs, within):
+    terms = ["gamma", "42", "x"]
+    few = docs.where("doc_id IS NOT NULL").dropDuplicates(["doc_id"]).coalesce(1)
+    ws = {d: [w.decode() for w in decontamination.words(t)] for d, t in pairs(few)}
+    rarest = min(terms, key=lambda t: sum(w.count(t) for w in ws.values()))
+    want = {(d, p) for d, w in ws.items() for p, v in enumerate(w) if v == rarest and all(t in w[max(0, p - within) : p + within + 1] for t in terms)}
+    got = decontamination.proximity_hits(decontamination.build_index(few), spark.createDataFrame([(1, " ".join(terms))], "item_id int, text string"), within)
+    assert {(r["doc_id"], r["position"]) for r in got.collect()} == want and want
 
 
 # --- 3 -----------------------------------------------------------------------------------------------------------------
