@@ -494,16 +494,48 @@ def brute_substrings(texts, window):
     return sorted(out, key=str)
 
 
-@pytest.mark.parametrize("salted", [20, 2])
-def test_substring_dedup(spark, docs, empty, salted):
+@pytest.mark.parametrize("common, chunk", [(1 << 20, 4 << 20), (1, 1), (50, 2000)])
+def test_substring_dedup(spark, docs, empty, common, chunk):
     shared = prose(70)
-    more = spark.createDataFrame([(100 + i, f"{prose(i)} {shared} {prose(7 * i)} {shared}") for i in range(12)], "doc_id bigint, text string")
+    more = spark.createDataFrame([(100 + i, f"{prose(i)} {shared} {prose(7 * i)} {shared}") for i in range(12)] + [(200 + i, "word " * (900 + i)) for i in range(3)], "doc_id bigint, text string")
     every = docs.select("doc_id", "text").unionByName(more)
-    got = substrings.dedup_substrings(every, 20, 5, salted)
+    got = substrings.dedup_substrings(every, 20, 5, common, chunk)
     assert sorted((tuple(r)[:4] for r in got.collect()), key=str) == brute_substrings(pairs(every), 20)
     assert substrings.dedup_substrings(empty).count() == 0
 
 
+def test_common_grams_are_no_minimisers(spark):
+    rng = np.random.default_rng(4)
+    new = lambda n: " ".join(f"w{x}" for x in rng.integers(0, 10**9, n))
+    passage = new(80)
+    df = spark.createDataFrame([(i, f"{new(60)} {passage} {new(60)}") for i in range(40)], "doc_id bigint, text string")
+    common = substrings.common_grams(df)
+    assert set(common.tolist()) == set(substrings.grams(substrings.words(passage)).tolist())
+    kinds = {}
+    for r in df.collect():
+        ws = substrings.words(r["text"])
+        for start, n, mini in substrings.super_kmers(ws, common=common):
+            kinds.setdefault(mini, set()).add(tuple(ws[start : start + n + 49]))
+    assert max(map(len, kinds.values())) == 1
+
+
+def test_one_word_again_and_again_is_cut_and_sorted_in_little_memory():
+    import tracemalloc
+
+    ws = [b"word"] * 1_000_000
+    parts = substrings.super_kmers(ws)
+    assert max(n for _, n, _ in parts) == substrings.MOST_WINDOWS and sum(n for _, n, _ in parts) == len(ws) - 49
+    import pyarrow as pa
+
+    rows = [(7, i, 0, i, n, b" ".join(ws[s : s + n + 49])) for i, (s, n, _) in enumerate(parts[:4000])]
+    table = pa.Table.from_batches([substrings._batch(rows, substrings._PACKED)])
+    tracemalloc.start()
+    got = substrings._decided(table, 50)
+    assert tracemalloc.get_traced_memory()[1] < 400e6
+    tracemalloc.stop()
+    assert got.column("first").to_pylist() == [0] * (len(rows) - 1) and got.column("last").to_pylist() == [n - 1 for _, _, _, _, n, _ in rows[1:]]
+
+
 def test_super_kmers_cover_every_window_once():
     ws = substrings.words(prose(500))
     parts = substrings.super_kmers(ws)
