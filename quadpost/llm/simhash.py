@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from quadpost.llm.components import stars
-from quadpost.llm.staging import written
+from quadpost.llm.staging import shuffle_parts, written
 
 SHINGLE, SEED, RADIUS = 3, 42, 2
 PARTS, PART_BITS = 4, 16
@@ -177,16 +177,22 @@ def classes(docs: DataFrame, shingle: int = SHINGLE, radius: int = RADIUS) -> Da
 #: deviation of 4 (24 for sets of four and five shingles). Unrelated texts differ in 64 with a deviation of 5.7.
 #: Fingerprints within the radius are candidates only; the sets themselves are compared before two texts are linked.
 SIMILARITY = 0.8
-WIDE_SHINGLE, WIDE_RADIUS = 5, 32
-#: Distinct sets whose fingerprints are compared in one group; every pair of groups is one task.
-GROUP = 32_768
+WIDE_SHINGLE, WIDE_RADIUS = 5, 40
+#: Tiles hold sets that agree in one of so many bands of so many least hashes: at 0.8 two sets miss each other with
+#: (1 - 0.8^4)^16 = 2 in 10,000, at 0.3 they meet with 13 in 100, at 0.1 with 2 in 1000.
+BANDS, BAND_ROWS = 16, 4
+#: Sets of one tile that a block holds; every pair of blocks of a tile is one comparison.
+BAND_BLOCK = 8192
 #: Sets, and shingles of all sets, that one block of a candidate class holds; every pair of blocks is one task.
 CHECKED, CHECKED_SHINGLES = 1024, 1 << 21
 _TILE = 1024
+#: Groups of up to so many sets are compared together with others of their batch, and rows that are read before comparing.
+_SMALL_GROUP, _HELD_ROWS = 64, 1 << 16
+_MASKS, _ODDS = np.random.default_rng(29).integers(0, 1 << 32, (2, BANDS * BAND_ROWS), np.uint32) | np.array([[0], [1]], np.uint32)
 
 
 def _second(hashed: np.ndarray) -> np.ndarray:
-    """Hashes for the second 64 bits from those for the first."""
+    """Hashes for the second 64 bits from those for the first, by the multipliers of the public splitmix64 generator."""
     x = (hashed ^ (hashed >> np.uint64(31))) * np.uint64(0x9E3779B97F4A7C15)
     x = (x ^ (x >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
     return x ^ (x >> np.uint64(32))
@@ -203,6 +209,19 @@ def wide_fingerprint(text: str | None, shingle: int = WIDE_SHINGLE) -> tuple[int
     return majority(found, True), majority(_second(found), True)
 
 
+def band_keys(found: np.ndarray) -> np.ndarray:
+    """One key per band from the least hashes of the set under BANDS * BAND_ROWS orders."""
+    least = np.full(BANDS * BAND_ROWS, 0xFFFFFFFF, np.uint32)
+    short = (found ^ (found >> np.uint64(32))).astype(np.uint32)
+    for i in range(0, len(short), 512):
+        least = np.minimum(least, ((short[i : i + 512, None] ^ _MASKS) * _ODDS).min(axis=0))
+    halves = least.view(np.uint64).reshape(BANDS, -1)
+    keys = np.zeros(BANDS, np.uint64)
+    for half in halves.T:
+        keys = _second(keys ^ half)
+    return keys.view(np.int64)
+
+
 def alike(a: np.ndarray, b: np.ndarray, similarity: float = SIMILARITY) -> bool:
     """Whether two sets of ascending distinct hashes reach the Jaccard similarity."""
     few, many = sorted((len(a), len(b)))
@@ -217,11 +236,13 @@ def alike(a: np.ndarray, b: np.ndarray, similarity: float = SIMILARITY) -> bool:
 def _wide(shingle: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            marks = np.zeros((batch.num_rows, 4), np.uint64)
+            marks, keys = np.zeros((batch.num_rows, 4), np.uint64), np.zeros((batch.num_rows, BANDS), np.int64)
             for i, t in enumerate(batch.column(2)):
                 found = shingle_set(t.as_py(), shingle)
                 marks[i] = majority(found, True), majority(_second(found), True), xxhash.xxh64_intdigest(found.tobytes(), SEED), len(found)
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *map(pa.array, marks.view(np.int64).T.copy())], ["doc_id", "row", "a", "b", "id", "n"])
+                keys[i] = band_keys(found)
+            bands = pa.ListArray.from_arrays(pa.array(np.arange(batch.num_rows + 1) * BANDS, pa.int32()), pa.array(keys.ravel()))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *map(pa.array, marks.view(np.int64).T.copy()), bands], ["doc_id", "row", "a", "b", "id", "n", "keys"])
 
     return run
 
@@ -250,35 +271,125 @@ def _near_pairs(left: tuple, right: tuple, within: bool, radius: int) -> Iterato
             yield x[other], y[other], far[other]
 
 
-def _side(table: pa.Table) -> tuple:
-    """ids and both halves in the order of population counts, the counts and that order."""
-    ids, a, b = (np.array(table.column(n)) for n in ("id", "a", "b"))
-    a, b = a.view(np.uint64), b.view(np.uint64)
-    count = np.bitwise_count(a).astype(np.int64) + np.bitwise_count(b)
-    order = np.argsort(count, kind="stable")
-    return ids[order], a[order], b[order], count[order], order
+class Parts:
+    """Which of the sets 0..n-1 are joined: each points at a smaller one of its part, or at itself."""
 
+    def __init__(self, n: int):
+        self.up = np.arange(n)
 
-def _two_sides(key, table: pa.Table) -> tuple[pa.Table, pa.Table | None]:
-    low, high = (k.as_py() for k in key[-2:])
-    group = np.array(table.column("g"))
-    return table.filter(pa.array(group == low)), None if low == high else table.filter(pa.array(group == high))
+    def flatten(self) -> None:
+        while not np.array_equal(above := self.up[self.up], self.up):
+            self.up = above
 
+    def apart(self, x: np.ndarray, y: np.ndarray) -> np.ndarray:
+        return self.up[x] != self.up[y]
 
-def _compare_groups(radius: int):
-    """All pairs between two groups (or within one)."""
+    def join(self, x: np.ndarray, y: np.ndarray) -> None:
+        """Joins all pairs at once: the larger root of each pair points at the smaller, until no pair is apart."""
+        while len(x):
+            p, q = self.up[x], self.up[y]
+            np.minimum.at(self.up, np.maximum(p, q), np.minimum(p, q))
+            self.flatten()
+            still = self.apart(x, y)
+            x, y = x[still], y[still]
 
-    def run(key, table):
-        low, high = _two_sides(key, table)
-        left = _side(low)
-        right = left if high is None else _side(high)
-        forest, out = Forest(), []
-        for x, y, _ in _near_pairs(left, right, high is None, radius):
-            forest.join(left[0][x], right[0][y])
-            if len(forest.up) >= HELD_LINKS:
-                out.append(forest.edges())
-        out.append(forest.edges())
-        return pa.Table.from_batches(out)
+    def edges(self, ids: np.ndarray) -> pa.RecordBatch:
+        moved = np.flatnonzero(self.up != np.arange(len(self.up)))
+        return _edges(ids[moved], ids[self.up[moved]])
+
+
+def _edges(u: np.ndarray, v: np.ndarray) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], ["u", "v"])
+
+
+class Side:
+    """Sets in the order of their fingerprints' population counts; ``at``: their numbers in what they come from."""
+
+    def __init__(self, at: np.ndarray, ids: np.ndarray, a: np.ndarray, b: np.ndarray):
+        count = np.bitwise_count(a).astype(np.int64) + np.bitwise_count(b)
+        order = np.argsort(count, kind="stable")
+        self.at, self.ids, self.a, self.b, self.count = at[order], ids[order], a[order], b[order], count[order]
+
+    def __len__(self) -> int:
+        return len(self.at)
+
+
+def _near_pairs(left: Side, right: Side, radius: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Rows of two sides within the radius, and how far they are apart, tile by tile; tiles whose counts differ more are skipped. A side against itself gives each pair once."""
+    within = left is right
+    for i in range(0, len(left), _TILE):
+        a, b, count = (x[i : i + _TILE] for x in (left.a, left.b, left.count))
+        begin, end = np.searchsorted(right.count, [count[0] - radius, count[-1] + radius + 1])
+        for j in range(max(begin, i) if within else begin, end, _TILE):
+            z = min(end, j + _TILE)
+            far = np.bitwise_count(a[:, None] ^ right.a[None, j:z])
+            far += np.bitwise_count(b[:, None] ^ right.b[None, j:z])
+            x, y = np.nonzero(far <= radius)
+            far, x, y = far[x, y], x + i, y + j
+            other = x < y if within else left.ids[x] != right.ids[y]
+            yield x[other], y[other], far[other]
+
+
+def _sides(table: dict[str, np.ndarray], rows: np.ndarray) -> tuple[Side, Side]:
+    """The two blocks of a comparison, or twice the one."""
+    group, low, high = table["g"][rows], table["low"][rows[0]], table["high"][rows[0]]
+    side = lambda at: Side(at, *(table[n][rows[at]] for n in ("id", "a", "b")))
+    left = side(np.flatnonzero(group == low))
+    return left, left if low == high else side(np.flatnonzero(group == high))
+
+
+def _columns(table: pa.Table) -> dict[str, np.ndarray]:
+    held = {n: table.column(n).to_numpy() for n in table.column_names if n != "hashes"}
+    return held | {n: held[n].view(np.uint64) for n in ("a", "b")}
+
+
+def _compared(table: pa.Table, radius: int) -> Iterator[pa.RecordBatch]:
+    """Edges of whole groups: small ones all together, row against later row; larger ones tile by tile."""
+    t = _columns(table)
+    heads = np.flatnonzero(np.concatenate([[True], (np.diff(t["key"]) != 0) | (np.diff(t["low"]) != 0) | (np.diff(t["high"]) != 0)]))
+    sizes = np.diff(np.append(heads, table.num_rows))
+    group = np.repeat(np.arange(len(heads)), sizes)
+    small = np.flatnonzero((sizes <= _SMALL_GROUP)[group])
+    for d in range(1, _SMALL_GROUP):
+        x = small[small + d < table.num_rows]
+        x = x[group[x] == group[x + d]]
+        if not len(x):
+            break
+        y = x + d
+        near = np.bitwise_count(t["a"][x] ^ t["a"][y]) + np.bitwise_count(t["b"][x] ^ t["b"][y]) <= radius
+        near &= t["id"][x] != t["id"][y]
+        yield _edges(t["id"][x[near]], t["id"][y[near]])
+    for k in np.flatnonzero(sizes > _SMALL_GROUP).tolist():
+        rows = np.arange(heads[k], heads[k] + sizes[k])
+        left, right = _sides(t, rows)
+        parts = Parts(len(rows))
+        for x, y, _ in _near_pairs(left, right, radius):
+            parts.join(left.at[x], right.at[y])
+        yield parts.edges(t["id"][rows])
+
+
+def _compare_bands(radius: int):
+    """Reads rows in the order of their groups and compares whole groups."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, size = [], 0
+        for batch in batches:
+            held.append(batch)
+            size += batch.num_rows
+            if size < _HELD_ROWS:
+                continue
+            table = pa.Table.from_batches(held).combine_chunks()
+            last = np.ones(table.num_rows, bool)
+            for n in ("key", "low", "high"):
+                column = table.column(n).to_numpy()
+                last &= column == column[-1]
+            cut = int(np.argmax(last))
+            if cut:
+                yield from _compared(table.slice(0, cut), radius)
+            held = table.slice(cut).combine_chunks().to_batches()
+            size = table.num_rows - cut
+        if size:
+            yield from _compared(pa.Table.from_batches(held), radius)
 
     return run
 
@@ -286,29 +397,29 @@ def _compare_groups(radius: int):
 def _check_blocks(radius: int, similarity: float):
     """The pairs between two blocks (or within one) of a candidate class that are within the radius and alike; those already joined need no comparison."""
 
-    def sets(table: pa.Table, order: np.ndarray) -> list[np.ndarray]:
-        hashes = table.column("hashes")
-        return [np.frombuffer(hashes[int(i)].as_buffer(), np.uint64) for i in order]
-
     def run(key, table):
-        low, high = _two_sides(key, table)
-        left = _side(low)
-        own = sets(low, left[4])
-        right, others = (left, own) if high is None else ((r := _side(high)), sets(high, r[4]))
-        forest = Forest()
-        for x, y, far in _near_pairs(left, right, high is None, radius):
+        t, hashes = _columns(table), table.column("hashes")
+        sets = lambda side: [np.frombuffer(hashes[int(i)].as_buffer(), np.uint64) for i in side.at]
+        left, right = _sides(t, np.arange(table.num_rows))
+        own = sets(left)
+        others = own if left is right else sets(right)
+        parts = Parts(table.num_rows)
+        for x, y, far in _near_pairs(left, right, radius):
             order = np.argsort(far, kind="stable")
-            for i, j in zip(x[order].tolist(), y[order].tolist(), strict=True):
-                u, v = int(left[0][i]), int(right[0][j])
-                if forest.root(u) != forest.root(v) and alike(own[i], others[j], similarity):
-                    forest.join(left[0][i : i + 1], right[0][j : j + 1])
-        return pa.Table.from_batches([forest.edges()])
+            x, y = x[order], y[order]
+            while len(x):  # a few pairs at a time, as joined ones settle others
+                apart = parts.apart(left.at[x], right.at[y])
+                x, y = x[apart], y[apart]
+                found = np.array([alike(own[i], others[j], similarity) for i, j in zip(x[:256].tolist(), y[:256].tolist(), strict=True)], bool)
+                parts.join(left.at[x[:256][found]], right.at[y[:256][found]])
+                x, y = x[256:], y[256:]
+        return pa.Table.from_batches([parts.edges(t["id"])])
 
     return run
 
 
 def _paired(dealt: DataFrame, groups: Column) -> DataFrame:
-    """Every row once for each group that its own group ``g`` meets, as (low, high)."""
+    """Every row once for each block that its own block ``g`` meets, as (low, high)."""
     return dealt.withColumn("o", F.explode(F.sequence(F.lit(0), groups.cast("int") - 1))).withColumn("low", F.least("g", "o")).withColumn("high", F.greatest("g", "o")).drop("o")
 
 
@@ -316,20 +427,30 @@ def _dealt(groups: Column) -> Column:
     return F.pmod(F.xxhash64("id", F.lit(7)), groups).cast("int")
 
 
+def band_links(nodes: DataFrame, radius: int = WIDE_RADIUS) -> DataFrame:
+    """Edges (u, v) between sets (id, a, b, keys) that agree in a band and whose fingerprints are within the radius: a forest of each comparison's links.
+
+    A band key in a single set goes before anything is compared; one in very many sets is dealt to blocks.
+    """
+    spots = nodes.select("id", "a", "b", F.posexplode("keys").alias("band", "key")).select("id", "a", "b", F.xxhash64("band", "key").alias("key"))
+    shared = spots.groupBy("key").count().where("count > 1").select("key", F.ceil(F.col("count") / BAND_BLOCK).alias("blocks"))
+    met = spots.join(shared, "key").withColumn("g", _dealt(F.col("blocks")))
+    dealt = _paired(met, F.col("blocks")).drop("blocks").repartition(shuffle_parts(nodes.sparkSession), "key", "low", "high").sortWithinPartitions("key", "low", "high")
+    return dealt.mapInArrow(_compare_bands(radius), "u long, v long")
+
+
 def wide_classes(docs: DataFrame, shingle: int = WIDE_SHINGLE, radius: int = WIDE_RADIUS, similarity: float = SIMILARITY) -> DataFrame:
-    """(doc_id, component_id) for every row: classes of texts linked by fingerprints within the radius and a Jaccard similarity of their shingles.
+    """(doc_id, row, component_id, keep) for every row: classes of texts linked by fingerprints within the radius and a Jaccard similarity of their shingles.
 
-    Distinct shingle sets are dealt to groups of a fixed size and their fingerprints
-    compared group by group; the comparisons grow with the square of their number, the
-    memory of a task does not. That gives candidate classes, which hold every candidate
-    pair. Only there the sets travel, and pairs are linked that are alike.
+    ``row`` is the hash of doc_id and text, and ``keep`` marks the class's row of least doc_id (then hash). Distinct
+    shingle sets meet in the tiles of their band keys, where fingerprints are compared; that gives candidate classes.
+    Only there the sets travel, and pairs are linked that are alike.
     """
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string").alias("text")).withColumn("row", F.xxhash64("doc_id", "text"))
-    marks = written(rows.select("doc_id", "row", "text").mapInArrow(_wide(shingle), "doc_id long, row long, a long, b long, id long, n long"), "wide-fingerprints")
-    nodes = marks.groupBy("id", "a", "b", "n").agg(F.min("doc_id").alias("least"), F.min("row").alias("row"))
-    groups = -(-nodes.count() // GROUP) or 1
-    paired = _paired(nodes.select("id", "a", "b", _dealt(F.lit(groups)).alias("g")), F.lit(groups))
-    roots = stars(paired.groupBy("low", "high").applyInArrow(_compare_groups(radius), "u long, v long"))
+    marks = written(rows.select("doc_id", "row", "text").mapInArrow(_wide(shingle), "doc_id long, row long, a long, b long, id long, n long, keys array<long>"), "wide-fingerprints")
+    best = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "row"))
+    nodes = marks.groupBy("id", "a", "b", "n").agg(best.alias("best"), F.min("row").alias("row"), F.first("keys").alias("keys"))
+    roots = stars(band_links(nodes, radius))
     members = roots.select("node", "root").unionByName(roots.select(F.col("root").alias("node"), "root").distinct())
     candidates = written(nodes.join(members, F.col("id") == F.col("node")).select("id", "a", "b", "n", "row", "root"), "candidates")
     sizes = candidates.groupBy("root").agg(F.ceil(F.greatest(F.count("*") / CHECKED, F.sum("n") / CHECKED_SHINGLES, F.lit(1.0))).alias("blocks"))
@@ -338,9 +459,10 @@ def wide_classes(docs: DataFrame, shingle: int = WIDE_SHINGLE, radius: int = WID
     blocked = candidates.join(sizes, "root").withColumn("g", _dealt(F.col("blocks"))).join(sets, "row").select("root", "id", "a", "b", "g", "blocks", "hashes")
     checked = _paired(blocked, F.col("blocks")).drop("blocks")
     roots = stars(checked.groupBy("root", "low", "high").applyInArrow(_check_blocks(radius, similarity), "u long, v long"))
-    rooted = nodes.select("id", "least").join(roots, F.col("id") == F.col("node"), "left").select("id", "least", F.coalesce("root", "id").alias("root"))
-    named = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
-    return marks.join(rooted.select("id", "root").join(named, "root").drop("root"), "id").select("doc_id", "component_id")
+    rooted = nodes.select("id", "best").join(roots, F.col("id") == F.col("node"), "left").select("id", "best", F.coalesce("root", "id").alias("root"))
+    named = rooted.groupBy("root").agg(F.min("best").alias("first"))
+    classed = marks.select("doc_id", "row", "id").join(rooted.select("id", "root").join(named, "root").drop("root"), "id")
+    return classed.select("doc_id", "row", F.col("first.doc_id").alias("component_id"), (F.col("row") == F.col("first.row")).alias("keep"))
 
 
 def hex_digits(fp: Column) -> Column:

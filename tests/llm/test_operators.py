@@ -376,9 +376,55 @@ def test_wide_classes_link_by_exact_similarity(spark, monkeypatch):
     rows = [*enumerate(texts), (90, texts[0]), (90, texts[0])]
     got = {r["doc_id"]: r["component_id"] for r in simhash.wide_classes(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
     assert got == {**want, 90: 0} and 6 < len(set(want.values())) < len(texts)
+    kept = [r for r in simhash.wide_classes(spark.createDataFrame(rows, "doc_id bigint, text string")).collect() if r["keep"]]
+    assert sorted({(r["doc_id"], r["row"]) for r in kept}) == sorted((r["doc_id"], r["row"]) for r in {r["row"]: r for r in kept}.values()) and {r["doc_id"] for r in kept} == set(want.values())
     assert simhash.wide_fingerprint("a b c d e " * 50) == simhash.wide_fingerprint("a b c d e " * 3)
 
 
+@pytest.mark.parametrize("n", [5, 60, 400])
+def test_bands_find_alike_sets(n):
+    rng = np.random.default_rng(n)
+    met, near, pairs = 0, 0, 300
+    for _ in range(pairs):
+        common = int(np.ceil(0.8 / 1.8 * 2 * n))
+        a = rng.integers(0, 2**63, n).astype(np.uint64)
+        b = np.concatenate([a[:common], rng.integers(0, 2**63, n - common).astype(np.uint64)])
+        met += (simhash.band_keys(np.sort(a)) == simhash.band_keys(np.sort(b))).any()
+        marks = [(simhash.majority(np.sort(x), True), simhash.majority(simhash._second(np.sort(x)), True)) for x in (a, b)]
+        near += sum((p ^ q).bit_count() for p, q in zip(*marks, strict=True)) <= simhash.WIDE_RADIUS
+    assert met >= pairs - 1 and near >= pairs - 1
+    strange = [simhash.band_keys(np.sort(rng.integers(0, 2**63, n).astype(np.uint64))) for _ in range(100)]
+    assert not any((x == y).any() for i, x in enumerate(strange) for y in strange[:i])
+
+
+def test_links_of_small_and_large_groups(spark, monkeypatch):
+    import pyarrow as pa
+
+    rng = np.random.default_rng(6)
+    out = []
+    for key, size in ((1, 3), (2, 1), (5, 200), (9, 64), (11, 65), (12, 2)):
+        for _ in range(size):
+            base = rng.integers(-(2**62), 2**62, 2) if rng.random() < 0.3 or not out else out[int(rng.integers(0, len(out)))][5:]
+            a, b = (int(x) ^ (1 << int(k)) for x, k in zip(base, rng.integers(0, 60, 2), strict=True))
+            out.append((key, 0, 0, 0, len(out), a, b))
+    table = pa.table({n: [r[i] for r in out] for i, n in enumerate(("key", "low", "high", "g", "id", "a", "b"))})
+    got = [e for batch in simhash._compared(table, 6) for e in zip(*(batch.column(i).to_pylist() for i in (0, 1)), strict=True)]
+    up = {i: i for i in range(len(out))}
+
+    def root(i):
+        return i if up[i] == i else root(up[i])
+
+    brute = {(r[4], s[4]) for r in out for s in out if r[0] == s[0] and r[4] < s[4] and (r[5] ^ s[5]).bit_count() + (r[6] ^ s[6]).bit_count() <= 6}
+    for u, v in got:
+        assert out[u][0] == out[v][0]
+        up[max(root(u), root(v))] = min(root(u), root(v))
+    mine = [root(i) for i in range(len(out))]
+    up = {i: i for i in range(len(out))}
+    for u, v in brute:
+        up[max(root(u), root(v))] = min(root(u), root(v))
+    assert mine == [root(i) for i in range(len(out))] and len(set(mine)) < len(out)
+
+
 def test_components_of_a_long_chain(spark):
     from quadpost.llm.components import stars
 
