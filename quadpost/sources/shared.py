@@ -49,7 +49,14 @@ def written(df: DataFrame, name: str, partition_by: list[str] | None = None) ->
         writer = writer.partitionBy(*partition_by)
     writer.parquet(path)
     atexit.register(_delete, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
+    held = spark.read.schema(df.schema).parquet(path)
+    held._quadpost_path = path
+    return held
+
+
+def drop(held: DataFrame) -> None:
+    """Deletes a table of ``written`` that nothing reads any more."""
+    _delete(held.sparkSession, held._quadpost_path)
 
 
 def shuffle_parts(spark: SparkSession) -> int:
