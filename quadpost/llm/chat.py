@@ -1,8 +1,9 @@
 """Reply trees to chat strings, in DataFrame operations only.
 
-Iterative self-joins walk from each message towards its root, doubling the part
-of the path they know at every join. Branches are ranked by score; each chosen
-root-to-leaf path becomes one string:
+Iterative self-joins walk from each message towards its root: a round knows the
+message twice as far up, and the score of all between. Branches are ranked by score.
+Only the chosen leaves' paths are listed, by the same rounds from the last to the
+first: each doubles the messages that a path has. A path becomes one string:
 
     <|start|>ROLE<|text|>TEXT<|end|><|start|>...
 
@@ -64,22 +65,30 @@ def reply_paths(messages: DataFrame, best: int = 1) -> DataFrame:
     most = nodes.groupBy("conv").count().agg(F.max("count")).first()[0] or 1
     parents = nodes.select("conv", F.col("parent_id").alias("msg_id")).where("msg_id IS NOT NULL").distinct()
     leaves = nodes.select("conv", "msg_id").join(parents, ["conv", "msg_id"], "left_anti").select("conv", F.col("msg_id").alias("leaf"))
-    part = nodes.select("conv", "msg_id", F.col("parent_id").alias("top"), F.array("msg_id").alias("path"), "score")
-    real = part.select("conv", F.col("msg_id").alias("top"), F.lit(True).alias("known"))
-    part = part.join(real, ["conv", "top"], "left").select("conv", "msg_id", F.when(F.col("known"), F.col("top")).alias("top"), "path", "score")
+    real = nodes.select("conv", F.col("msg_id").alias("top"), F.lit(True).alias("known"))
+    part = nodes.withColumnRenamed("parent_id", "top").join(real, ["conv", "top"], "left").select("conv", "msg_id", F.when(F.col("known"), F.col("top")).alias("top"), "score")
+    part = written(part, "ancestors")
+    ups = [part]  # of round k: the message 2^k steps up
     for _ in range(ceil(log2(max(most, 1)))):
-        above = part.select("conv", F.col("msg_id").alias("top"), F.col("top").alias("next"), F.col("path").alias("before"), F.col("score").alias("add"))
-        longer = part.join(above, ["conv", "top"], "left").select(
-            "conv", "msg_id", F.col("next").alias("top"), F.concat(F.coalesce("before", F.array().cast("array<bigint>")), "path").alias("path"), (F.col("score") + F.coalesce("add", F.lit(0.0))).alias("score")
-        )
-        part = written(longer, "paths")
+        above = part.select("conv", F.col("msg_id").alias("top"), F.col("top").alias("next"), F.col("score").alias("add"))
+        further = part.join(above, ["conv", "top"], "left").select("conv", "msg_id", F.col("next").alias("top"), (F.col("score") + F.coalesce("add", F.lit(0.0))).alias("score"))
+        part = written(further, "ancestors")
+        ups.append(part)
     branches = part.where("top IS NULL").join(leaves.withColumnRenamed("leaf", "msg_id"), ["conv", "msg_id"], "left_semi")
-    conv = F.when(~F.col("conv.no"), F.col("conv.id")).alias("conv_id")
     if best == 1:
-        top = branches.groupBy("conv").agg(F.max_by(F.struct("path", "score"), F.struct("score", -F.col("msg_id"))).alias("b"))
-        return top.select(conv, F.lit(1).alias("rank"), "b.path", "b.score")
-    order = W.partitionBy("conv").orderBy(F.desc("score"), "msg_id")
-    return branches.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= best).select(conv, "rank", "path", "score")
+        top = branches.groupBy("conv").agg(F.max_by(F.struct("msg_id", "score"), F.struct("score", -F.col("msg_id"))).alias("b"))
+        chosen = top.select("conv", F.lit(1).alias("rank"), "b.score", "b.msg_id")
+    else:
+        order = W.partitionBy("conv").orderBy(F.desc("score"), "msg_id")
+        chosen = branches.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= best).select("conv", "rank", "score", "msg_id")
+    listed = written(chosen.withColumn("steps", F.lit(0)), "paths")
+    for k in reversed(range(len(ups) - 1)):
+        up = ups[k].where("top IS NOT NULL").select("conv", "msg_id", "top")
+        more = listed.join(up, ["conv", "msg_id"]).select("conv", "rank", "score", F.col("top").alias("msg_id"), (F.col("steps") + (1 << k)).alias("steps"))
+        listed = written(listed.unionByName(more), "paths")
+    path = F.reverse(F.sort_array(F.collect_list(F.struct("steps", "msg_id"))))["msg_id"]
+    conv = F.when(~F.col("conv.no"), F.col("conv.id")).alias("conv_id")
+    return listed.groupBy("conv", "rank", "score").agg(path.alias("path")).select(conv, "rank", "path", "score")
 
 
 def format_paths(messages: DataFrame, paths: DataFrame) -> DataFrame:
