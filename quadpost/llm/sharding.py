@@ -43,18 +43,23 @@ def _prefix(hashed: Column, depth: Column | int) -> Column:
 
 
 def _directory(cells: DataFrame, low: int, high: int, limit: int) -> DataFrame:
-    """For each cell (a prefix of ``high`` bits): its leaf's depth in low..high, or null if all are too large."""
-    tall = cells.select("*", F.explode(F.sequence(F.lit(low), F.lit(high))).alias("depth"))
+    """For each cell (a prefix of ``high`` bits): its bucket's depth in low..high, or null if all are too large.
+
+    Bytes are summed by bucket, partial sums first. A bucket is a leaf if it fits and the
+    one that it was split from did not; the directory has one entry for each of the
+    cells that a leaf takes up.
+    """
+    tall = cells.select("bytes", "least", "most", "rows", F.explode(F.sequence(F.lit(low), F.lit(high))).alias("depth"), "cell")
     tall = tall.withColumn("prefix", F.call_function("shiftright", F.col("cell"), F.lit(high) - F.col("depth")))
-    sums = tall.groupBy("depth", "prefix").agg(
-        F.sum("bytes").alias("shard_bytes"), F.min("least").alias("least"), F.max("most").alias("most"), F.sum("rows").alias("rows")
-    )
-    fits = sums.where((F.col("shard_bytes") <= limit) | (F.col("least") == F.col("most")))
-    found = tall.select("cell", "depth", "prefix").join(fits, ["depth", "prefix"])
-    leaf = found.groupBy("cell").agg(F.min(F.struct("depth", "prefix", "shard_bytes", "rows", F.col("least") == F.col("most"))).alias("leaf"))
-    return cells.select("cell").join(leaf, "cell", "left").select(
-        "cell", F.col("leaf.depth").alias("depth"), F.col("leaf.prefix").alias("prefix"), F.col("leaf.shard_bytes").alias("shard_bytes"), F.col("leaf.rows").alias("rows"), F.col("leaf.col5").alias("one_key")
-    )
+    sums = tall.groupBy("depth", "prefix").agg(F.sum("bytes").alias("shard_bytes"), (F.min("least") == F.max("most")).alias("one_key"), F.sum("rows").alias("rows"))
+    sums = written(sums.withColumn("fits", (F.col("shard_bytes") <= limit) | F.col("one_key")), "shard-buckets")
+    born = sums.where(~F.col("fits")).select((F.col("depth") + 1).alias("depth"), F.explode(F.array(F.col("prefix") * 2, F.col("prefix") * 2 + 1)).alias("prefix"))
+    leaves = sums.where("fits").join(born.unionByName(sums.where(F.col("depth") == low).select("depth", "prefix")), ["depth", "prefix"], "left_semi")
+    wide = F.lit(high) - F.col("depth")
+    first = F.call_function("shiftleft", F.col("prefix"), wide)
+    entries = leaves.select(F.explode(F.sequence(first, first + F.call_function("shiftleft", F.lit(1).cast("long"), wide) - 1)).alias("cell"), "depth", "prefix", "shard_bytes", "rows", "one_key")
+    large = sums.where((F.col("depth") == high) & ~F.col("fits")).select(F.col("prefix").alias("cell"), *[F.lit(None).cast(t).alias(c) for c, t in (("depth", "int"), ("prefix", "long"), ("shard_bytes", "long"), ("rows", "long"), ("one_key", "boolean"))])
+    return entries.unionByName(large)
 
 
 def assign_shards(df: DataFrame, key: str, size: Column, limit: int) -> DataFrame:
@@ -112,10 +117,11 @@ def _chains(rows: DataFrame, limit: int) -> DataFrame:
     room = F.lit(limit) - most
     before = F.sum("n_bytes").over(by.rowsBetween(W.unboundedPreceding, -1))
     numbered = salted.withColumn("_q_page", F.when(room >= most, F.floor(F.coalesce(before, F.lit(0)) / F.greatest(room, F.lit(1)))).otherwise(F.row_number().over(by) - 1))
-    return (
-        numbered.withColumn("page", F.dense_rank().over(W.partitionBy("shard").orderBy("_q_salt", "_q_page")))
-        .withColumn("shard_bytes", F.sum("n_bytes").over(W.partitionBy("shard", "_q_salt", "_q_page")))
-    )
+    spot = ["shard", "_q_salt", "_q_page"]
+    numbered = numbered.withColumn("shard_bytes", F.sum("n_bytes").over(W.partitionBy(*spot)))
+    # one row per page is numbered, not one per row of a repeated key
+    pages = numbered.select(*spot).distinct().withColumn("page", F.row_number().over(W.partitionBy("shard").orderBy("_q_salt", "_q_page")))
+    return numbered.join(pages, spot)
 
 
 def write_shards(assigned: DataFrame, path: str, files: int) -> None:
