@@ -10,9 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from quadpost.llm.staging import written
-
-MAX_ROUNDS = 60
+from quadpost.llm.staging import drop, written
 
 
 def _large(edges: DataFrame) -> DataFrame:
@@ -34,9 +32,9 @@ def _tidy(edges: DataFrame) -> DataFrame:
 def stars(edges: DataFrame) -> DataFrame:
     """edges (u, v) of longs -> (node, root): root is the least node of its component; roots themselves have no row."""
     now, seen = written(_tidy(edges), "edges"), None
-    for _ in range(MAX_ROUNDS):
+    while True:
         mark = tuple(now.agg(F.count("*"), F.bit_xor(F.xxhash64("u", "v")), F.sum(F.pmod(F.xxhash64("v", "u"), F.lit(1 << 40)))).first())
         if mark == seen or not mark[0]:
             return now.select(F.col("u").alias("node"), F.col("v").alias("root"))
-        now, seen = written(_tidy(_small(_tidy(_large(now)))), "edges"), mark
-    raise RuntimeError("components did not settle")
+        before, now, seen = now, written(_tidy(_small(_tidy(_large(now)))), "edges"), mark
+        drop(before)

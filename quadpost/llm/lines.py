@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from quadpost.llm.staging import shuffle_parts, written
+from quadpost.llm.staging import drop, shuffle_parts, written
 
 RUN_LINES, MIN_WORDS = 2, 5
 
@@ -57,7 +57,9 @@ def _ranked(suffixes: DataFrame, pair: list[str]) -> DataFrame:
     ordered = repeated.repartitionByRange(shuffle_parts(spark), *pair).sortWithinPartitions(*pair)
     ranks = written(ordered.withColumn("rank", F.monotonically_increasing_id()), "line-ranks")
     keep = [c for c in suffixes.columns if c not in (*pair, "rank", "first")]
-    return written(suffixes.drop("first").join(ranks.withColumnRenamed("rank", "_q_rank"), pair).select(*keep, F.col("_q_rank").alias("rank"), "first"), "suffixes")
+    ranked = written(suffixes.drop("first").join(ranks.withColumnRenamed("rank", "_q_rank"), pair).select(*keep, F.col("_q_rank").alias("rank"), "first"), "suffixes")
+    drop(ranks)
+    return ranked
 
 
 def suffix_rounds(lines: DataFrame, length: int | None = None) -> list[tuple[int, DataFrame]]:

@@ -684,6 +684,22 @@ def test_reply_tree_takes_the_best_branch(spark):
     assert chat.format_paths(m.limit(0), chat.reply_paths(m.limit(0))).count() == 0
 
 
+def test_long_chains_equal_ids_and_clashing_columns(spark):
+    long = [(1, i, i - 1 if i else None, "user", f"t{i}", 0.5, "x", 0) for i in range(300)]
+    rows = long + [(2, 1, None, "user", "b", 0.0, "x", 0), (2, 1, None, "user", "a", 0.0, "y", 1), (2, 2, 1, "assistant", None, 1.0, None, None), (2, 2, 1, "assistant", "c", 2.0, None, None), (None, 5, None, None, None, None, None, None)]
+    m = spark.createDataFrame(rows, "conv_id bigint, msg_id bigint, parent_id bigint, role string, text string, score double, top string, steps int")
+    paths = chat.reply_paths(m)
+    got = {r["conv_id"]: (r["path"], r["score"]) for r in paths.collect()}
+    assert got == {1: (list(range(300)), 150.0), 2: ([1, 2], 2.0), None: ([5], 0.0)}
+    made = {r["conv_id"]: r["formatted"] for r in chat.format_paths(m, paths).collect()}
+    assert made[1].count(chat.START) == 300 and made[2] == f"{chat.START}user{chat.TEXT}a{chat.END}{chat.START}assistant{chat.TEXT}{chat.END}"
+
+
+def test_chat_plan_has_no_python(spark):
+    plan = queries.op9_chat_formatting(spark, SMALL)._jdf.queryExecution().executedPlan().toString()
+    assert not re.search("Python|Arrow|Pandas", plan)
+
+
 # --- 10 ----------------------------------------------------------------------------------------------------------------
 
 
