@@ -37,6 +37,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import Window as W
 
 from quadpost.llm.staging import shuffle_parts, written
 
@@ -130,11 +131,16 @@ def common_grams(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, most:
     return np.sort(np.array(held.column(0), np.int64).view(np.uint64))
 
 
-def _key():
-    return [F.col("doc_id").cast("long").alias("doc"), F.xxhash64("text").alias("th")]
+_LEAST = -(1 << 63)
 
 
-_KMERS = "doc long, th long, start int, windows int, mini long, b1 long, b2 long"
+def _keyed(docs: DataFrame) -> DataFrame:
+    """(doc, low, th, text): low is doc with null as the least; low and th name a document."""
+    doc = F.col("doc_id").cast("long")
+    return docs.select(doc.alias("doc"), F.coalesce(doc, F.lit(_LEAST)).alias("low"), F.xxhash64("text").alias("th"), F.col("text").cast("string").alias("text"))
+
+
+_KMERS = "low long, th long, start int, windows int, mini long, b1 long, b2 long"
 _PACKED = "mini long, b1 long, b2 long, low long, windows int, packed binary"
 _RUNS = "mini long, b1 long, b2 long, first int, last int"
 
@@ -150,7 +156,7 @@ def _cut(window: int, gram: int, common):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             out: list[tuple] = []
-            for doc, th, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True):
+            for doc, th, text in zip(*(batch.column(k).to_pylist() for k in (0, 1)), batch.column(2), strict=True):
                 ws = words(text.as_py())
                 for start, n, mini in super_kmers(ws, window, gram, common.value):
                     high, low = divmod(xxhash.xxh3_128_intdigest(b" ".join(ws[start : start + n + window - 1])), 1 << 64)
@@ -166,7 +172,7 @@ def _packed(window: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             out = []
-            for low, text, wanted in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2).to_pylist(), strict=True):
+            for low, text, wanted in zip(batch.column(1).to_pylist(), batch.column(2), batch.column(3).to_pylist(), strict=True):
                 ws = words(text.as_py())
                 out += [(w["mini"], w["b1"], w["b2"], low, w["windows"], b" ".join(ws[w["start"] : w["start"] + w["windows"] + window - 1])) for w in wanted]
             yield _batch(out, _PACKED)
@@ -227,21 +233,20 @@ def _count(window: int, chunk: int):
 
 
 def covered_spans(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, common: int = COMMON, chunk: int = CHUNK_BYTES) -> DataFrame:
-    """(doc, th, spans): for each document the word spans (from, to) that windows of smaller documents cover."""
-    spark = docs.sparkSession
+    """(low, th, spans): for each document the word spans (from, to) that windows of smaller documents cover."""
+    spark, rows = docs.sparkSession, _keyed(docs)
     last = spark.sparkContext.broadcast(common_grams(docs, window, gram, common))  # at most COMMON longs
-    kmers = written(docs.select(*_key(), F.col("text").cast("string").alias("text")).where("text IS NOT NULL").mapInArrow(_cut(window, gram, last), _KMERS), "superkmers")
+    kmers = written(rows.where("text IS NOT NULL").select("low", "th", "text").mapInArrow(_cut(window, gram, last), _KMERS), "superkmers")
     body = ["mini", "b1", "b2"]
-    low = F.coalesce("doc", F.lit(-(1 << 63)))
-    place = F.struct(low.alias("low"), "doc", "th", "start", "windows")
-    bodies = kmers.groupBy(*body).agg(F.min(place).alias("at"), F.max(low).alias("high"))
-    shared = bodies.groupBy("mini").agg(F.count("*").alias("kinds"), F.min("at.low").alias("a"), F.max("high").alias("b")).where("a < b")
-    first = written(bodies.join(shared, "mini").select(*body, "at.doc", "at.low", "at.th", "at.start", "at.windows", "kinds"), "first-superkmers")
+    bodies = kmers.groupBy(*body).agg(F.min(F.struct("low", "th", "start", "windows")).alias("at"), F.max("low").alias("high"))
+    every = W.partitionBy("mini")  # the different super-k-mers of a minimiser
+    shared = bodies.withColumns({"kinds": F.count("*").over(every), "a": F.min("at.low").over(every), "b": F.max("high").over(every)}).where("a < b")
+    first = written(shared.select(*body, "at.*", "kinds"), "first-superkmers")
     # of each first copy with a rival under its minimiser: the packed string
-    rival = first.where("kinds > 1").select("doc", "th", F.struct(*body, "start", "windows").alias("w"))
-    asked = rival.groupBy("doc", "th").agg(F.collect_list("w").alias("wanted")).withColumnsRenamed({"doc": "_d", "th": "_t"})
-    texts = docs.select(*_key(), F.col("text").cast("string").alias("text")).dropDuplicates(["doc", "th"])
-    fetch = texts.join(asked, texts["doc"].eqNullSafe(asked["_d"]) & (texts["th"] == asked["_t"])).select(low.alias("low"), "text", "wanted")
+    rival = first.where("kinds > 1").select("low", "th", F.struct(*body, "start", "windows").alias("w"))
+    asked = rival.groupBy("low", "th").agg(F.collect_list("w").alias("wanted"))
+    # the text travels once: the join of dedup_substrings has the same exchange
+    fetch = rows.join(asked, ["low", "th"]).select("doc", "low", "text", "wanted")
     # words of a text are about six bytes, and a super-k-mer about seventy words
     total = rival.count() * 6 * (window + 20)
     buckets = max(shuffle_parts(spark), -(-total // BUCKET_BYTES))
@@ -249,17 +254,17 @@ def covered_spans(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, commo
     decided = dealt.mapInArrow(_count(window, chunk), _RUNS).groupBy(*body).agg(F.collect_list(F.struct("first", "last")).alias("runs"))
     # back to every place: whole later copies, and the runs of first copies
     verdict = first.select(*body, F.col("low").alias("least")).join(decided, body, "left")
-    placed = kmers.select("*", low.alias("low")).join(verdict, body)
+    placed = kmers.join(verdict, body)
     whole = F.array(F.struct(F.lit(0).alias("first"), (F.col("windows") - 1).alias("last")))
-    spots = placed.select("doc", "th", "start", F.explode(F.when(F.col("low") > F.col("least"), whole).otherwise(F.col("runs"))).alias("r"))
-    spans = spots.select("doc", "th", F.struct((F.col("start") + F.col("r.first")).alias("from"), (F.col("start") + F.col("r.last") + window).alias("to")).alias("s"))
-    return spans.groupBy("doc", "th").agg(F.collect_list("s").alias("spans"))
+    spots = placed.select("low", "th", "start", F.explode(F.when(F.col("low") > F.col("least"), whole).otherwise(F.col("runs"))).alias("r"))
+    spans = spots.select("low", "th", F.struct((F.col("start") + F.col("r.first")).alias("from"), (F.col("start") + F.col("r.last") + window).alias("to")).alias("s"))
+    return spans.groupBy("low", "th").agg(F.collect_list("s").alias("spans"))
 
 
 def _kept(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         n, gone, texts = [], [], []
-        for text, spans in zip(batch.column(1), batch.column(2).to_pylist(), strict=True):
+        for text, spans in zip(batch.column(2), batch.column(3).to_pylist(), strict=True):
             ws = words(text.as_py())
             n.append(len(ws))
             kept, end, lost = [], 0, 0
@@ -276,7 +281,6 @@ def _kept(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def dedup_substrings(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, common: int = COMMON, chunk: int = CHUNK_BYTES) -> DataFrame:
     """(doc_id, n_words, n_removed, kept_sha256, kept binary): each document without the words that repeat a smaller document's windows."""
-    keyed = docs.select(*_key(), F.col("text").cast("string").alias("text"))
-    spans = covered_spans(docs, window, gram, common, chunk).withColumnsRenamed({"doc": "_d", "th": "_t"})
-    joined = keyed.join(spans, keyed["doc"].eqNullSafe(spans["_d"]) & (keyed["th"] == spans["_t"]), "left").select("doc", "text", "spans")
+    spans = covered_spans(docs, window, gram, common, chunk)
+    joined = _keyed(docs).join(spans, ["low", "th"], "left").select("doc", "low", "text", "spans")
     return joined.mapInArrow(_kept, "doc_id long, n_words long, n_removed long, kept_sha256 string, kept binary")
