@@ -3,17 +3,32 @@
 Words come back all the time, so ids are kept by word. A text is cut before a space
 that stands between two characters which are no white space: the vocabulary's
 pattern begins a piece at every such space and never reaches over it, and special
-tokens hold no space, so the parts' ids one after another are the text's ids.
+tokens hold no space, so the parts' ids one after another are the text's ids. A part
+of Latin letters alone is one piece of that pattern, and a mark after them another:
+the library's model reads such pieces without the rest of its call.
 """
 
 from __future__ import annotations
 
 import os
+from array import array
 
 import numpy as np
 
 #: Words whose ids are kept, and the longest such word. The store is emptied when it is full.
 KEPT_WORDS, KEPT_LENGTH = 400_000, 64
+_MARKS, _LATIN_END = ".,;:!?", "\u0250"
+
+
+def _byte_letters() -> dict[int, str]:
+    """The public byte-level alphabet: printable bytes stand for themselves, the others for the characters from 256 on."""
+    printable = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    others = [b for b in range(256) if b not in printable]
+    return {b: chr(256 + i) for i, b in enumerate(others)}
+
+
+def _letters(word: str) -> bool:
+    return word.isalpha() and max(word) < _LATIN_END
 
 
 class Encoder:
@@ -21,7 +36,28 @@ class Encoder:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
-        self._tokenizer, self._kept = Tokenizer.from_file(path), {}
+        self._tokenizer, self._kept, self._bytes = Tokenizer.from_file(path), {}, _byte_letters()
+        self._model = self._tokenizer.model
+        self._marks = dict(zip(_MARKS, self._read(list(_MARKS)), strict=True))
+
+    def _word(self, letters: str) -> bytes:
+        """The ids of a space and letters."""
+        piece = f" {letters}".encode().decode("latin-1").translate(self._bytes)
+        return array("I", [t.id for t in self._model.tokenize(piece)]).tobytes()
+
+    def _parts(self, new: list[str]) -> dict[str, bytes]:
+        """The ids of parts, each after a space."""
+        read, rest = {}, []
+        for p in new:
+            if _letters(p):
+                read[p] = self._word(p)
+            elif p[-1] in self._marks and _letters(p[:-1]):
+                word = p[:-1]
+                read[p] = (self._kept.get(word) or self._word(word)) + self._marks[p[-1]]
+            else:
+                rest.append(p)
+        read.update(zip(rest, self._read([f" {p}" for p in rest]), strict=True))
+        return read
 
     def _read(self, texts: list[str]) -> list[bytes]:
         return [np.array(e.ids, "<u4").tobytes() for e in self._tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
@@ -33,8 +69,7 @@ class Encoder:
         get = self._kept.get
         found = list(map(get, parts))
         if None in found:
-            new = list({p for p, ids in zip(parts, found, strict=True) if ids is None})
-            read = dict(zip(new, self._read([f" {p}" for p in new]), strict=True))
+            read = self._parts(list({p for p, ids in zip(parts, found, strict=True) if ids is None}))
             found = [read[p] if ids is None else ids for p, ids in zip(parts, found, strict=True)]
             if len(self._kept) > KEPT_WORDS:
                 self._kept.clear()

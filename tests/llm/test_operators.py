@@ -647,6 +647,13 @@ def test_ids_of_any_text(plain, text):
     assert ours.ids(text).tolist() == plain(text)
 
 
+def test_ids_of_latin_letters(plain):
+    ours = tokens.encoder(tokens.default_path())
+    letters = [chr(c) for c in range(0x20, 0x260)]
+    for text in (" ".join(letters), " ".join(f"a{c}b." for c in letters), "".join(letters), "so Word, word; WORD: été! straße? naïve... l'eau, x.. don't. ªº µm, ĳ ǆ."):
+        assert ours.ids(text).tolist() == plain(text)
+
+
 def test_a_full_store_of_words_is_emptied(plain, monkeypatch):
     monkeypatch.setattr(tokens, "KEPT_WORDS", 5)
     ours = tokens.Encoder(tokens.default_path())
