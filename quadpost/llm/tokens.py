@@ -11,12 +11,14 @@ the library's model reads such pieces without the rest of its call.
 from __future__ import annotations
 
 import os
+import re
 from array import array
 
 import numpy as np
 
 #: Words whose ids are kept, and the longest such word. The store is emptied when it is full.
-KEPT_WORDS, KEPT_LENGTH = 400_000, 64
+KEPT_WORDS, KEPT_LENGTH = 800_000, 64
+_NO_CUT = re.compile(r"\s | \s")
 _MARKS, _LATIN_END = ".,;:!?", "\u0250"
 
 
@@ -38,24 +40,31 @@ class Encoder:
 
         self._tokenizer, self._kept, self._bytes = Tokenizer.from_file(path), {}, _byte_letters()
         self._model = self._tokenizer.model
-        self._marks = dict(zip(_MARKS, self._read(list(_MARKS)), strict=True))
+        self._marks = dict(zip(_MARKS + "\n", self._read(list(_MARKS + "\n")), strict=True))
 
-    def _word(self, letters: str) -> bytes:
-        """The ids of a space and letters."""
-        piece = f" {letters}".encode().decode("latin-1").translate(self._bytes)
+    def _word(self, letters: str, before: str = " ") -> bytes:
+        """The ids of letters with what stands before them: a space or nothing."""
+        piece = f"{before}{letters}".encode().decode("latin-1").translate(self._bytes)
         return array("I", [t.id for t in self._model.tokenize(piece)]).tobytes()
 
+    def _line(self, part: str, before: str) -> bytes | None:
+        """The ids of a word, or of a word and a mark; None of others."""
+        if _letters(part):
+            return (self._kept.get(part) if before else None) or self._word(part, before)
+        if part and part[-1] in _MARKS and _letters(part[:-1]):
+            return self._line(part[:-1], before) + self._marks[part[-1]]
+        return None
+
     def _parts(self, new: list[str]) -> dict[str, bytes]:
-        """The ids of parts, each after a space."""
+        """The ids of parts, each after a space. One line break between two words is a piece of its own."""
         read, rest = {}, []
         for p in new:
-            if _letters(p):
-                read[p] = self._word(p)
-            elif p[-1] in self._marks and _letters(p[:-1]):
-                word = p[:-1]
-                read[p] = (self._kept.get(word) or self._word(word)) + self._marks[p[-1]]
-            else:
+            first, *lines = p.split("\n")
+            ids = [self._line(first, " "), *(self._line(x, "") for x in lines)]
+            if None in ids:
                 rest.append(p)
+            else:
+                read[p] = self._marks["\n"].join(ids)
         read.update(zip(rest, self._read([f" {p}" for p in rest]), strict=True))
         return read
 
@@ -64,7 +73,7 @@ class Encoder:
 
     def ids(self, text: str) -> np.ndarray:
         first, *parts = text.split(" ")
-        if not all(parts) or not text.isprintable():  # white space beside white space has no cut in it
+        if not all(parts) or _NO_CUT.search(text):  # white space beside white space has no cut in it
             first, *parts = _safe_parts([first, *parts])
         get = self._kept.get
         found = list(map(get, parts))
