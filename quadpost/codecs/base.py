@@ -33,6 +33,7 @@ class Codec:
     """encode(values, backend) and decode(block, backend) with plain numpy arrays.
 
     ``positive`` codecs cannot hold zero; ``backends`` names the builds that exist.
+    ``many`` decodes a list of blocks, none of them empty, in one go.
     """
 
     name: str
@@ -42,6 +43,7 @@ class Codec:
     max_bits: int = 32
     backends: tuple[str, ...] = ("lanes",)
     options: dict = field(default_factory=dict)
+    many: Callable[[list[Block]], np.ndarray] | None = None
 
     def encode(self, values, backend: str = "lanes") -> Block:
         x = as_values(values)
@@ -56,6 +58,13 @@ class Codec:
             return np.zeros(0, np.uint32)
         return self.decoder(block, backend)[: block.n].astype(np.uint32)
 
+    def decode_many(self, blocks: list[Block], backend: str = "lanes") -> np.ndarray:
+        """The values of all blocks, one block after another."""
+        if backend == "lanes" and self.many:
+            some = [b for b in blocks if b.n]
+            return self.many(some).astype(np.uint32, copy=False) if some else np.zeros(0, np.uint32)
+        return np.concatenate([self.decode(b, backend) for b in blocks]) if blocks else np.zeros(0, np.uint32)
+
     def bits(self, values) -> int:
         return self.encode(values).bits
 

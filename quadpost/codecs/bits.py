@@ -71,6 +71,18 @@ def pad_to(values: np.ndarray, multiple: int) -> np.ndarray:
     return np.concatenate([values, np.zeros(short, values.dtype)]) if short else values
 
 
+def starts_of(counts: np.ndarray) -> np.ndarray:
+    return np.cumsum(counts) - counts
+
+
+def first_of(values: np.ndarray, held: np.ndarray, wanted: np.ndarray) -> np.ndarray:
+    """Of groups of ``held`` values the first ``wanted`` of each."""
+    if (held == wanted).all():
+        return values
+    inner = np.arange(int(held.sum())) - np.repeat(starts_of(held), held)
+    return values[inner < np.repeat(wanted, held)]
+
+
 def chase(step: np.ndarray) -> np.ndarray:
     """Start positions of a walk over 0..len(step)-1 that moves on by step[position]."""
     out, at, n, hops = [], 0, len(step), step.tolist()

@@ -122,4 +122,4 @@ register(Codec("gamma", _gamma_encode, _gamma_decode, positive=True))
 register(Codec("rice", _rice(rice_parameter), _rice_decode, positive=True))
 register(Codec("rice_best", _rice(rice_best), _rice_decode, positive=True))
 register(Codec("golomb", _golomb_encode, _golomb_decode, positive=True))
-register(Codec("uncompressed", _plain_encode, lambda b, _: np.frombuffer(b.data, "<u4")))
+register(Codec("uncompressed", _plain_encode, lambda b, _: np.frombuffer(b.data, "<u4"), many=lambda blocks: np.frombuffer(b"".join(b.data for b in blocks), "<u4")))

@@ -7,7 +7,7 @@ from functools import cache
 import numpy as np
 
 from quadpost.codecs.base import Block, Codec, register
-from quadpost.codecs.bits import U64, bitlen, ceil_div, chase
+from quadpost.codecs.bits import U64, bitlen, ceil_div, chase, first_of, starts_of
 
 GROUP = 4
 GROUP_BYTES = 8
@@ -133,7 +133,40 @@ def _g8_decode(whole: bool):
     return run
 
 
-register(Codec("vbyte", _vbyte_encode, _vbyte_decode, backends=("lanes", "scalar")))
-register(Codec("gvb", _gvb_encode, _gvb_decode, backends=("lanes", "scalar")))
-register(Codec("g8iu", _g8iu_encode, _g8_decode(True), backends=("lanes", "scalar")))
-register(Codec("g8cu", _g8cu_encode, _g8_decode(False), backends=("lanes", "scalar")))
+def _joined(blocks: list[Block], area: str) -> np.ndarray:
+    return np.frombuffer(b"".join(getattr(b, area) for b in blocks), np.uint8)
+
+
+def _counts(blocks: list[Block]) -> np.ndarray:
+    return np.fromiter((b.n for b in blocks), np.int64, len(blocks))
+
+
+def _vbyte_many(blocks: list[Block]) -> np.ndarray:
+    return _vbyte_decode(Block(0, data=b"".join(b.data for b in blocks)), "lanes")
+
+
+def _gvb_many(blocks: list[Block]) -> np.ndarray:
+    held = GROUP * np.fromiter((len(b.ctrl) for b in blocks), np.int64, len(blocks))
+    sizes = first_of(_gvb_table()[_joined(blocks, "ctrl")].ravel(), held, _counts(blocks))
+    return _gather(_joined(blocks, "data"), starts_of(sizes), sizes, 8)
+
+
+def _g8_many(whole: bool):
+    def run(blocks: list[Block]) -> np.ndarray:
+        """Groups never cross blocks; a block's first value starts at its first byte."""
+        raw = _joined(blocks, "data")
+        ends = np.flatnonzero(np.unpackbits(_joined(blocks, "ctrl"), bitorder="little") == 0)
+        starts = np.concatenate([[0], ends[:-1] + 1])
+        if whole:
+            starts = np.maximum(starts, ends // GROUP_BYTES * GROUP_BYTES)
+        else:
+            starts[starts_of(_counts(blocks))] = starts_of(np.fromiter((len(b.data) for b in blocks), np.int64, len(blocks)))
+        return _gather(raw, starts, ends - starts + 1, 8)
+
+    return run
+
+
+register(Codec("vbyte", _vbyte_encode, _vbyte_decode, backends=("lanes", "scalar"), many=_vbyte_many))
+register(Codec("gvb", _gvb_encode, _gvb_decode, backends=("lanes", "scalar"), many=_gvb_many))
+register(Codec("g8iu", _g8iu_encode, _g8_decode(True), backends=("lanes", "scalar"), many=_g8_many(True)))
+register(Codec("g8cu", _g8cu_encode, _g8_decode(False), backends=("lanes", "scalar"), many=_g8_many(False)))

@@ -14,7 +14,7 @@ import numpy as np
 
 from quadpost.codecs import lanes
 from quadpost.codecs.base import Block, Codec, register
-from quadpost.codecs.bits import U64, bitlen, ceil_div, from_bytes, get_bits, low_mask, pad_to, put_bits, to_bytes
+from quadpost.codecs.bits import U64, bitlen, ceil_div, from_bytes, get_bits, low_mask, pad_to, put_bits, starts_of, to_bytes
 
 HEAD = 8
 EXCEPTION_WIDTHS = (8, 16, 32)
@@ -274,6 +274,26 @@ def _max_decode(s: Scheme, block: Block, backend: str) -> np.ndarray:
     return _load(block.data, lengths, widths, s.laned, backend)
 
 
+def _max_many(s: Scheme):
+    """All frames of all blocks in four lanes at once."""
+
+    def run(blocks: list[Block]) -> np.ndarray:
+        n = np.fromiter((b.n for b in blocks), np.int64, len(blocks))
+        frames = np.fromiter((len(b.ctrl) for b in blocks), np.int64, len(blocks))
+        raw = np.frombuffer(b"".join(b.ctrl for b in blocks), np.uint8).astype(np.int64)
+        quads = ceil_div(n, lanes.LANES)
+        if len(s.frames) == 1:
+            size = s.frames[0] // lanes.LANES
+            lengths = np.full(len(raw), size, np.int64)
+            lengths[np.cumsum(frames) - 1] = quads - size * (frames - 1)
+        else:
+            lengths = np.array(s.frames)[raw >> 5] // lanes.LANES
+            quads = np.add.reduceat(lengths, starts_of(frames))
+        return lanes.unpack_many([b.data for b in blocks], np.repeat((raw & 31) + 1, lengths), quads, n)
+
+    return run
+
+
 _RULES = {"max": (_max_encode, _max_decode), "threshold": (_threshold_encode, _threshold_decode), "cost": (_cost_encode, _cost_decode)}
 
 
@@ -287,6 +307,7 @@ def build(s: Scheme) -> Codec:
         lambda block, backend: decode(s, block, backend),
         backends=("lanes", "scalar") if s.laned else ("lanes",),
         options={"scheme": s},
+        many=_max_many(s) if s.laned and s.rule == "max" else None,
     )
 
 

@@ -9,7 +9,7 @@ from __future__ import annotations
 
 import numpy as np
 
-from quadpost.codecs.bits import U64, low_mask, pad_to
+from quadpost.codecs.bits import U64, first_of, low_mask, pad_to, starts_of
 
 LANES = 4
 WORD = 32
@@ -64,6 +64,14 @@ def unpack(data: bytes, offsets: np.ndarray, widths: np.ndarray, backend: str =
     return out
 
 
+def unpack_many(data: list[bytes], widths: np.ndarray, quads_of: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """The first ``n`` values of each block. widths: of all blocks' quads, ``quads_of`` them a block."""
+    words = np.fromiter(map(len, data), np.int64, len(data)) // (LANES * WORD // 8)
+    run = offsets_of(widths)
+    base = WORD * starts_of(words) - run[starts_of(quads_of)]
+    return first_of(unpack(b"".join(data), run + np.repeat(base, quads_of), widths).ravel(), LANES * quads_of, n)
+
+
 def _pack_one_by_one(rows, offsets, widths, words) -> bytes:
     out = [[0] * LANES for _ in range(words + 1)]
     for row, offset, width in zip(rows.tolist(), offsets.tolist(), widths.tolist(), strict=True):

@@ -13,7 +13,7 @@ import numpy as np
 
 from quadpost.codecs import lanes
 from quadpost.codecs.base import Block, Codec, register
-from quadpost.codecs.bits import U64, bitlen, ceil_div, chase, from_bytes, to_bytes
+from quadpost.codecs.bits import U64, bitlen, ceil_div, chase, first_of, from_bytes, starts_of, to_bytes
 
 GRANULARITIES = (1, 2, 4, 8)
 # By granularity, the bits of a binary descriptor, how many share a control unit, and the unit's bytes.
@@ -128,14 +128,31 @@ def read_descriptors(block: Block, cg: int, ld: str, way: str = "table") -> np.n
 
 
 def decode_by_unit(block: Block, cg: int, ld: str) -> np.ndarray:
-    """The same values, one control unit after another with the bit offset carried on (for the ablation)."""
-    units = read_descriptors(block, cg, ld)
-    per = BINARY_UNIT[cg][0] if ld == "b" else max(1, 8 * len(units) // max(1, 8 * len(block.ctrl)))
-    out, at = [], 0
-    for i in range(0, len(units), per):
-        widths = units[i : i + per] * cg
-        out.append(lanes.unpack(block.data, at + lanes.offsets_of(widths), widths))
-        at += int(widths.sum())
+    """The same values, one control unit after another (for the ablation): a unit's table entry says which descriptors end in it.
+
+    Binary units always hold as many. Of unary codes each byte holds its own number, and a
+    complete code that a byte does not end goes on in the next.
+    """
+    quads, out, at = -(-block.n // lanes.LANES), [], 0
+    if ld == "b":
+        units = binary_table(cg)[np.frombuffer(block.ctrl, f"<u{BINARY_UNIT[cg][1]}").astype(np.int64)]
+    else:
+        count, lengths, tail = unary_table()
+        units, pending = [], 0
+        for byte in block.ctrl:
+            found = lengths[byte][: count[byte]].copy()
+            if len(found):
+                found[0] += pending
+            if ld == "cu":
+                pending = int(tail[byte]) + (0 if len(found) else pending)
+            units.append(found)
+    left = quads
+    for descriptors_of_unit in units:
+        widths = descriptors_of_unit[:left] * cg
+        if len(widths):
+            out.append(lanes.unpack(block.data, at + lanes.offsets_of(widths), widths))
+            at += int(widths.sum())
+            left -= len(widths)
     return np.concatenate(out).ravel()[: block.n].astype(np.uint32)
 
 
@@ -147,10 +164,32 @@ def _decode(cg: int, ld: str, way: str = "table"):
     return run
 
 
+def _descriptors_of_many(blocks: list[Block], quads: np.ndarray, cg: int, ld: str) -> np.ndarray:
+    ctrl, sizes = b"".join(b.ctrl for b in blocks), np.fromiter((len(b.ctrl) for b in blocks), np.int64, len(blocks))
+    if ld == "b":
+        per, size = BINARY_UNIT[cg]
+        return first_of(binary_table(cg)[np.frombuffer(ctrl, f"<u{size}").astype(np.int64)].ravel(), sizes // size * per, quads)
+    if ld == "iu":
+        return read_unary(ctrl, int(quads.sum()), False)
+    zeros = np.flatnonzero(from_bytes(ctrl, msb=True) == 0)
+    before = np.concatenate([[-1], zeros[:-1]])
+    before[starts_of(quads)] = 8 * starts_of(sizes) - 1  # what fills up a block's last byte belongs to no code
+    return zeros - before
+
+
+def _decode_many(cg: int, ld: str):
+    def run(blocks: list[Block]) -> np.ndarray:
+        n = np.fromiter((b.n for b in blocks), np.int64, len(blocks))
+        quads = ceil_div(n, lanes.LANES)
+        return lanes.unpack_many([b.data for b in blocks], _descriptors_of_many(blocks, quads, cg, ld) * cg, quads, n)
+
+    return run
+
+
 def quad_length(cg: int, ld: str, way: str = "table") -> Codec:
     if (cg, ld) not in WAYS:
         raise ValueError(f"no quad_length codec has granularity {cg} with {ld} descriptors: a code would not fit a byte")
-    return Codec(f"ql_{cg}_{ld}", _encode(cg, ld), _decode(cg, ld, way), backends=("lanes", "scalar"))
+    return Codec(f"ql_{cg}_{ld}", _encode(cg, ld), _decode(cg, ld, way), backends=("lanes", "scalar"), many=_decode_many(cg, ld))
 
 
 FAMILY = [register(quad_length(cg, ld)) for cg, ld in WAYS]

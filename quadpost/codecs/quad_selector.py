@@ -6,7 +6,7 @@ import numpy as np
 
 from quadpost.codecs import lanes
 from quadpost.codecs.base import Block, Codec, register
-from quadpost.codecs.bits import U64, bitlen, from_bytes, greedy, put_bits, to_bytes
+from quadpost.codecs.bits import U64, bitlen, ceil_div, first_of, from_bytes, greedy, put_bits, starts_of, to_bytes
 
 # Selector number, values per lane, bits per value.
 SELECTORS = ((0, 32, 1), (1, 16, 2), (2, 10, 3), (3, 8, 4), (4, 6, 5), (5, 5, 6), (6, 4, 8), (7, 3, 10), (8, 2, 16), (9, 1, 32))
@@ -54,10 +54,14 @@ def _decode(block: Block, backend: str) -> np.ndarray:
     if backend == "scalar":
         offsets, widths = _slots(selectors, quads)
         return lanes.unpack(block.data, offsets, widths, backend).ravel()
-    # all vectors of one selector are unpacked by that selector's own shifts and mask
-    words = np.frombuffer(block.data, "<u4").reshape(-1, lanes.LANES)
+    return _unpacked(selectors, block.data)[:quads].ravel()
+
+
+def _unpacked(selectors: np.ndarray, data: bytes) -> np.ndarray:
+    """The quads of all vectors; those of one selector are unpacked by that selector's own shifts and mask."""
+    words = np.frombuffer(data, "<u4").reshape(-1, lanes.LANES)
     num = NUM[selectors]
-    first = np.cumsum(num) - num
+    first = starts_of(num)
     out = np.zeros((int(num.sum()), lanes.LANES), U64)
     for s in np.unique(selectors):
         mine = np.flatnonzero(selectors == s)
@@ -65,9 +69,18 @@ def _decode(block: Block, backend: str) -> np.ndarray:
         shifts = np.arange(n, dtype=np.uint32) * np.uint32(width)
         got = words[mine][:, None, :] >> shifts[None, :, None] & np.uint32((1 << width) - 1)
         out[first[mine][:, None] + np.arange(n)] = got
-    return out[:quads].ravel()
+    return out
+
+
+def _decode_many(blocks: list[Block]) -> np.ndarray:
+    n = np.fromiter((b.n for b in blocks), np.int64, len(blocks))
+    vectors = np.fromiter((len(b.data) for b in blocks), np.int64, len(blocks)) * 8 // VECTOR_BITS
+    raw = np.frombuffer(b"".join(b.ctrl for b in blocks), np.uint8)
+    selectors = first_of(np.stack([raw & 15, raw >> 4], axis=1).ravel().astype(np.int64), 2 * ceil_div(vectors, 2), vectors)
+    held = np.add.reduceat(NUM[selectors], starts_of(vectors))
+    return first_of(_unpacked(selectors, b"".join(b.data for b in blocks)).ravel(), lanes.LANES * held, n)
 
 
-QUAD_SELECTOR = register(Codec("quad_selector", _encode(lanes.quad_or), _decode, backends=("lanes", "scalar")))
+QUAD_SELECTOR = register(Codec("quad_selector", _encode(lanes.quad_or), _decode, backends=("lanes", "scalar"), many=_decode_many))
 #: The same with true maxima, for the ablation of the comparison-free stand-in.
 QUAD_SELECTOR_MAX = Codec("quad_selector_max", _encode(lanes.quad_max), _decode, backends=("lanes", "scalar"))

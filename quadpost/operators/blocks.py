@@ -34,12 +34,6 @@ def _lists(column: pa.ListArray) -> Iterator[np.ndarray]:
         yield values[a:z]
 
 
-def _to_array(lists: list[np.ndarray]) -> pa.Array:
-    offsets = np.concatenate([[0], np.cumsum([len(x) for x in lists])]).astype(np.int32)
-    flat = np.concatenate(lists).astype(np.int64) if lists else np.zeros(0, np.int64)
-    return pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat, pa.int64()))
-
-
 def encode_blocks(df: DataFrame, name: str, col: str = "values", backend: str = "lanes", prefix: str = "", codecs: dict[str, Codec] | None = None, short: str | None = None) -> DataFrame:
     """``df`` without ``col`` and with the block columns of its encoded values.
 
@@ -63,6 +57,22 @@ def encode_blocks(df: DataFrame, name: str, col: str = "values", backend: str =
     return df.mapInArrow(run, f"{fields}, {more}" if fields else more)
 
 
+def decoded(names: list[str], blocks: list[Block], backend: str = "lanes", codecs: dict[str, Codec] | None = None) -> np.ndarray:
+    """The values of a batch's blocks, one block after another; all blocks of one codec are decoded together."""
+    if len(set(names)) == 1:
+        used = (codecs or {}).get(names[0]) or codec(names[0])
+        return used.decode_many(blocks, backend if backend in used.backends else "lanes").astype(np.int64)
+    counts = np.array([b.n for b in blocks], np.int64)
+    which, out = np.array(names), np.empty(int(counts.sum()), np.int64)
+    starts = np.cumsum(counts) - counts
+    for name in sorted(set(names)):
+        mine = np.flatnonzero(which == name)
+        n = counts[mine]
+        inner = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
+        out[np.repeat(starts[mine], n) + inner] = decoded([name], [blocks[i] for i in mine], backend, codecs)
+    return out
+
+
 def decode_blocks(df: DataFrame, col: str = "values", backend: str = "lanes", prefix: str = "", codecs: dict[str, Codec] | None = None) -> DataFrame:
     """``df`` with its block columns turned back into ``col``, an array of integers."""
     gone = tuple(f"{prefix}{n}" for n in _BLOCK_NAMES)
@@ -71,12 +81,11 @@ def decode_blocks(df: DataFrame, col: str = "values", backend: str = "lanes", pr
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            parts = {n: batch.column(at[f"{prefix}{n}"]).to_pylist() for n in ("codec", "n", "ctrl", "data", "exc")}
-            values = []
-            for c, n, ctrl, data, exc in zip(*parts.values(), strict=True):
-                used = (codecs or {}).get(c) or codec(c)
-                values.append(used.decode(Block(n, ctrl, data, exc), backend if backend in used.backends else "lanes"))
-            yield pa.RecordBatch.from_arrays([batch.column(at[n]) for n in keep] + [_to_array(values)], keep + [col])
+            names, *areas = (batch.column(at[f"{prefix}{n}"]).to_pylist() for n in ("codec", "n", "ctrl", "data", "exc"))
+            blocks = [Block(*b) for b in zip(*areas, strict=True)]
+            flat = decoded(names, blocks, backend, codecs) if names else np.zeros(0, np.int64)
+            ends = pa.array(np.concatenate([[0], np.cumsum([b.n for b in blocks])]), pa.int32())
+            yield pa.RecordBatch.from_arrays([batch.column(at[n]) for n in keep] + [pa.ListArray.from_arrays(ends, pa.array(flat))], keep + [col])
 
     return df.mapInArrow(run, f"{fields}, `{col}` array<bigint>" if fields else f"`{col}` array<bigint>")
 
@@ -128,8 +137,7 @@ def timings(df: DataFrame, names: list[str], backends: tuple[str, ...] = ("lanes
                         began = perf_counter_ns()
                         made = [c.encode(v, backend) for v in lists]
                         between = perf_counter_ns()
-                        for b in made:
-                            c.decode(b, backend)
+                        c.decode_many(made, backend)
                         held[0] += sum(map(len, lists))
                         held[1] += between - began
                         held[2] += perf_counter_ns() - between

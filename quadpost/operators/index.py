@@ -9,9 +9,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from quadpost.codecs.base import Block, codec
+from quadpost.codecs.base import Block
 from quadpost.operators import corpus
-from quadpost.operators.blocks import encode_blocks
+from quadpost.operators.blocks import decoded, encode_blocks
 
 #: Two longs: a block's first and last document.
 SKIP_BITS = 128
@@ -44,18 +44,15 @@ def decode_postings(index: DataFrame, tfs: bool = True) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            c = {n: batch.column(i).to_pylist() for i, n in enumerate(names)}
-            docs, freq, counts = [], [], []
-            for i in range(batch.num_rows):
-                n = c["g_n"][i]
-                gaps = codec(c["g_codec"][i]).decode(Block(n, c["g_ctrl"][i], c["g_data"][i], c["g_exc"][i]))
-                docs.append(c["first_doc"][i] - 1 + np.cumsum(gaps, dtype=np.int64))
-                counts.append(n)
-                if tfs:
-                    freq.append(codec(c["t_codec"][i]).decode(Block(n, c["t_ctrl"][i], c["t_data"][i], c["t_exc"][i])).astype(np.int64))
-            rows = np.repeat(np.arange(batch.num_rows), counts)
-            columns = [batch.column(0).take(pa.array(rows)), pa.array(np.concatenate(docs) if docs else [], pa.int64())]
-            yield pa.RecordBatch.from_arrays(columns + ([pa.array(np.concatenate(freq) if freq else [], pa.int64())] if tfs else []), ["term", "doc_id"] + (["tf"] if tfs else []))
+            c = {n: batch.column(i).to_pylist() for i, n in enumerate(names) if n not in ("term", "first_doc")}
+            counts = np.array(c["g_n"], np.int64)
+            starts, rows = np.cumsum(counts) - counts, np.repeat(np.arange(len(counts)), counts)
+            part = lambda p: decoded(c[f"{p}_codec"], [Block(*b) for b in zip(c["g_n"], c[f"{p}_ctrl"], c[f"{p}_data"], c[f"{p}_exc"], strict=True)]) if len(counts) else np.zeros(0, np.int64)
+            run_sum = np.cumsum(part("g"))
+            before = np.concatenate([[0], run_sum])[starts]  # gaps are summed up inside each block
+            docs = run_sum + np.repeat(batch.column(1).to_numpy() - 1 - before, counts)
+            columns = [batch.column(0).take(pa.array(rows)), pa.array(docs, pa.int64())]
+            yield pa.RecordBatch.from_arrays(columns + ([pa.array(part("t"), pa.int64())] if tfs else []), ["term", "doc_id"] + (["tf"] if tfs else []))
 
     return kept.mapInArrow(run, "term string, doc_id bigint" + (", tf bigint" if tfs else ""))
 

@@ -55,6 +55,24 @@ def test_round_trip_of_any_sequence(values, name):
     assert c.decode(c.encode(values)).tolist() == values
 
 
+@pytest.mark.parametrize("name", names())
+def test_blocks_decoded_together(name):
+    c = codec(name)
+    held = [v for v in CASES.values() if fits(c, v)] * 2
+    want = [x for v in held for x in v]
+    for backend in c.backends:
+        assert c.decode_many([c.encode(v) for v in held], backend).tolist() == want
+    assert c.decode_many([]).tolist() == [] and c.decode_many([c.encode([])]).tolist() == []
+
+
+@pytest.mark.parametrize("cg, ld", quad_length.WAYS)
+def test_units_one_after_another(cg, ld):
+    c = quad_length.quad_length(cg, ld)
+    for values in CASES.values():
+        if values:
+            assert quad_length.decode_by_unit(c.encode(values), cg, ld).tolist() == values
+
+
 def test_lane_codecs_pad_to_whole_vectors():
     for name in names():
         if name.startswith(("quad_", "ql_")):
