@@ -21,9 +21,14 @@ def _spread(values: np.ndarray, sizes: np.ndarray, bits: int) -> np.ndarray:
 
 
 def _gather(raw: np.ndarray, starts: np.ndarray, sizes: np.ndarray, bits: int) -> np.ndarray:
-    inner = np.arange(int(sizes.sum())) - np.repeat(np.cumsum(sizes) - sizes, sizes)
-    parts = raw[np.repeat(starts, sizes) + inner].astype(U64) << (bits * inner).astype(U64)
-    return np.add.reduceat(parts, np.cumsum(sizes) - sizes)
+    """The values again, one part after another: few values have a second, fewer a third."""
+    out, more = raw[starts].astype(U64), np.flatnonzero(sizes > 1)
+    k = 1
+    while len(more):
+        out[more] |= raw[starts[more] + k].astype(U64) << U64(bits * k)
+        k += 1
+        more = more[sizes[more] > k]
+    return out
 
 
 def _vbyte_encode(x: np.ndarray, backend: str) -> Block:

@@ -54,13 +54,23 @@ def unpack(data: bytes, offsets: np.ndarray, widths: np.ndarray, backend: str =
     """(m, 4) values again: at most two components are read for each."""
     if backend == "scalar":
         return _unpack_one_by_one(data, offsets, widths)
-    words = np.frombuffer(data, "<u4").reshape(-1, LANES).astype(U64)
-    word, bit = offsets // WORD, offsets % WORD
+    return _unpack(data, offsets, widths).astype(U64)
+
+
+_MASKS = ((1 << np.arange(WORD + 1, dtype=np.uint64)) - 1).astype(np.uint32)
+
+
+def _unpack(data: bytes, offsets: np.ndarray, widths: np.ndarray) -> np.ndarray:
+    words = np.frombuffer(data, "<u4").reshape(-1, LANES)
+    word, bit = offsets >> 5, offsets & 31
     over = np.maximum(widths - (WORD - bit), 0)
-    out = words[word] >> bit.astype(U64)[:, None] & low_mask(widths - over)[:, None]
-    split = over > 0
-    if split.any():
-        out[split] = out[split] << over[split].astype(U64)[:, None] | words[word[split] + 1] & low_mask(over[split])[:, None]
+    out = words[word]
+    out >>= bit.astype(np.uint32)[:, None]
+    out &= _MASKS[widths - over][:, None]
+    split = np.flatnonzero(over)
+    if len(split):
+        rest = over[split]
+        out[split] = out[split] << rest.astype(np.uint32)[:, None] | words[word[split] + 1] & _MASKS[rest][:, None]
     return out
 
 
@@ -69,7 +79,7 @@ def unpack_many(data: list[bytes], widths: np.ndarray, quads_of: np.ndarray, n:
     words = np.fromiter(map(len, data), np.int64, len(data)) // (LANES * WORD // 8)
     run = offsets_of(widths)
     base = WORD * starts_of(words) - run[starts_of(quads_of)]
-    return first_of(unpack(b"".join(data), run + np.repeat(base, quads_of), widths).ravel(), LANES * quads_of, n)
+    return first_of(_unpack(b"".join(data), run + np.repeat(base, quads_of), widths).ravel(), LANES * quads_of, n)
 
 
 def _pack_one_by_one(rows, offsets, widths, words) -> bytes:

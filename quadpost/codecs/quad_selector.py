@@ -6,7 +6,7 @@ import numpy as np
 
 from quadpost.codecs import lanes
 from quadpost.codecs.base import Block, Codec, register
-from quadpost.codecs.bits import U64, bitlen, ceil_div, first_of, from_bytes, greedy, put_bits, starts_of, to_bytes
+from quadpost.codecs.bits import bitlen, ceil_div, first_of, from_bytes, greedy, put_bits, starts_of, to_bytes
 
 # Selector number, values per lane, bits per value.
 SELECTORS = ((0, 32, 1), (1, 16, 2), (2, 10, 3), (3, 8, 4), (4, 6, 5), (5, 5, 6), (6, 4, 8), (7, 3, 10), (8, 2, 16), (9, 1, 32))
@@ -62,7 +62,7 @@ def _unpacked(selectors: np.ndarray, data: bytes) -> np.ndarray:
     words = np.frombuffer(data, "<u4").reshape(-1, lanes.LANES)
     num = NUM[selectors]
     first = starts_of(num)
-    out = np.zeros((int(num.sum()), lanes.LANES), U64)
+    out = np.zeros((int(num.sum()), lanes.LANES), np.uint32)
     for s in np.unique(selectors):
         mine = np.flatnonzero(selectors == s)
         n, width = int(NUM[s]), int(BW[s])
