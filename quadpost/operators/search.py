@@ -10,6 +10,7 @@ from pyspark.sql import Window as W
 
 from quadpost.operators.corpus import TOKEN_BREAK
 from quadpost.operators.index import decode_postings
+from quadpost.sources.shared import written
 
 K = 10
 K1, B = 1.2, 0.75
@@ -17,7 +18,10 @@ K1, B = 1.2, 0.75
 STOP_SHARE = 0.5
 #: Documents of one range: the unit of skipping and of document-at-a-time scoring.
 RANGE_DOCS = 4096
-_SLACK = 1e-9
+#: Documents of one range of OR: its bounds decide what is decoded.
+OR_RANGE_DOCS = 512
+#: Scores are compared after rounding to six digits, so what is this close below a threshold may still tie.
+_SLACK = 2e-6
 
 
 def query_terms(benchmark: DataFrame, words: DataFrame, n_docs: int) -> DataFrame:
@@ -110,35 +114,58 @@ class Searcher:
     def or_topk(self, asked: DataFrame, k: int = K) -> DataFrame:
         return top(self.parts(asked).groupBy("query_id", "doc_id").agg(F.sum("part").alias("score")), k)
 
-    def bounds(self, parts: DataFrame, k: int = K) -> tuple[DataFrame, DataFrame]:
-        """Upper bounds (query_id, term, bound) and thresholds (query_id, theta).
+    def block_bounds(self, asked: DataFrame) -> DataFrame:
+        """(term, shard, block, range, bound): the most that a posting of the block can give in a document range, from the block's largest frequency and the range's shortest document. Nothing is decoded."""
+        width = lambda c: F.floor(F.col(c) / OR_RANGE_DOCS)
+        shortest = self.lengths.groupBy(width("doc_id").alias("range")).agg(F.min("len").alias("least"))
+        held = self._blocks_of(asked).select("term", "shard", "block", "df", "max_tf", F.explode(F.sequence(width("first_doc"), width("last_doc"))).alias("range"))
+        bound = bm25(F.col("max_tf"), F.col("df"), F.col("least"), self.n_docs, self.mean_length)
+        return held.join(shortest, "range").select("term", "shard", "block", "range", bound.alias("bound"))
 
-        A document's score is at least any one of its parts, so the k-th best part of
-        one term is a safe lower bound of the k-th best score.
+    def blocks_in(self, asked: DataFrame, ranges: DataFrame, bounds: DataFrame) -> DataFrame:
+        """Index rows that hold an asked term in a range (query_id, range) of its query."""
+        spots = asked.select("query_id", "term").join(ranges, "query_id").select("term", "range").distinct()
+        return self.index.join(bounds.join(spots, ["term", "range"]).select("term", "shard", "block").distinct(), ["term", "shard", "block"], "left_semi")
+
+    def _parts_in(self, asked: DataFrame, ranges: DataFrame, bounds: DataFrame) -> DataFrame:
+        hits = decode_postings(self.blocks_in(asked, ranges, bounds)).withColumn("range", F.floor(F.col("doc_id") / OR_RANGE_DOCS))
+        return self._scored(asked.join(hits, "term").join(ranges, ["query_id", "range"], "left_semi"))
+
+    def prune(self, asked: DataFrame, k: int = K) -> tuple[DataFrame, DataFrame, DataFrame]:
+        """What an OR query must look at: block bounds, bounds (query_id, term, range, bound), and its live ranges (query_id, range, theta).
+
+        A range's bound is the sum of its terms' bounds. The range of the largest bound is
+        scored first; its k-th best score is the threshold theta, and ranges below it are dead.
         """
-        upper = parts.groupBy("query_id", "term").agg(F.max("part").alias("bound"))
-        order = W.partitionBy("query_id", "term").orderBy(F.desc("part"))
-        kth = parts.withColumn("r", F.row_number().over(order)).where(F.col("r") <= k).groupBy("query_id", "term").agg(F.count("*").alias("n"), F.min("part").alias("part"))
-        theta = kth.groupBy("query_id").agg(F.coalesce(F.max(F.when(F.col("n") == k, F.col("part"))), F.lit(0.0)).alias("theta"))
-        return upper, theta
+        bounds = written(self.block_bounds(asked), "block-bounds")
+        each = asked.select("query_id", "term").join(bounds.groupBy("term", "range").agg(F.max("bound").alias("bound")), "term")
+        total = written(each.groupBy("query_id", "range").agg(F.sum("bound").alias("most")), "range-bounds")
+        best = total.groupBy("query_id").agg(F.max_by("range", "most").alias("range"))
+        scores = top(self._parts_in(asked, best, bounds).groupBy("query_id", "doc_id").agg(F.sum("part").alias("score")), k)
+        theta = scores.groupBy("query_id").agg(F.when(F.count("*") == k, F.min("score")).otherwise(0.0).alias("theta"))
+        live = total.join(theta, "query_id").where(F.col("most") >= F.col("theta") - _SLACK).select("query_id", "range", "theta")
+        return bounds, each, written(live, "live-ranges")
 
     def or_maxscore(self, asked: DataFrame, k: int = K) -> DataFrame:
-        """Candidates come from the essential lists only; the others are looked up for candidates that can still win."""
-        parts = self.parts(asked)
-        upper, theta = self.bounds(parts, k)
-        rising = W.partitionBy("query_id").orderBy("bound", "term")
-        split = upper.withColumn("below", F.sum("bound").over(rising.rowsBetween(W.unboundedPreceding, W.currentRow))).join(theta, "query_id")
-        split = split.withColumn("essential", F.col("below") >= F.col("theta") - _SLACK)
+        """Candidates come from the essential lists' live ranges only; the others are decoded where a candidate can still win."""
+        bounds, each, live = self.prune(asked, k)
+        rising = W.partitionBy("query_id").orderBy("bound", "term").rowsBetween(W.unboundedPreceding, W.currentRow)
+        split = each.groupBy("query_id", "term").agg(F.max("bound").alias("bound")).withColumn("below", F.sum("bound").over(rising))
+        split = split.join(live.select("query_id", "theta").distinct(), "query_id").withColumn("essential", F.col("below") >= F.col("theta") - _SLACK)
+        split = written(split, "lists")
         rest = split.groupBy("query_id").agg(F.coalesce(F.sum(F.when(~F.col("essential"), F.col("bound"))), F.lit(0.0)).alias("rest"), F.max("theta").alias("theta"))
-        marked = parts.join(split.select("query_id", "term", "essential"), ["query_id", "term"])
-        first = marked.where("essential").groupBy("query_id", "doc_id").agg(F.sum("part").alias("some"))
-        alive = first.join(rest, "query_id").where(F.col("some") + F.col("rest") >= F.col("theta") - _SLACK).select("query_id", "doc_id")
-        return top(marked.join(alive, ["query_id", "doc_id"], "left_semi").groupBy("query_id", "doc_id").agg(F.sum("part").alias("score")), k)
+        lists = lambda which: asked.join(split.where(which).select("query_id", "term"), ["query_id", "term"], "left_semi")
+        first = self._parts_in(lists("essential"), live.select("query_id", "range"), bounds).groupBy("query_id", "doc_id").agg(F.sum("part").alias("part"))
+        alive = written(first.join(rest, "query_id").where(F.col("part") + F.col("rest") >= F.col("theta") - _SLACK).select("query_id", "doc_id", "part"), "candidates")
+        ranges = alive.select("query_id", F.floor(F.col("doc_id") / OR_RANGE_DOCS).alias("range")).distinct()
+        others = self._parts_in(lists("not essential"), ranges, bounds).join(alive, ["query_id", "doc_id"], "left_semi").select("query_id", "doc_id", "part")
+        return top(alive.unionByName(others).groupBy("query_id", "doc_id").agg(F.sum("part").alias("score")), k)
 
     def or_wand(self, asked: DataFrame, k: int = K) -> DataFrame:
-        """Document at a time inside every (query, document range): the pivot is the first list at which the bounds reach the threshold."""
-        parts = self.parts(asked).withColumn("range", F.floor(F.col("doc_id") / RANGE_DOCS))
-        _, theta = self.bounds(parts, k)
+        """Document at a time inside every live (query, document range): the pivot is the first list at which the bounds reach the threshold."""
+        bounds, _, live = self.prune(asked, k)
+        parts = self._parts_in(asked, live.select("query_id", "range"), bounds).withColumn("range", F.floor(F.col("doc_id") / OR_RANGE_DOCS))
+        theta = live.select("query_id", "theta").distinct()
         best = parts.join(theta, "query_id").groupBy("query_id", "range").applyInPandas(_wand(k), "query_id bigint, doc_id bigint, score double")
         return top(best, k)
 

@@ -116,6 +116,23 @@ def test_wand_skips_and_stays_exact():
     assert np.allclose(sorted(heap, reverse=True), best) and scored < len(total)
 
 
+def test_pruning_decodes_fewer_blocks_and_stays_exact(spark):
+    """A rare term with high frequencies in a few ranges beside a common one everywhere."""
+    rng = np.random.default_rng(5)
+    rows = [("common", d, 1) for d in range(30_000) if rng.random() < 0.6] + [("rare", int(d), 9) for d in rng.choice(2000, 200, replace=False)] + [("fill", d, 20) for d in range(30_000)]
+    found = spark.createDataFrame(rows, "term string, doc_id bigint, tf bigint").cache()
+    lengths = found.groupBy("doc_id").agg(F.sum("tf").alias("len"))
+    searcher = search.Searcher(build_index(found, "quad_bp128").cache(), lengths.cache())
+    asked = corpus.dictionary(found).where("term != 'fill'").select(F.lit(1).cast("long").alias("query_id"), "term", "df").cache()
+    bounds, _, live = searcher.prune(asked)
+    every, few = searcher._blocks_of(asked).count(), searcher.blocks_in(asked, live.select("query_id", "range"), bounds).count()
+    assert few * 4 < every
+    want = sorted(map(tuple, searcher.or_topk(asked).collect()))
+    assert sorted(map(tuple, searcher.or_wand(asked).collect())) == want and sorted(map(tuple, searcher.or_maxscore(asked).collect())) == want
+    top_part = searcher.parts(asked).withColumn("range", F.floor(F.col("doc_id") / search.OR_RANGE_DOCS)).groupBy("term", "range").agg(F.max("part").alias("part"))
+    assert top_part.join(bounds.groupBy("term", "range").agg(F.max("bound").alias("bound")), ["term", "range"], "left").where("bound IS NULL OR part > bound + 1e-9").isEmpty()
+
+
 def test_codec_choice_for_speed(spark):
     df = spark.createDataFrame([([3] * 512,)], "values array<bigint>")
     assert choose_codec(df, ("vbyte", "quad_bp128", "gamma"), "speed").first()["chosen"] == "quad_bp128"
