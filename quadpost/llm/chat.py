@@ -68,13 +68,17 @@ def reply_paths(messages: DataFrame, best: int = 1) -> DataFrame:
     real = nodes.select("conv", F.col("msg_id").alias("top"), F.lit(True).alias("known"))
     part = nodes.withColumnRenamed("parent_id", "top").join(real, ["conv", "top"], "left").select("conv", "msg_id", F.when(F.col("known"), F.col("top")).alias("top"), "score")
     part = written(part, "ancestors")
-    ups = [part]  # of round k: the message 2^k steps up
+    # settled messages have no ancestor that far up and leave; the others ask all for the next round
+    ups, settled = [part.where("top IS NOT NULL")], part.where("top IS NULL")
     for _ in range(ceil(log2(max(most, 1)))):
-        above = part.select("conv", F.col("msg_id").alias("top"), F.col("top").alias("next"), F.col("score").alias("add"))
-        further = part.join(above, ["conv", "top"], "left").select("conv", "msg_id", F.col("next").alias("top"), (F.col("score") + F.coalesce("add", F.lit(0.0))).alias("score"))
+        if ups[-1].isEmpty():
+            break
+        above = settled.unionByName(ups[-1]).select("conv", F.col("msg_id").alias("top"), F.col("top").alias("next"), F.col("score").alias("add"))
+        further = ups[-1].join(above, ["conv", "top"]).select("conv", "msg_id", F.col("next").alias("top"), (F.col("score") + F.col("add")).alias("score"))
         part = written(further, "ancestors")
-        ups.append(part)
-    branches = part.where("top IS NULL").join(leaves.withColumnRenamed("leaf", "msg_id"), ["conv", "msg_id"], "left_semi")
+        settled = settled.unionByName(part.where("top IS NULL"))
+        ups.append(part.where("top IS NOT NULL"))  # of round k: the message 2^k steps up
+    branches = settled.join(leaves.withColumnRenamed("leaf", "msg_id"), ["conv", "msg_id"], "left_semi")
     if best == 1:
         top = branches.groupBy("conv").agg(F.max_by(F.struct("msg_id", "score"), F.struct("score", -F.col("msg_id"))).alias("b"))
         chosen = top.select("conv", F.lit(1).alias("rank"), "b.score", "b.msg_id")
@@ -82,8 +86,8 @@ def reply_paths(messages: DataFrame, best: int = 1) -> DataFrame:
         order = W.partitionBy("conv").orderBy(F.desc("score"), "msg_id")
         chosen = branches.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= best).select("conv", "rank", "score", "msg_id")
     listed = written(chosen.withColumn("steps", F.lit(0)), "paths")
-    for k in reversed(range(len(ups) - 1)):
-        up = ups[k].where("top IS NOT NULL").select("conv", "msg_id", "top")
+    for k in reversed(range(len(ups))):
+        up = ups[k].select("conv", "msg_id", "top")
         more = listed.join(up, ["conv", "msg_id"]).select("conv", "rank", "score", F.col("top").alias("msg_id"), (F.col("steps") + (1 << k)).alias("steps"))
         listed = written(listed.unionByName(more), "paths")
     path = F.reverse(F.sort_array(F.collect_list(F.struct("steps", "msg_id"))))["msg_id"]
