@@ -94,14 +94,14 @@ def roundtrip(df: DataFrame, name: str, col: str = "values", backend: str = "lan
     return decode_blocks(encode_blocks(df, name, col, backend), col, backend)
 
 
-def sizes(df: DataFrame, names: list[str], col: str = "values") -> DataFrame:
+def sizes(df: DataFrame, names: list[str], col: str = "values", codecs: dict[str, Codec] | None = None) -> DataFrame:
     """Per row and codec: (codec, n, bits, ctrl_bits, data_bits, exc_bits, head_bits); codecs that cannot hold a row's values give none."""
     keep, fields = _fields(df, (col,))
     at = {n: i for i, n in enumerate(df.columns)}
     parts = ("ctrl_bits", "data_bits", "exc_bits", "head_bits")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        used = [codec(n) for n in names]
+        used = [(codecs or {}).get(n) or codec(n) for n in names]
         for batch in batches:
             rows, out = [], []
             for i, values in enumerate(_lists(batch.column(at[col]))):

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from quadpost.codecs.base import Block
 from quadpost.operators import corpus
-from quadpost.operators.blocks import decoded, encode_blocks
+from quadpost.operators.blocks import decoded, encode_blocks, sizes
 
 #: Two longs: a block's first and last document.
 SKIP_BITS = 128
@@ -19,16 +19,21 @@ SKIP_BITS = 128
 SHORT_CODEC = "vbyte"
 
 
-def build_index(found: DataFrame, name: str = "quad_selector", size: int = corpus.BLOCK, shard_docs: int = corpus.SHARD_DOCS) -> DataFrame:
-    """Index rows (term, shard, block, df, n, first_doc, last_doc, max_tf, g_*, t_*) of postings (term, doc_id, tf).
+def index_blocks(found: DataFrame, size: int = corpus.BLOCK, shard_docs: int = corpus.SHARD_DOCS) -> DataFrame:
+    """Blocks (term, shard, block, df, n, first_doc, last_doc, max_tf, gaps, tfs) of postings, not yet encoded.
 
-    A block's first gap is kept as 1, counted from first_doc - 1, so every block decodes on its own.
+    A block's first gap is kept as 1, counted from first_doc - 1, so every block decodes on
+    its own. The list lengths come from the postings, before windows and blocks.
     """
-    rows = corpus.blocks(corpus.gaps(found, shard_docs), size)
-    df = rows.groupBy("term").agg(F.sum("n").alias("df"))
+    df = found.groupBy("term").agg(F.count("*").alias("df"))
     local = F.concat(F.array(F.lit(1).cast("long")), F.slice("gaps", F.lit(2), F.size("gaps")))
-    held = rows.join(df, "term").select("term", "shard", "block", "df", "n", "first_doc", "last_doc", F.array_max("tfs").alias("max_tf"), local.alias("gaps"), "tfs")
-    coded = encode_blocks(held, name, "gaps", prefix="g_", short=SHORT_CODEC)
+    rows = corpus.blocks(corpus.gaps(found, shard_docs), size)
+    return rows.join(df, "term").select("term", "shard", "block", "df", "n", "first_doc", "last_doc", F.array_max("tfs").alias("max_tf"), local.alias("gaps"), "tfs")
+
+
+def build_index(found: DataFrame, name: str = "quad_selector", size: int = corpus.BLOCK, shard_docs: int = corpus.SHARD_DOCS) -> DataFrame:
+    """Index rows (term, shard, block, df, n, first_doc, last_doc, max_tf, g_*, t_*) of postings (term, doc_id, tf)."""
+    coded = encode_blocks(index_blocks(found, size, shard_docs), name, "gaps", prefix="g_", short=SHORT_CODEC)
     return encode_blocks(coded, name, "tfs", prefix="t_", short=SHORT_CODEC)
 
 
@@ -64,6 +69,20 @@ def index_bits(index: DataFrame) -> DataFrame:
     return total.withColumn("bits", F.expr("gap_bits + tf_bits + skip_bits"))
 
 
+def index_sizes(found: DataFrame, names: tuple[str, ...]) -> DataFrame:
+    """(codec, postings, gap_bits, tf_bits, skip_bits, bits) of the indexes that ``names`` would make: one pass encodes every block by each."""
+    both = F.array(*[F.struct(F.lit(seq).alias("seq"), F.col(c).alias("values")) for seq, c in (("gap", "gaps"), ("tf", "tfs"))])
+    held = index_blocks(found).select("df", F.explode(both).alias("x")).select("df", "x.seq", "x.values")
+    long = sizes(held.where(F.col("df") >= corpus.SHORT_LIST).drop("df"), list(names))
+    short = sizes(held.where(F.col("df") < corpus.SHORT_LIST).drop("df"), [SHORT_CODEC])
+    grid = F.explode(F.array(*map(F.lit, names)))  # one row per codec and sequence after the aggregation
+    part = lambda df: df.groupBy("codec", "seq").agg(F.sum("n").alias("n"), F.sum("bits").alias("bits"), F.count("*").alias("blocks"))
+    parts = part(long).unionByName(part(short).withColumn("codec", grid))
+    of = lambda seq, c: F.sum(F.when(F.col("seq") == seq, F.col(c)).otherwise(0))
+    total = parts.groupBy("codec").agg(of("gap", "n").alias("postings"), of("gap", "bits").alias("gap_bits"), of("tf", "bits").alias("tf_bits"), (of("gap", "blocks") * SKIP_BITS).alias("skip_bits"))
+    return total.withColumn("bits", F.expr("gap_bits + tf_bits + skip_bits"))
+
+
 def merge_segments(segments: DataFrame, name: str = "quad_selector", size: int = corpus.BLOCK) -> DataFrame:
     """One index of local, uncompressed segments (seg, term, doc_id, tf). A document in two segments is an error."""
     twice = segments.select("seg", "doc_id").distinct().groupBy("doc_id").count().where("count > 1")

@@ -2,19 +2,23 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql import Window as W
 
-from quadpost.codecs import words
+from quadpost.codecs import frames
+from quadpost.codecs.base import Codec
 from quadpost.codecs.base import names as codec_names
 from quadpost.codecs.quad_selector import SELECTORS
 from quadpost.functions import expressions as E
 from quadpost.operators import blocks as B
 from quadpost.operators import corpus
-from quadpost.operators.index import build_index
+from quadpost.operators.index import index_sizes
 from quadpost.plans import sql
 from quadpost.plans.index_queries import long_gaps, s1
+from quadpost.plans.size_sql import BLK, FORMS, lane_frame_form, lane_plan_form, measured, threshold_form
 from quadpost.sources import tables
 
 QUERIES, ORACLES = {}, {}
@@ -249,22 +253,8 @@ def _sizes(name: str):
     return run
 
 
-_SIZE_SQL = {n: sql.all_sizes([n], "gap") + " SELECT term, block, n, bits FROM sizes" for n in sql.CLOSED}
-_SIZE_SQL["quad_selector"] = sql.blocks("gap", "documents", _SELECTOR_WALK) + " SELECT term, block, max(n) AS n, 132 * count(*) AS bits FROM steps JOIN blk USING (term, block) GROUP BY ALL"
-_SIZE_SQL["simple9"] = sql.blocks("gap", "documents", sql.walk(list(words.NINE), sql.VALUE_NEED)) + " SELECT term, block, max(n) AS n, 32 * count(*) AS bits FROM steps JOIN blk USING (term, block) GROUP BY ALL"
-_SIZE_SQL["simple8b"] = sql.blocks("gap", "documents", sql.walk(list(words.EIGHT_B), sql.ONES_NEED)) + " SELECT term, block, max(n) AS n, 64 * count(*) AS bits FROM steps JOIN blk USING (term, block) GROUP BY ALL"
-_SIZE_SQL["g8iu"] = (
-    sql.blocks("gap", "documents", sql.fill(f"list_transform({sql.VALUE_NEED}, lambda b: cast(ceil(b / 8) AS BIGINT))", 8)) + " SELECT term, block, max(n) AS n, 72 * max(groups) AS bits FROM fills JOIN blk USING (term, block) GROUP BY ALL"
-)
-_SIZE_SQL["afor"] = sql.blocks("gap", "documents", sql.frames(sql.VALUE_NEED, 8, (8, 16, 32), 1)) + " SELECT term, block, n, best[1] AS bits FROM plan JOIN blk USING (term, block) WHERE done = len(c)"
-_SIZE_SQL["vsencoding"] = sql.blocks("gap", "documents", sql.frames(sql.VALUE_NEED, 4, (4, 8, 16, 32, 64), 1)) + " SELECT term, block, n, best[1] AS bits FROM plan JOIN blk USING (term, block) WHERE done = len(c)"
-for _cg in (4, 8):
-    _SIZE_SQL[f"ql_{_cg}_iu"] = (
-        sql.blocks("gap", "documents", sql.fill(f"list_transform({sql.QUAD_NEED}, lambda b: cast(ceil(b / {_cg}) AS BIGINT))", 8))
-        + f" SELECT term, block, max(n) AS n, 8 * max(groups) + 128 * cast(ceil({_cg} * max(list_sum(c)) / 32) AS BIGINT) AS bits FROM fills JOIN blk USING (term, block) GROUP BY ALL"
-    )
 for _name in codec_names():
-    query(f"q_bits_{_name}", _SIZE_SQL.get(_name))(_sizes(_name))
+    query(f"q_bits_{_name}", measured({_name: FORMS[_name]}) + " SELECT term, block, n, bits FROM sizes")(_sizes(_name))
 
 _ALL = {v: sql.all_sizes(sql.CLOSED, v) for v in ("gap", "tf")}
 
@@ -290,6 +280,25 @@ for _label, _col, _val in (("gap", "gaps", "gap"), ("tf", "tfs", "tf")):
     )(_ratio(_col))
 
 
+def _ratio_all(collection: str, col: str):
+    def run(spark, d):
+        held = corpus.blocks(corpus.gaps(corpus.long_lists(corpus.postings(tables.collection(spark, d, collection)))))
+        per = B.sizes(held.select("term", "block", F.col(col).alias("values")), codec_names()).groupBy("codec", "term").agg(F.sum("n").alias("n"), F.sum("bits").alias("bits"))
+        return per.groupBy("codec").agg(F.sum("n").alias("n"), F.sum("bits").alias("bits"), F.round(F.sum("bits") / F.sum("n"), 6).alias("micro"), F.round(F.avg(F.col("bits") / F.col("n")), 6).alias("macro"))
+
+    run.__doc__ = f"Bits per integer of every codec on the {col} of {collection}: over all integers, and the mean over terms."
+    return run
+
+
+for _coll in tables.COLLECTIONS:
+    for _label, _col, _val in (("gap", "gaps", "gap"), ("tf", "tfs", "tf")):
+        query(
+            f"q_ratio_{_coll}_{_label}",
+            measured(FORMS, _val, _coll)
+            + " SELECT codec, cast(sum(n) AS BIGINT) AS n, cast(sum(bits) AS BIGINT) AS bits, round(sum(bits) / sum(n), 6) AS micro, round(avg(bits / n), 6) AS macro FROM (SELECT codec, term, sum(n) AS n, sum(bits) AS bits FROM sizes GROUP BY ALL) GROUP BY codec",
+        )(_ratio_all(_coll, _col))
+
+
 @query("q_size_expr", _ALL["gap"] + " SELECT codec, cast(sum(bits) AS BIGINT) AS bits FROM sizes WHERE codec <> 'golomb' GROUP BY codec UNION ALL SELECT 'quad_selector', cast(132 * count(*) AS BIGINT) FROM (" + sql.blocks("gap", "documents", _SELECTOR_WALK) + " SELECT * FROM steps)")
 def q_size_expr(spark, d):
     """The same totals from expressions alone: no value leaves the JVM."""
@@ -299,9 +308,13 @@ def q_size_expr(spark, d):
     return g.select(each.alias("x")).groupBy("x.codec").agg(F.sum("x.bits").alias("bits"))
 
 
-@query("q_family_bits", _ALL["gap"] + " SELECT codec, cast(substr(codec, 4, 1) AS INT) AS cg, substr(codec, 6) AS coding, cast(sum(bits) AS BIGINT) AS bits, round(sum(bits) / sum(n), 6) AS micro FROM sizes WHERE codec LIKE 'ql%' GROUP BY codec")
+_FAMILY = [f"ql_{cg}_{c}" for cg, c in _WAYS] + ["ql_4_iu", "ql_8_iu"]
+
+
+@query("q_family_bits", measured({n: FORMS[n] for n in _FAMILY}) + " SELECT codec, cast(substr(codec, 4, 1) AS INT) AS cg, substr(codec, 6) AS coding, cast(sum(bits) AS BIGINT) AS bits, round(sum(bits) / sum(n), 6) AS micro FROM sizes GROUP BY codec")
 def q_family_bits(spark, d):
-    m = B.sizes(gap_blocks(spark, d), [f"ql_{cg}_{c}" for cg, c in _WAYS])
+    """All ten members of the family by granularity and coding."""
+    m = B.sizes(gap_blocks(spark, d), _FAMILY)
     return m.groupBy("codec").agg(F.sum("bits").alias("bits"), F.round(F.sum("bits") / F.sum("n"), 6).alias("micro")).select("codec", F.substring("codec", 4, 1).cast("int").alias("cg"), F.substring("codec", 6, 9).alias("coding"), "bits", "micro")
 
 
@@ -348,31 +361,35 @@ def q_ctrl_data_bits(spark, d):
     return m.groupBy("codec").agg(*[F.sum(c).alias(c) for c in ("n", "bits", "ctrl_bits", "data_bits", "exc_bits", "head_bits")])
 
 
-def _index_size_sql() -> str:
-    long = " UNION ALL ".join(
-        f"SELECT '{n}' AS codec, sum(CASE WHEN df < 64 THEN v.bits ELSE s.bits END) AS bits FROM {sql.sizes_of(n)} s JOIN (SELECT term, block, sum(8 * ceil(length(bin(x)) / 7)) AS bits FROM rows GROUP BY ALL) v USING (term, block) JOIN dict USING (term)"
-        for n in ("uncompressed", "vbyte", "gvb", "g8cu", "ql_1_cu", "quad_bp128", "packed_binary")
-    )
-    block = f"pos // {corpus.BLOCK}"
-    gaps = sql.GAPS.format(source="tf")
-    local = f"lg AS (SELECT term, pos, CASE WHEN pos % {corpus.BLOCK} = 0 THEN 1 ELSE gap END AS gap, tf FROM gaps)"
+def _index_size_sql(collection: str) -> str:
+    """Long lists by each codec, short ones by variable byte codes, two 64-bit ids a block; a block's first gap counts as 1."""
+    local = f"lg AS (SELECT term, df, pos, CASE WHEN pos % {corpus.BLOCK} = 0 THEN 1 ELSE gap END AS gap, tf FROM gaps JOIN dict USING (term))"
     pieces = []
     for values in ("gap", "tf"):
-        rows = f"rows AS (SELECT term, {block} AS block, pos % {corpus.BLOCK} AS i, {values} AS x FROM lg)"
-        pieces.append(f"SELECT codec, '{values}' AS seq, cast(bits AS BIGINT) AS bits FROM ({sql.postings('documents', sql.DICTIONARY, gaps, local, rows, sql.QUADS)} SELECT * FROM ({long}))")
-    return f"SELECT codec, cast(sum(bits) FILTER (WHERE seq = 'gap') AS BIGINT) AS gap_bits, cast(sum(bits) FILTER (WHERE seq = 'tf') AS BIGINT) AS tf_bits FROM ({' UNION ALL '.join(pieces)}) GROUP BY codec"
+        rows = f"rows AS (SELECT term, pos // {corpus.BLOCK} AS block, pos % {corpus.BLOCK} AS i, {values} AS x FROM lg WHERE df >= {corpus.SHORT_LIST})"
+        blk = BLK.format(values=values, source=f"(SELECT * FROM lg WHERE df >= {corpus.SHORT_LIST})")
+        short = f"(SELECT coalesce(sum(8 * ceil({sql.bits_of(values)} / 7)), 0) FROM lg WHERE df < {corpus.SHORT_LIST})"
+        skip = f"(SELECT 128 * count(*) FROM (SELECT DISTINCT term, pos // {corpus.BLOCK} FROM lg))"
+        each = " UNION ALL ".join(f"SELECT '{n}' AS codec, '{values}' AS seq, (SELECT coalesce(sum(bits), 0) FROM {FORMS[n]}) + {short} AS bits, {skip} AS skip, (SELECT count(*) FROM lg) AS postings" for n in KEPT_INDEXES)
+        pieces.append(f"SELECT * FROM ({sql.postings(collection, sql.DICTIONARY, sql.GAPS.format(source='tf'), local, rows, sql.QUADS, blk)} {each})")
+    total = "cast(max(postings) AS BIGINT) AS postings, cast(sum(bits) FILTER (WHERE seq = 'gap') AS BIGINT) AS gap_bits, cast(sum(bits) FILTER (WHERE seq = 'tf') AS BIGINT) AS tf_bits, cast(max(skip) AS BIGINT) AS skip_bits, cast(sum(bits) + max(skip) AS BIGINT) AS bits"
+    return f"SELECT codec, {total} FROM ({' UNION ALL '.join(pieces)}) GROUP BY codec"
 
 
-@query("q_index_size", _index_size_sql())
-def q_index_size(spark, d):
-    """Bits of whole indexes: short lists by variable byte codes, skip pointers apart."""
-    from quadpost.operators.index import index_bits
+#: The codecs whose indexes are compared: those kept above, and no coding at all.
+KEPT_INDEXES = (*KEPT, "uncompressed")
 
-    found, out = s1(spark, d), None
-    for name in ("uncompressed", "vbyte", "gvb", "g8cu", "ql_1_cu", "quad_bp128", "packed_binary"):
-        row = index_bits(build_index(found, name)).select(F.lit(name).alias("codec"), "gap_bits", "tf_bits")
-        out = row if out is None else out.unionByName(row)
-    return out
+
+def _index_size(collection: str):
+    def run(spark, d):
+        return index_sizes(corpus.postings(tables.collection(spark, d, collection)), KEPT_INDEXES)
+
+    run.__doc__ = f"Bits of whole indexes of {collection}: short lists by variable byte codes, skip pointers, and all together."
+    return run
+
+
+for _coll in tables.COLLECTIONS:
+    query("q_index_size" if _coll == "documents" else f"q_index_size_{_coll}", _index_size_sql(_coll))(_index_size(_coll))
 
 
 _RELATION_SIZES = ("gamma", "vbyte", "gvb", "g8cu", "packed_binary", "quad_bp128", "ql_1_cu", "ql_8_b")
@@ -381,17 +398,17 @@ _RELATION_SIZES = ("gamma", "vbyte", "gvb", "g8cu", "packed_binary", "quad_bp128
 @query(
     "q_rel_postings_bits",
     " UNION ALL ".join(
-        f"SELECT '{name}' AS relation, codec, cast(sum(bits) AS BIGINT) AS bits FROM (WITH tf AS (SELECT DISTINCT cast({key} AS VARCHAR) AS term, {member} AS doc_id, 1 AS tf FROM {source}), {sql.GAPS.format(source='tf')}, {_GAP_ROWS}, {sql.QUADS} "
+        f"SELECT '{name}' AS relation, codec, cast(sum(bits) AS BIGINT) AS bits FROM (WITH tf AS (SELECT DISTINCT cast({key} AS VARCHAR) || ':' || {member} // {corpus.SHARD_DOCS} AS term, {member} % {corpus.SHARD_DOCS} AS doc_id, 1 AS tf FROM {source}), {sql.GAPS.format(source='tf')}, {_GAP_ROWS}, {sql.QUADS} "
         + " UNION ALL ".join(f"SELECT '{n}' AS codec, bits FROM {sql.sizes_of(n)}" for n in _RELATION_SIZES)
         + ") GROUP BY codec"
         for name, (source, key, member) in tables.RELATIONS.items()
     ),
 )
 def q_rel_postings_bits(spark, d):
-    """Sizes on relational postings, where gaps are wide."""
+    """Sizes on relational postings, where gaps are wide; gaps start again in every shard."""
     out = None
     for name in tables.RELATIONS:
-        g = corpus.blocks(corpus.gaps(tables.relation(spark, d, name), 1 << 40)).select("term", "block", F.col("gaps").alias("values"))
+        g = corpus.blocks(corpus.gaps(tables.relation(spark, d, name))).select("term", "block", F.col("gaps").alias("values"))
         row = B.sizes(g, list(_RELATION_SIZES)).groupBy("codec").agg(F.sum("bits").alias("bits")).select(F.lit(name).alias("relation"), "codec", "bits")
         out = row if out is None else out.unionByName(row)
     return out
@@ -427,3 +444,35 @@ def q_frame_sweep(spark, d):
     each = rows.select("*", F.explode(F.array(*map(F.lit, _FRAMES))).alias("frame"))
     per = each.groupBy("frame", "term", "block", F.floor(F.col("i") / F.col("frame")).alias("f")).agg(F.count("*").alias("c"), E.effective_bits(F.max("gap")).alias("w"))
     return per.groupBy("frame").agg(F.sum(8 + F.col("c") * F.col("w")).alias("bits"))
+
+
+_LANE_FRAMES = {f"frames of {f}": lane_frame_form(f) for f in _FRAMES}
+_PLANS = {"frames of " + " or ".join(map(str, p)): p for p in ((16, 32, 64), (32, 64), (32, 64, 128), (64, 128), (32, 64, 128, 256))}
+_SHARES = {f"share below {z}": z for z in _ZETAS}
+_TOTAL = " SELECT codec AS setting, cast(sum(bits) AS BIGINT) AS bits, round(sum(bits) / sum(n), 6) AS bits_per_int FROM sizes GROUP BY codec"
+
+
+def _sweep(made: dict[str, Codec]):
+    def run(spark, d):
+        m = B.sizes(gap_blocks(spark, d), list(made), codecs=made)
+        return m.groupBy(F.col("codec").alias("setting")).agg(F.sum("bits").alias("bits"), F.round(F.sum("bits") / F.sum("n"), 6).alias("bits_per_int"))
+
+    return run
+
+
+@query("q_sweep_quad_frames", measured(_LANE_FRAMES) + _TOTAL)
+def q_sweep_quad_frames(spark, d):
+    """Fixed frames in four lanes, by their length."""
+    return _sweep({f"frames of {f}": frames.lift(frames.PACKED_BINARY, f"frames of {f}", (f,)) for f in _FRAMES})(spark, d)
+
+
+@query("q_sweep_quad_afor", measured({n: lane_plan_form(p) for n, p in _PLANS.items()}) + _TOTAL)
+def q_sweep_quad_afor(spark, d):
+    """Adaptive frames in four lanes, by the lengths that the partition may choose from."""
+    return _sweep({n: frames.lift(frames.AFOR, n, p) for n, p in _PLANS.items()})(spark, d)
+
+
+@query("q_sweep_quad_pfor", measured({n: threshold_form(True, zeta=z) for n, z in _SHARES.items()}) + _TOTAL)
+def q_sweep_quad_pfor(spark, d):
+    """Patched frames in four lanes, by the share of exceptions that their width may leave."""
+    return _sweep({n: frames.build(replace(frames.PFOR.options["scheme"], name=n, laned=True, zeta=z)) for n, z in _SHARES.items()})(spark, d)

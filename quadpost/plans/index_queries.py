@@ -106,20 +106,32 @@ def q_blocks512(spark, d):
     return corpus.blocks(long_gaps(spark, d)).select("term", "block", F.col("n").cast("long").alias("n"), "first_doc", "last_doc")
 
 
-@query("q_skip_blocks", sql.gaps("documents", f"b AS ({_BLOCKS})", "probe AS (SELECT unnest(range(0, 1000, 97)) AS doc_id)") + " SELECT term, block, doc_id FROM b JOIN probe ON probe.doc_id BETWEEN first_doc AND last_doc")
+def probes(found, count: int):
+    """``count`` documents evenly spaced from 0 to the largest: one aggregated row, spread out."""
+    top = found.agg(F.coalesce(F.max("doc_id"), F.lit(0)).alias("top"))
+    return top.select(F.explode(F.sequence(F.lit(0), F.lit(count - 1))).alias("k"), "top").select(F.floor(F.col("k") * F.col("top") / (count - 1)).alias("doc_id")).distinct()
+
+
+def _probes(count: int, name: str = "probe") -> str:
+    return f"{name} AS (SELECT DISTINCT k * top // {count - 1} AS doc_id FROM (SELECT coalesce(max(doc_id), 0) AS top FROM tf), (SELECT unnest(range(0, {count})) AS k))"
+
+
+@query("q_skip_blocks", sql.gaps("documents", f"b AS ({_BLOCKS})", _probes(11)) + " SELECT term, block, doc_id FROM b JOIN probe ON probe.doc_id BETWEEN first_doc AND last_doc")
 def q_skip_blocks(spark, d):
     """Which blocks may hold given documents: by document range first, then by the exact bounds; nothing is decoded."""
     width = 4096
-    probe = spark.range(0, 1000, 97).select(F.col("id").alias("doc_id"), F.floor(F.col("id") / width).alias("range"))
-    b = corpus.blocks(long_gaps(spark, d)).withColumn("range", F.explode(F.sequence(F.floor(F.col("first_doc") / width), F.floor(F.col("last_doc") / width))))
+    found = s1(spark, d)
+    probe = probes(found, 11).withColumn("range", F.floor(F.col("doc_id") / width))
+    b = corpus.blocks(corpus.gaps(corpus.long_lists(found))).withColumn("range", F.explode(F.sequence(F.floor(F.col("first_doc") / width), F.floor(F.col("last_doc") / width))))
     return b.join(F.broadcast(probe), "range").where("doc_id BETWEEN first_doc AND last_doc").select("term", "block", "doc_id")
 
 
-@query("q_seek_asof", sql.gaps("documents", f"b AS ({_BLOCKS})", "probe AS (SELECT DISTINCT term, d AS doc_id FROM b, (SELECT unnest(range(0, 1000, 173)) AS d))") + " SELECT term, doc_id, (SELECT min(block) FROM b WHERE b.term = probe.term AND b.last_doc >= probe.doc_id) AS block FROM probe")
+@query("q_seek_asof", sql.gaps("documents", f"b AS ({_BLOCKS})", _probes(6, "spot"), "probe AS (SELECT DISTINCT term, spot.doc_id FROM b, spot)") + " SELECT term, doc_id, (SELECT min(block) FROM b WHERE b.term = probe.term AND b.last_doc >= probe.doc_id) AS block FROM probe")
 def q_seek_asof(spark, d):
     """The block in which a cursor stops that seeks a document: the first whose last document is not smaller."""
-    b = corpus.blocks(long_gaps(spark, d)).select("term", "block", "last_doc")
-    probe = b.select("term").distinct().crossJoin(F.broadcast(spark.range(0, 1000, 173).select(F.col("id").alias("doc_id"))))
+    found = s1(spark, d)
+    b = corpus.blocks(corpus.gaps(corpus.long_lists(found))).select("term", "block", "last_doc")
+    probe = b.select("term").distinct().crossJoin(F.broadcast(probes(found, 6)))
     both = b.select("term", F.col("last_doc").alias("at"), F.lit(1).alias("kind"), "block").unionByName(probe.select("term", F.col("doc_id").alias("at"), F.lit(0).alias("kind"), F.lit(None).cast("long").alias("block")))
     ahead = W.partitionBy("term").orderBy("at", "kind").rowsBetween(W.currentRow, W.unboundedFollowing)
     return both.withColumn("found", F.first("block", ignorenulls=True).over(ahead)).where("kind = 0").select("term", F.col("at").alias("doc_id"), F.col("found").alias("block"))
@@ -158,17 +170,17 @@ def q_index_postings(spark, d):
 
 
 _REL = " UNION ALL ".join(
-    f"SELECT '{name}' AS relation, count(DISTINCT term) AS lists, count(*) AS postings, cast(max(gap) AS BIGINT) AS widest, round(avg(CASE WHEN gap < 256 THEN 1.0 ELSE 0.0 END), 6) AS fit8 FROM (SELECT term, doc_id - lag(doc_id, 1, -1) OVER (PARTITION BY term ORDER BY doc_id) AS gap FROM (SELECT DISTINCT cast({key} AS VARCHAR) AS term, {member} AS doc_id FROM {source}))"
+    f"SELECT '{name}' AS relation, count(DISTINCT term) AS lists, count(*) AS postings, cast(max(gap) AS BIGINT) AS widest, round(avg(CASE WHEN gap < 256 THEN 1.0 ELSE 0.0 END), 6) AS fit8 FROM (SELECT term, doc_id - lag(doc_id, 1, shard * {corpus.SHARD_DOCS} - 1) OVER (PARTITION BY term, shard ORDER BY doc_id) AS gap FROM (SELECT DISTINCT cast({key} AS VARCHAR) AS term, {member} AS doc_id, {member} // {corpus.SHARD_DOCS} AS shard FROM {source}))"
     for name, (source, key, member) in tables.RELATIONS.items()
 )
 
 
 @query("q_relation_gaps", _REL)
 def q_relation_gaps(spark, d):
-    """Relational postings: lists, postings, the widest gap and how many gaps a byte holds."""
+    """Relational postings: lists, postings, the widest gap of a shard and how many gaps a byte holds."""
     out = None
     for name in tables.RELATIONS:
-        g = corpus.gaps(tables.relation(spark, d, name), 1 << 40)
+        g = corpus.gaps(tables.relation(spark, d, name))
         row = g.agg(F.count_distinct("term").alias("lists"), F.count("*").alias("postings"), F.max("gap").alias("widest"), F.round(F.avg(F.when(F.col("gap") < 256, 1.0).otherwise(0.0)), 6).alias("fit8")).select(F.lit(name).alias("relation"), "*")
         out = row if out is None else out.unionByName(row)
     return out

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from quadpost.operators import corpus, search
 from quadpost.operators.index import build_index
 from quadpost.plans import sql
+from quadpost.plans.codec_queries import KEPT_INDEXES
 from quadpost.sources import tables
 from quadpost.sources.shared import written
 
@@ -65,7 +66,7 @@ def _and(codec: str, collection: str = "documents"):
 
 _AND_SQL = sql.search(sql.AND_SCORES) + " " + sql.TOP
 query("q_and_topk", _AND_SQL)(_and("quad_selector"))
-for _name in ("quad_bp128", "quad_pfor", "quad_afor", "ql_8_iu", "ql_1_cu", "vbyte", "rice", "packed_binary"):
+for _name in (n for n in KEPT_INDEXES if n != "quad_selector"):
     query(f"q_and_topk_{_name}", _AND_SQL)(_and(_name))
 query("q_and_topk_pages", sql.search(sql.AND_SCORES, collection="pages") + " " + sql.TOP)(_and("quad_bp128", "pages"))
 

@@ -15,8 +15,8 @@ from pyspark.sql import functions as F
 from quadpost.codecs import lanes, quad_length, quad_selector
 from quadpost.codecs.base import names as codec_names
 from quadpost.operators import blocks as B
-from quadpost.operators import corpus, search
-from quadpost.operators.index import build_index, index_bits
+from quadpost.operators import corpus, index, search
+from quadpost.operators.index import build_index
 from quadpost.sources import tables
 from quadpost.sources.shared import written
 
@@ -43,11 +43,7 @@ def codec_sweep(spark, sf_dir, source="documents", seq="gaps", names=None, backe
 
 def index_sizes(spark, sf_dir, source="documents", names=None) -> DataFrame:
     """(codec, postings, gap_bits, tf_bits, skip_bits, bits) of whole indexes, short lists by variable byte codes."""
-    found, out = written(corpus.postings(tables.collection(spark, sf_dir, source)), "postings"), None
-    for name in names or codec_names():
-        row = index_bits(build_index(found, name)).select(F.lit(name).alias("codec"), "*")
-        out = row if out is None else out.unionByName(row)
-    return out
+    return index.index_sizes(corpus.postings(tables.collection(spark, sf_dir, source)), tuple(names or codec_names()))
 
 
 def query_rates(spark, sf_dir, names, source="documents", mode="and", runs=3) -> list[dict]:
@@ -56,9 +52,9 @@ def query_rates(spark, sf_dir, names, source="documents", mode="and", runs=3) ->
     found = written(corpus.postings(docs), "postings")
     lengths = written(found.groupBy("doc_id").agg(F.sum("tf").alias("len")), "lengths")
     for name in names:
-        index = build_index(found, name).cache()
-        index.count()
-        searcher = search.Searcher(index, lengths)
+        held = build_index(found, name).cache()
+        held.count()
+        searcher = search.Searcher(held, lengths)
         asked = written(search.query_terms(tables.table(spark, sf_dir, "benchmark"), corpus.dictionary(found), searcher.n_docs), "asked")
         n = asked.select("query_id").distinct().count()
         ask = {"and": searcher.and_topk, "or": searcher.or_topk, "wand": searcher.or_wand, "maxscore": searcher.or_maxscore}[mode]
@@ -67,15 +63,15 @@ def query_rates(spark, sf_dir, names, source="documents", mode="and", runs=3) ->
             ask(asked).write.format("noop").mode("overwrite").save()
         seconds = (perf_counter() - began) / runs
         out.append({"codec": name, "queries": n, "seconds": seconds, "rate": n / seconds})
-        index.unpersist()
+        held.unpersist()
     return out
 
 
 def decode_share(spark, sf_dir, name="quad_bp128") -> float:
     """Decoding time over all time of the AND query set."""
     found = written(corpus.postings(tables.collection(spark, sf_dir, "documents")), "postings")
-    index = written(build_index(found, name), "index")
-    searcher = search.Searcher(index, found.groupBy("doc_id").agg(F.sum("tf").alias("len")))
+    held = written(build_index(found, name), "index")
+    searcher = search.Searcher(held, found.groupBy("doc_id").agg(F.sum("tf").alias("len")))
     asked = search.query_terms(tables.table(spark, sf_dir, "benchmark"), corpus.dictionary(found), searcher.n_docs)
 
     def seconds(df) -> float:
