@@ -57,22 +57,30 @@ def _vectors(bits: Column) -> Column:
     return VECTOR_BITS * F.ceil(bits / 32)
 
 
-def quad_length_bits(values: Column, cg: int, coding: str) -> Column:
-    maxima = quad_or(values)
-    units = _total(maxima, lambda q: length_descriptor(q, cg))
+def value_bits(values: Column) -> Column:
+    return F.transform(values, effective_bits)
+
+
+def quad_bits(bits: Column) -> Column:
+    """What each quad needs, from what its values need."""
+    return F.transform(_units(bits, LANES), F.array_max)
+
+
+def quad_length_bits(need: Column, cg: int, coding: str) -> Column:
+    """Bits of the family's members from the quads' bit lengths."""
+    units = _total(need, lambda b: F.ceil(b / cg))
     if coding == "b":
         per, size = BINARY_UNIT[cg]
-        ctrl = 8 * size * F.ceil(F.size(maxima) / per)
+        ctrl = 8 * size * F.ceil(F.size(need) / per)
     elif coding == "cu":
         ctrl = 8 * F.ceil(units / 8)
     else:  # codes fill bytes greedily: carry (bytes begun, bits used in the last)
         start = F.struct(F.lit(0).cast("long").alias("bytes"), F.lit(8).cast("long").alias("used"))
+        code = lambda b: F.ceil(b / cg).cast("long")
         fold = F.aggregate(
-            maxima,
+            need,
             start,
-            lambda a, q: F.when(a["used"] + length_descriptor(q, cg) > 8, F.struct((a["bytes"] + 1).alias("bytes"), length_descriptor(q, cg).cast("long").alias("used"))).otherwise(
-                F.struct(a["bytes"].alias("bytes"), (a["used"] + length_descriptor(q, cg)).cast("long").alias("used"))
-            ),
+            lambda a, b: F.when(a["used"] + code(b) > 8, F.struct((a["bytes"] + 1).alias("bytes"), code(b).alias("used"))).otherwise(F.struct(a["bytes"].alias("bytes"), (a["used"] + code(b)).alias("used"))),
         )
         ctrl = 8 * fold["bytes"]
     return ctrl + _vectors(units * cg)
@@ -85,6 +93,12 @@ def selector_modes(values: Column) -> Column:
 
 
 def _modes_of(need: Column) -> Column:
+    return _selection(need, F.array().cast("array<int>"), lambda modes, pick: F.concat(modes, F.array(pick)))
+
+
+def _selection(need: Column, empty: Column, add) -> Column:
+    """A fold over the quads' bit lengths; ``add`` takes in each selector that is chosen."""
+
     def step(a: Column, k: Column) -> Column:
         def at(n: int) -> Column:
             return F.slice(need, a["next"] + 1, F.lit(n))
@@ -93,28 +107,29 @@ def _modes_of(need: Column) -> Column:
         for s, n, b in reversed(SELECTORS):
             pick = F.lit(s) if pick is None else F.when(F.array_max(at(n)) <= b, F.lit(s)).otherwise(pick)
         taken = F.element_at(F.array(*[F.lit(n) for _, n, _ in SELECTORS]), pick + 1)
-        return F.when(a["next"] == k, F.struct((a["next"] + taken).alias("next"), F.concat(a["modes"], F.array(pick)).alias("modes"))).otherwise(a)
+        return F.when(a["next"] == k, F.struct((a["next"] + taken).alias("next"), add(a["held"], pick).alias("held"))).otherwise(a)
 
-    empty = F.struct(F.lit(0).alias("next"), F.array().cast("array<int>").alias("modes"))
     places = F.when(F.size(need) > 0, F.sequence(F.lit(0), F.size(need) - 1)).otherwise(F.array().cast("array<int>"))
-    return F.aggregate(places, empty, step)["modes"]
-
+    return F.aggregate(places, F.struct(F.lit(0).alias("next"), empty.alias("held")), step)["held"]
 
-def _frame_bits(values: Column, frame: int) -> Column:
-    return _total(_units(values, frame), lambda f: 8 + F.size(f) * effective_bits(F.array_max(f)))
 
+def size_expr(name: str, values: Column, bits: Column | None = None, need: Column | None = None) -> Column:
+    """The exact bits that codec ``name`` takes for the array, without encoding it.
 
-def size_expr(name: str, values: Column) -> Column:
-    """The exact bits that codec ``name`` takes for the array, without encoding it."""
+    ``bits`` (``value_bits``) and ``need`` (``quad_bits`` of it) are computed here unless
+    given; who asks for several codecs binds them as columns once.
+    """
     n = F.size(values)
+    bits = value_bits(values) if bits is None else bits
+    need = quad_bits(bits) if need is None else need
     if name.startswith("ql_"):
         _, cg, coding = name.split("_")
-        return quad_length_bits(values, int(cg), coding)
-    byte_total = _total(values, lambda x: F.ceil(effective_bits(x) / 8))
+        return quad_length_bits(need, int(cg), coding)
+    byte_total = _total(bits, lambda b: F.ceil(b / 8))
     if name == "gamma":
-        return _total(values, lambda x: 2 * effective_bits(x) - 1)
+        return _total(bits, lambda b: 2 * b - 1)
     if name == "vbyte":
-        return 8 * _total(values, lambda x: F.ceil(effective_bits(x) / 7))
+        return 8 * _total(bits, lambda b: F.ceil(b / 7))
     if name == "gvb":
         return 8 * F.ceil(n / LANES) + 8 * byte_total
     if name == "g8cu":
@@ -122,17 +137,16 @@ def size_expr(name: str, values: Column) -> Column:
     if name == "uncompressed":
         return (32 * n).cast("long")
     if name == "packed_binary":
-        return _frame_bits(values, 512)
+        return _total(_units(bits, 512), lambda f: 8 + F.size(f) * F.array_max(f))
     if name == "quad_bp128":
-        lane_bits = _total(_units(values, 128), lambda f: F.ceil(F.size(f) / LANES) * effective_bits(F.array_max(f)))
-        return _vectors(lane_bits) + 8 * F.ceil(n / 128)
+        return _vectors(_total(_units(bits, 128), lambda f: F.ceil(F.size(f) / LANES) * F.array_max(f))) + 8 * F.ceil(n / 128)
     if name == "rice":
-        total = _total(values, lambda x: x)
-        share = F.expr("1") * F.floor(69 * total / (100 * n))
-        b = F.when(share > 0, effective_bits(share) - 1).otherwise(0)
-        return 8 + _total(values, lambda x: F.floor((x - 1) / F.pow(F.lit(2), b)) + 1 + b)
+        share = F.floor(69 * _total(values, lambda x: x) / (100 * n))
+        parameter = F.when(share > 0, effective_bits(share) - 1).otherwise(0)
+        # bound by an array of one element, or every value would add up the array again
+        return F.transform(F.array(parameter), lambda b: 8 + n * (1 + b) + _total(values, lambda x: F.floor((x - 1) / F.pow(F.lit(2), b))))[0]
     if name == "quad_selector":
-        return (CTRL_BITS + VECTOR_BITS) * F.size(selector_modes(values)).cast("long")
+        return (CTRL_BITS + VECTOR_BITS) * _selection(need, F.lit(0).cast("long"), lambda count, _: count + 1)
     raise KeyError(f"no closed form for {name}")
 
 

@@ -303,8 +303,8 @@ for _coll in tables.COLLECTIONS:
 def q_size_expr(spark, d):
     """The same totals from expressions alone: no value leaves the JVM."""
     names = [n for n in sql.CLOSED if n != "golomb"] + ["quad_selector"]
-    g = gap_blocks(spark, d)
-    each = F.explode(F.array(*[F.struct(F.lit(n).alias("codec"), E.size_expr(n, F.col("values")).cast("long").alias("bits")) for n in names]))
+    g = gap_blocks(spark, d).withColumn("b", E.value_bits(F.col("values"))).withColumn("q", E.quad_bits(F.col("b")))
+    each = F.explode(F.array(*[F.struct(F.lit(n).alias("codec"), E.size_expr(n, F.col("values"), F.col("b"), F.col("q")).cast("long").alias("bits")) for n in names]))
     return g.select(each.alias("x")).groupBy("x.codec").agg(F.sum("x.bits").alias("bits"))
 
 
