@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from time import perf_counter_ns
 
 import numpy as np
 import pyarrow as pa
@@ -62,6 +63,27 @@ def decode_postings(index: DataFrame, tfs: bool = True) -> DataFrame:
     return kept.mapInArrow(run, "term string, doc_id bigint" + (", tf bigint" if tfs else ""))
 
 
+def decode_ns(index: DataFrame) -> DataFrame:
+    """(blocks, postings, ns) of each task: nanoseconds inside the codecs while both areas of index rows are decoded."""
+    names = [f"{p}_{c}" for p in "gt" for c in ("codec", "n", "ctrl", "data", "exc")]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        blocks, postings, ns = 0, 0, 0
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            for at in (0, 5):
+                used, *areas = (batch.column(at + k).to_pylist() for k in range(5))
+                held = [Block(*b) for b in zip(*areas, strict=True)]
+                began = perf_counter_ns()
+                decoded(used, held)
+                ns += perf_counter_ns() - began
+            blocks, postings = blocks + batch.num_rows, postings + sum(areas[0])
+        yield pa.RecordBatch.from_pydict({"blocks": [blocks], "postings": [postings], "ns": [ns]})
+
+    return index.select(*names).mapInArrow(run, "blocks bigint, postings bigint, ns bigint")
+
+
 def index_bits(index: DataFrame) -> DataFrame:
     """Total (postings, gap_bits, tf_bits, skip_bits, bits) of an index."""
     bits = lambda p: F.sum(F.col(f"{p}_ctrl_bits") + F.col(f"{p}_data_bits") + F.col(f"{p}_exc_bits") + F.col(f"{p}_head_bits"))

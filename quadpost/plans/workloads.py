@@ -16,7 +16,6 @@ from quadpost.codecs import lanes, quad_length, quad_selector
 from quadpost.codecs.base import names as codec_names
 from quadpost.operators import blocks as B
 from quadpost.operators import corpus, index, search
-from quadpost.operators.index import build_index
 from quadpost.sources import tables
 from quadpost.sources.shared import written
 
@@ -46,43 +45,39 @@ def index_sizes(spark, sf_dir, source="documents", names=None) -> DataFrame:
     return index.index_sizes(corpus.postings(tables.collection(spark, sf_dir, source)), tuple(names or codec_names()))
 
 
-def query_rates(spark, sf_dir, names, source="documents", mode="and", runs=3) -> list[dict]:
-    """Queries per second over the whole query set, index warm in memory: [{codec, queries, seconds, rate}]."""
-    docs, out = tables.collection(spark, sf_dir, source), []
-    found = written(corpus.postings(docs), "postings")
-    lengths = written(found.groupBy("doc_id").agg(F.sum("tf").alias("len")), "lengths")
-    for name in names:
-        held = build_index(found, name).cache()
-        held.count()
-        searcher = search.Searcher(held, lengths)
-        asked = written(search.query_terms(tables.table(spark, sf_dir, "benchmark"), corpus.dictionary(found), searcher.n_docs), "asked")
-        n = asked.select("query_id").distinct().count()
-        ask = {"and": searcher.and_topk, "or": searcher.or_topk, "wand": searcher.or_wand, "maxscore": searcher.or_maxscore}[mode]
-        began = perf_counter()
-        for _ in range(runs):
-            ask(asked).write.format("noop").mode("overwrite").save()
-        seconds = (perf_counter() - began) / runs
-        out.append({"codec": name, "queries": n, "seconds": seconds, "rate": n / seconds})
-        held.unpersist()
-    return out
-
+def query_rates(spark, sf_dir, names, source="documents", modes=("and",), runs=3) -> list[dict]:
+    """Queries per second over the whole query set: [{codec, mode, queries, build_seconds, seconds, rate, decode_share}].
 
-def decode_share(spark, sf_dir, name="quad_bp128") -> float:
-    """Decoding time over all time of the AND query set."""
-    found = written(corpus.postings(tables.collection(spark, sf_dir, "documents")), "postings")
-    held = written(build_index(found, name), "index")
-    searcher = search.Searcher(held, found.groupBy("doc_id").agg(F.sum("tf").alias("len")))
-    asked = search.query_terms(tables.table(spark, sf_dir, "benchmark"), corpus.dictionary(found), searcher.n_docs)
+    The index is a written table, built and timed apart; each mode runs once to warm up.
+    ``decode_share`` (of "and") is the time inside the codecs for the blocks that the
+    queries read, over the queries' time on all task slots; what a task waits counts too.
+    """
+    out, found = [], written(corpus.postings(tables.collection(spark, sf_dir, source)), "postings")
+    lengths = written(found.groupBy("doc_id").agg(F.sum("tf").alias("len")), "lengths")
+    asked = written(search.query_terms(tables.table(spark, sf_dir, "benchmark"), corpus.dictionary(found), lengths.count()), "asked")
+    n = asked.select("query_id").distinct().count()
 
-    def seconds(df) -> float:
+    def seconds(make, times: int) -> float:
         began = perf_counter()
-        df.write.format("noop").mode("overwrite").save()
-        return perf_counter() - began
-
-    from quadpost.operators.index import decode_postings
+        for _ in range(times):
+            make().write.format("noop").mode("overwrite").save()
+        return (perf_counter() - began) / times
 
-    touched = searcher._blocks_of(asked)
-    return max(0.0, seconds(decode_postings(touched)) - seconds(touched)) / seconds(searcher.and_topk(asked))
+    for name in names:
+        began = perf_counter()
+        held = written(index.build_index(found, name), "index")
+        build = perf_counter() - began
+        searcher = search.Searcher(held, lengths)
+        for mode in modes:
+            ask = {"and": searcher.and_topk, "or": searcher.or_topk, "wand": searcher.or_wand, "maxscore": searcher.or_maxscore}[mode]
+            seconds(lambda ask=ask: ask(asked), 1)
+            took, share = seconds(lambda ask=ask: ask(asked), runs), None
+            if mode == "and":
+                touched = written(searcher.skipped_blocks(asked, searcher.candidates(asked)), "touched")
+                spent = index.decode_ns(touched).agg(F.sum("ns")).first()[0] or 0
+                share = spent / 1e9 / (took * spark.sparkContext.defaultParallelism)
+            out.append({"codec": name, "mode": mode, "queries": n, "build_seconds": build, "seconds": took, "rate": n / took, "decode_share": share})
+    return out
 
 
 def _mis(f, n: int, runs: int) -> float:
