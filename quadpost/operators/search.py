@@ -136,14 +136,18 @@ class Searcher:
 
         A range's bound is the sum of its terms' bounds. The range of the largest bound is
         scored first; its k-th best score is the threshold theta, and ranges below it are dead.
+        A block spans ranges where it has no posting, so that range may hold fewer than k
+        documents or none: then theta is 0 and every range is live.
         """
         bounds = written(self.block_bounds(asked), "block-bounds")
         each = asked.select("query_id", "term").join(bounds.groupBy("term", "range").agg(F.max("bound").alias("bound")), "term")
         total = written(each.groupBy("query_id", "range").agg(F.sum("bound").alias("most")), "range-bounds")
-        best = total.groupBy("query_id").agg(F.max_by("range", "most").alias("range"))
+        # of equal bounds always the same range: the plan below reads ``best`` twice
+        best = total.groupBy("query_id").agg(F.max(F.struct("most", "range")).alias("b")).select("query_id", "b.range")
         scores = top(self._parts_in(asked, best, bounds).groupBy("query_id", "doc_id").agg(F.sum("part").alias("score")), k)
         theta = scores.groupBy("query_id").agg(F.when(F.count("*") == k, F.min("score")).otherwise(0.0).alias("theta"))
-        live = total.join(theta, "query_id").where(F.col("most") >= F.col("theta") - _SLACK).select("query_id", "range", "theta")
+        known = total.join(theta, "query_id", "left").withColumn("theta", F.coalesce("theta", F.lit(0.0)))
+        live = known.where(F.col("most") >= F.col("theta") - _SLACK).select("query_id", "range", "theta")
         return bounds, each, written(live, "live-ranges")
 
     def or_maxscore(self, asked: DataFrame, k: int = K) -> DataFrame:

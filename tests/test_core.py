@@ -133,6 +133,19 @@ def test_pruning_decodes_fewer_blocks_and_stays_exact(spark):
     assert top_part.join(bounds.groupBy("term", "range").agg(F.max("bound").alias("bound")), ["term", "range"], "left").where("bound IS NULL OR part > bound + 1e-9").isEmpty()
 
 
+@pytest.mark.parametrize("mode", ["or_wand", "or_maxscore"])
+def test_pruning_keeps_queries_whose_best_range_is_empty(spark, mode):
+    """One block spans ranges without a posting, and all its ranges have the same bound."""
+    gap = search.OR_RANGE_DOCS
+    found = spark.createDataFrame([("thin", 0, 1), ("thin", 9 * gap, 1)] + [("fill", d * gap, 4) for d in range(10)], "term string, doc_id bigint, tf bigint").cache()
+    lengths = found.where("term = 'fill'").select("doc_id", F.lit(5).cast("long").alias("len"))
+    searcher = search.Searcher(build_index(found, "quad_bp128").cache(), lengths.cache())
+    words = corpus.dictionary(found)
+    asked = words.where("term = 'thin'").select(F.lit(1).cast("long").alias("query_id"), "term", "df").unionByName(words.select(F.lit(2).cast("long").alias("query_id"), "term", "df")).cache()
+    want = sorted(map(tuple, searcher.or_topk(asked).collect()))
+    assert len(want) == 12 and sorted(map(tuple, getattr(searcher, mode)(asked).collect())) == want
+
+
 def test_codec_choice_for_speed(spark):
     df = spark.createDataFrame([([3] * 512,)], "values array<bigint>")
     assert choose_codec(df, ("vbyte", "quad_bp128", "gamma"), "speed").first()["chosen"] == "quad_bp128"
