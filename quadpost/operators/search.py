@@ -175,16 +175,20 @@ class Searcher:
 
 
 def wand(lists: list[tuple[np.ndarray, np.ndarray]], k: int, theta: float) -> tuple[list[tuple[float, int]], int]:
-    """The best k (score, -doc) of lists (ascending docs, parts) that reach ``theta``, and how many documents were scored."""
+    """(score, -doc) of lists (ascending docs, parts) that reach ``theta`` and the k-th best score, and how many documents were scored.
+
+    More than k come back where scores below the k-th best may still equal it when rounded: the ranking decides them.
+    """
     import heapq
 
     bounds = [float(p.max()) for _, p in lists]
     at = [0] * len(lists)
-    heap: list[tuple[float, int]] = []
+    heap: list[float] = []
+    kept: list[tuple[float, int]] = []
     scored = 0
     while True:
         live = sorted((int(d[a]), i) for i, ((d, _), a) in enumerate(zip(lists, at, strict=True)) if a < len(d))
-        floor = max(theta, heap[0][0] if len(heap) == k else 0.0) - _SLACK
+        floor = max(theta, heap[0] if len(heap) == k else 0.0) - _SLACK
         reach, pivot = 0.0, None
         for doc, i in live:
             reach += bounds[i]
@@ -192,7 +196,7 @@ def wand(lists: list[tuple[np.ndarray, np.ndarray]], k: int, theta: float) -> tu
                 pivot = doc
                 break
         if pivot is None:
-            return heap, scored
+            return [x for x in kept if x[0] >= floor], scored
         if live[0][0] == pivot:
             total = 0.0
             for doc, i in live:
@@ -201,7 +205,8 @@ def wand(lists: list[tuple[np.ndarray, np.ndarray]], k: int, theta: float) -> tu
                     at[i] += 1
             scored += 1
             if total >= floor:
-                heapq.heappush(heap, (total, -pivot))
+                kept.append((total, -pivot))
+                heapq.heappush(heap, total)
                 if len(heap) > k:
                     heapq.heappop(heap)
         else:
@@ -215,7 +220,7 @@ def _wand(k: int):
     def run(group: pd.DataFrame) -> pd.DataFrame:
         ordered = group.sort_values(["term", "doc_id"])
         lists = [(g["doc_id"].to_numpy(), g["part"].to_numpy()) for _, g in ordered.groupby("term", sort=True)]
-        heap, _ = wand(lists, k, float(group["theta"].iloc[0]))
-        return pd.DataFrame({"query_id": group["query_id"].iloc[0], "doc_id": [-d for _, d in heap], "score": [s for s, _ in heap]}).astype({"doc_id": "int64", "query_id": "int64", "score": "float64"})
+        found, _ = wand(lists, k, float(group["theta"].iloc[0]))
+        return pd.DataFrame({"query_id": group["query_id"].iloc[0], "doc_id": [-d for _, d in found], "score": [s for s, _ in found]}).astype({"doc_id": "int64", "query_id": "int64", "score": "float64"})
 
     return run

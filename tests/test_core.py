@@ -146,6 +146,11 @@ def test_pruning_keeps_queries_whose_best_range_is_empty(spark, mode):
     assert len(want) == 12 and sorted(map(tuple, getattr(searcher, mode)(asked).collect())) == want
 
 
+def test_wand_leaves_ties_of_rounded_scores_to_the_ranking():
+    found, _ = search.wand([(np.arange(12), np.array([1.0] + [1.0000003] * 10 + [0.5]))], 10, 0.0)
+    assert sorted(-d for _, d in found) == list(range(11))
+
+
 def test_codec_choice_for_speed(spark):
     df = spark.createDataFrame([([3] * 512,)], "values array<bigint>")
     assert choose_codec(df, ("vbyte", "quad_bp128", "gamma"), "speed").first()["chosen"] == "quad_bp128"
