@@ -5,7 +5,8 @@ that stands between two characters which are no white space: the vocabulary's
 pattern begins a piece at every such space and never reaches over it, and special
 tokens hold no space, so the parts' ids one after another are the text's ids. A part
 of Latin letters alone is one piece of that pattern, and a mark after them another:
-the library's model reads such pieces without the rest of its call.
+the library's model reads such pieces without the rest of its call. Words are kept
+for themselves, so a mark or a line break beside them makes no new word.
 """
 
 from __future__ import annotations
@@ -16,7 +17,7 @@ from array import array
 
 import numpy as np
 
-#: Words whose ids are kept, and the longest such word. The store is emptied when it is full.
+#: Words whose ids are kept, and the longest such word. The stores are emptied when they are full.
 KEPT_WORDS, KEPT_LENGTH = 800_000, 64
 _NO_CUT = re.compile(r"\s | \s")
 _MARKS, _LATIN_END = ".,;:!?", "\u0250"
@@ -30,7 +31,7 @@ def _byte_letters() -> dict[int, str]:
 
 
 def _letters(word: str) -> bool:
-    return word.isalpha() and max(word) < _LATIN_END
+    return word.isalpha() and (word.isascii() or max(word) < _LATIN_END)
 
 
 class Encoder:
@@ -39,26 +40,42 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self._tokenizer, self._kept, self._bytes = Tokenizer.from_file(path), {}, _byte_letters()
+        self._begun: dict[str, bytes] = {}  # words that begin a line
         self._model = self._tokenizer.model
         self._marks = dict(zip(_MARKS + "\n", self._read(list(_MARKS + "\n")), strict=True))
 
     def _word(self, letters: str, before: str = " ") -> bytes:
         """The ids of letters with what stands before them: a space or nothing."""
-        piece = f"{before}{letters}".encode().decode("latin-1").translate(self._bytes)
+        piece = self._bytes[32] + letters if before else letters
+        if not letters.isascii():
+            piece = f"{before}{letters}".encode().decode("latin-1").translate(self._bytes)
         return array("I", [t.id for t in self._model.tokenize(piece)]).tobytes()
 
     def _line(self, part: str, before: str) -> bytes | None:
         """The ids of a word, or of a word and a mark; None of others."""
+        store = self._kept if before else self._begun
+        ids = store.get(part)
+        if ids is not None:
+            return ids
         if _letters(part):
-            return (self._kept.get(part) if before else None) or self._word(part, before)
-        if part and part[-1] in _MARKS and _letters(part[:-1]):
-            return self._line(part[:-1], before) + self._marks[part[-1]]
-        return None
+            ids = self._word(part, before)
+        elif part and part[-1] in _MARKS and _letters(part[:-1]):
+            ids = self._line(part[:-1], before) + self._marks[part[-1]]
+        if ids is not None and len(part) <= KEPT_LENGTH:
+            store[part] = ids
+        return ids
 
     def _parts(self, new: list[str]) -> dict[str, bytes]:
         """The ids of parts, each after a space. One line break between two words is a piece of its own."""
         read, rest = {}, []
         for p in new:
+            if "\n" not in p:
+                ids = self._line(p, " ")
+                if ids is None:
+                    rest.append(p)
+                else:
+                    read[p] = ids
+                continue
             first, *lines = p.split("\n")
             ids = [self._line(first, " "), *(self._line(x, "") for x in lines)]
             if None in ids:
@@ -75,15 +92,18 @@ class Encoder:
         first, *parts = text.split(" ")
         if not all(parts) or _NO_CUT.search(text):  # white space beside white space has no cut in it
             first, *parts = _safe_parts([first, *parts])
-        get = self._kept.get
-        found = list(map(get, parts))
-        if None in found:
-            read = self._parts(list({p for p, ids in zip(parts, found, strict=True) if ids is None}))
-            found = [read[p] if ids is None else ids for p, ids in zip(parts, found, strict=True)]
-            if len(self._kept) > KEPT_WORDS:
-                self._kept.clear()
-            self._kept.update((p, ids) for p, ids in read.items() if len(p) <= KEPT_LENGTH)
-        return np.frombuffer(b"".join([*self._read([first]), *found]), "<u4")
+        found = [self._line(first, "") or self._read([first])[0], *map(self._kept.get, parts)]
+        try:
+            return np.frombuffer(b"".join(found), "<u4")
+        except TypeError:  # a part that is not kept
+            new = {p for p, ids in zip(parts, found[1:], strict=True) if ids is None}
+        read = self._parts(list(new))
+        found[1:] = [read[p] if ids is None else ids for p, ids in zip(parts, found[1:], strict=True)]
+        if len(self._kept) + len(self._begun) > KEPT_WORDS:
+            self._kept.clear()
+            self._begun.clear()
+        self._kept.update((p, ids) for p, ids in read.items() if len(p) <= KEPT_LENGTH and "\n" not in p)
+        return np.frombuffer(b"".join(found), "<u4")
 
 
 def _safe_parts(parts: list[str]) -> list[str]:

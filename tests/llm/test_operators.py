@@ -654,6 +654,15 @@ def test_ids_of_latin_letters(plain):
         assert ours.ids(text).tolist() == plain(text)
 
 
+def test_a_word_is_read_once_whatever_stands_beside_it(plain, monkeypatch):
+    ours, read = tokens.Encoder(tokens.default_path()), []
+    word = ours._word
+    monkeypatch.setattr(ours, "_word", lambda letters, before=" ": read.append((letters, before)) or word(letters, before))
+    for text in ("alpha beta, alpha, beta\nalpha gamma", "so beta. gamma;\nalpha alpha?\nalpha, beta!"):
+        assert ours.ids(text).tolist() == plain(text)
+    assert len(read) == len(set(read))
+
+
 def test_a_full_store_of_words_is_emptied(plain, monkeypatch):
     monkeypatch.setattr(tokens, "KEPT_WORDS", 5)
     ours = tokens.Encoder(tokens.default_path())
