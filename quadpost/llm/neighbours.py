@@ -7,8 +7,9 @@ whose axes, taken together, are least behind its own. What it meets there is ran
 exactly by the inner product of the original vectors in double precision.
 
 Buckets tell directions, which give the order of inner products only for vectors of
-equal length. Vectors of unequal length, small tables, and queries that meet fewer
-than ``k`` rows are ranked exactly against all rows.
+equal length. Vectors of unequal length are ranked exactly against all rows. Tables
+of all sizes go the same way: a query that has met too few rows probes further
+buckets, and in the end all of them, which is to rank all rows.
 
 Queries go in blocks of a fixed size, one after another; a block and its probe
 tables are broadcast and every partition hashes its own vectors once against them,
@@ -45,8 +46,8 @@ BLOCK = 4096
 #: Vectors that one step of a partition hashes and ranks.
 STEP = 4096
 _EVEN = 1e-3
-#: Up to so many vectors of one number of components are ranked exactly.
-SMALL = 4096
+#: A query that meets fewer rows than this probes so many times the buckets.
+SMALL, FURTHER = 768, 16
 #: Queries whose products with a step's vectors are held at once.
 _RANKED = 256
 
@@ -198,6 +199,7 @@ def _search(shared, k: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         blocks: dict[int, QueryBlock] = shared.value
         best = {d: [(np.zeros(0, np.int64), np.zeros(0))] * len(q.ids) for d, q in blocks.items()}
+        met = {d: np.zeros(len(q.ids), np.int64) for d, q in blocks.items()}
         for batch in batches:
             for start in range(0, batch.num_rows, STEP):
                 for d, (ids, vectors) in _stacked(batch.slice(start, STEP)).items():
@@ -206,25 +208,27 @@ def _search(shared, k: int):
                     block = blocks[d]
                     for i, (own, near) in enumerate(zip(block.ids, block.candidates(ids, vectors, k), strict=True)):
                         near = near[ids[near] != own]
+                        met[d][i] += len(near)
                         if len(near):
                             had = best[d][i]
                             best[d][i] = _best(np.concatenate([had[0], ids[near]]), np.concatenate([had[1], scores(vectors[near], block.vectors[i])]), k)
         for d, block in blocks.items():
-            rows = [(q, b) for q, b in zip(block.ids.tolist(), best[d], strict=True) if len(b[0])]
+            rows = [(q, b, n) for q, b, n in zip(block.ids.tolist(), best[d], met[d].tolist(), strict=True) if n]
             if rows:
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array([q for q, _ in rows], pa.int64()), pa.array([b[0].tolist() for _, b in rows], pa.list_(pa.int64())), pa.array([b[1].tolist() for _, b in rows], pa.list_(pa.float64()))], ["query_id", "vec_ids", "scores"]
+                    [pa.array([q for q, _, _ in rows], pa.int64()), pa.array([b[0].tolist() for _, b, _ in rows], pa.list_(pa.int64())), pa.array([b[1].tolist() for _, b, _ in rows], pa.list_(pa.float64())), pa.array([n for _, _, n in rows], pa.int64())],
+                    ["query_id", "vec_ids", "scores", "met"],
                 )
 
     return run
 
 
-def _found(base: DataFrame, asked: DataFrame, exact: Callable[[int], bool], k: int, tables: int, probes: int, block: int) -> DataFrame:
-    """(query_id, vec_id, score): the best that the partitions find for each of ``asked``."""
+def _found(base: DataFrame, asked: DataFrame, exact: Callable[[int], bool], k: int, tables: int, probes: int, block: int) -> tuple[DataFrame, DataFrame]:
+    """(query_id, vec_id, score): the best that the partitions find for each of ``asked``; and (query_id, met): how many rows it meets."""
     spark = base.sparkSession
     n_blocks = -(-asked.count() // block) or 1
     dealt = written(asked.withColumn("block", F.pmod(F.xxhash64("vec_id"), F.lit(n_blocks)).cast("int")), "queries", ["block"])
-    schema, path = "query_id long, vec_ids array<long>, scores array<double>", f"{shared_dir(spark)}/met-{uuid4().hex}"
+    schema, path = "query_id long, vec_ids array<long>, scores array<double>, met long", f"{shared_dir(spark)}/met-{uuid4().hex}"
     for b in range(n_blocks):
         by: dict[int, tuple] = {}
         for batch in dealt.where(F.col("block") == b).select("vec_id", "embedding").toArrow().combine_chunks().to_batches():
@@ -236,23 +240,31 @@ def _found(base: DataFrame, asked: DataFrame, exact: Callable[[int], bool], k: i
         shared.unpersist()
     every = spark.read.schema(f"{schema}, block int").parquet(path)
     tall = every.select("query_id", F.explode(F.arrays_zip("vec_ids", "scores")).alias("f")).select("query_id", F.col("f.vec_ids").alias("vec_id"), F.col("f.scores").alias("score"))
-    return tall.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
+    return tall.groupBy("query_id", "vec_id").agg(F.max("score").alias("score")), every.groupBy("query_id").agg(F.sum("met").alias("met"))
 
 
 def nearest(vectors: DataFrame, is_query: Column, k: int = K, tables: int = TABLES, probes: int = PROBES, block: int = BLOCK, small: int = SMALL) -> DataFrame:
-    """(query_id, rank, vec_id, score): what each query row finds among all other rows, nearest first."""
+    """(query_id, rank, vec_id, score): what each query row finds among all other rows, nearest first.
+
+    A query that has met fewer than ``small`` rows, or found fewer than ``k``, probes further.
+    """
     base = vectors.select(F.col("vec_id").cast("long"), F.col("embedding").cast("array<double>"))
     asked = base.where(is_query & F.col("vec_id").isNotNull())
     size = F.sqrt(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x * x))
-    lengths = base.select(F.size("embedding").alias("d"), size.alias("n")).where("n > 0 AND NOT isnan(n)").groupBy("d").agg(F.min("n"), F.max("n"), F.count("*")).collect()
-    even = {d for d, low, high, count in lengths if count > small and low >= (1 - _EVEN) * high and high < float("inf")}
-    once = _found(base, asked, lambda d: d not in even, k, tables, probes, block)
-    if even:
+    lengths = base.select(F.size("embedding").alias("d"), size.alias("n")).where("n > 0 AND NOT isnan(n)").groupBy("d").agg(F.min("n"), F.max("n")).collect()
+    even = {d for d, low, high in lengths if low >= (1 - _EVEN) * high and high < float("inf")}
+    once, met = _found(base, asked, lambda d: d not in even, k, tables, probes, block)
+    short = asked.where(F.size("embedding").isin(*even) & size.isNotNull() & ~F.isnan(size) & F.exists("embedding", lambda x: x != 0))
+    whole = not even
+    while not whole:
         once = written(once, "met")
-        enough = once.groupBy("query_id").count().where(F.col("count") >= k).select(F.col("query_id").alias("vec_id"))
-        short = asked.where(F.size("embedding").isin(*even)).join(enough, "vec_id", "left_anti")
-        if not short.isEmpty():
-            again = _found(base, written(short, "short"), lambda d: True, k, tables, probes, block)
-            once = once.unionByName(again).groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
+        enough = once.groupBy("query_id").count().join(met, "query_id").where((F.col("count") >= k) & (F.col("met") >= small)).select(F.col("query_id").alias("vec_id"))
+        short = written(short.join(enough, "vec_id", "left_anti"), "short")
+        if short.isEmpty():
+            break
+        probes *= FURTHER
+        whole = probes > AXES**HASHES
+        again, met = _found(base, short, lambda d: whole, k, tables, probes, block)  # noqa: B023
+        once = once.unionByName(again).groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
     order = W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return once.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")

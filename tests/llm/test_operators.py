@@ -489,6 +489,19 @@ def test_nearest_of_any_lengths_is_whole(spark, case):
         assert len(by[q]) == min(20, n - 1) and (case == "few met" or by[q] == set(best))
 
 
+def test_tables_of_few_rows_are_searched_by_the_same_buckets(spark, monkeypatch):
+    """No switch by size: 1200 rows are met by probes, more of them because the first ones meet too few rows."""
+    x = np.random.default_rng(6).normal(size=(1200, 64))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id bigint, embedding array<double>")
+    made, build = [], neighbours.QueryBlock.__init__
+    monkeypatch.setattr(neighbours.QueryBlock, "__init__", lambda self, ids, v, exact, tables, probes: made.append((exact, probes)) or build(self, ids, v, exact, tables, probes))
+    got = neighbours.nearest(df, F.col("vec_id") % 20 == 0).collect()
+    assert made == [(False, neighbours.PROBES), (False, neighbours.PROBES * neighbours.FURTHER)]
+    best = {q: set([i for i in np.argsort(-(x @ x[q])).tolist() if i != q][:20]) for q in range(0, 1200, 20)}
+    assert sum(r["vec_id"] in best[r["query_id"]] for r in got) >= 0.9 * 60 * 20
+
+
 def test_hadamard_is_the_matrix_of_both_ways():
     x = RNG.normal(size=(5, 64))
     assert np.allclose(neighbours.hadamard(x), neighbours._butterflies(x)) and np.allclose(neighbours.hadamard(neighbours.hadamard(x)), 64 * x)
