@@ -39,6 +39,16 @@ def _vbyte_encode(x: np.ndarray, backend: str) -> Block:
     return Block(len(x), data=raw.tobytes(), data_bits=8 * len(raw))
 
 
+def _vbyte_together(x: np.ndarray, counts: np.ndarray) -> list[Block]:
+    sizes = ceil_div(bitlen(x), 7)
+    raw = _spread(x, sizes, 7)
+    if len(x):
+        raw[np.cumsum(sizes) - 1] |= 0x80
+    ends = np.concatenate([[0], np.cumsum(sizes)])[np.cumsum(counts)]
+    data, starts = raw.tobytes(), np.concatenate([[0], ends[:-1]])
+    return [Block(n, data=data[a:z], data_bits=8 * (z - a)) for n, a, z in zip(counts.tolist(), starts.tolist(), ends.tolist(), strict=True)]
+
+
 def _vbyte_decode(block: Block, backend: str) -> np.ndarray:
     raw = np.frombuffer(block.data, np.uint8)
     if backend == "scalar":
@@ -171,7 +181,7 @@ def _g8_many(whole: bool):
     return run
 
 
-register(Codec("vbyte", _vbyte_encode, _vbyte_decode, backends=("lanes", "scalar"), many=_vbyte_many))
+register(Codec("vbyte", _vbyte_encode, _vbyte_decode, together=_vbyte_together, backends=("lanes", "scalar"), many=_vbyte_many))
 register(Codec("gvb", _gvb_encode, _gvb_decode, backends=("lanes", "scalar"), many=_gvb_many))
 register(Codec("g8iu", _g8iu_encode, _g8_decode(True), backends=("lanes", "scalar"), many=_g8_many(True)))
 register(Codec("g8cu", _g8cu_encode, _g8_decode(False), backends=("lanes", "scalar"), many=_g8_many(False)))

@@ -49,7 +49,11 @@ def encode_blocks(df: DataFrame, name: str, col: str = "values", backend: str =
         for batch in batches:
             lengths = batch.column(at["df"]).to_pylist() if brief else None
             used = [brief if brief and lengths[i] < SHORT_LIST else main for i in range(batch.num_rows)]
-            made = [c.encode(v, backend if backend in c.backends else "lanes") for c, v in zip(used, _lists(batch.column(at[col])), strict=True)]
+            lists, made = list(_lists(batch.column(at[col]))), [None] * batch.num_rows
+            for c in {id(c): c for c in used}.values():
+                mine = [i for i, u in enumerate(used) if u is c]
+                for i, b in zip(mine, c.encode_many([lists[i] for i in mine], backend if backend in c.backends else "lanes"), strict=True):
+                    made[i] = b
             columns = [pa.array([c.name for c in used], pa.string())] + [pa.array([getattr(b, n) for b in made], _KINDS[k]) for n, k in (f.split() for f in BLOCK_FIELDS.split(", ")) if n != "codec"]
             yield pa.RecordBatch.from_arrays([batch.column(at[n]) for n in keep] + columns, keep + extra)
 

@@ -27,8 +27,22 @@ def postings(docs: DataFrame) -> DataFrame:
     return tokens(docs).groupBy("term", "doc_id").agg(F.count("*").alias("tf"))
 
 
+def sharded_postings(docs: DataFrame, shard_docs: int = SHARD_DOCS) -> DataFrame:
+    """(term, shard, doc_id, tf) of ``postings``, dealt once by (term, shard): windows, blocks and counts of a shard's list need no further exchange.
+
+    A text's tokens are sorted and counted where the text is read; the sum is for an id with several texts.
+    """
+    words = docs.select("doc_id", F.sort_array(F.split(F.lower("text"), TOKEN_BREAK)).alias("t"))
+    starts = F.filter(F.sequence(F.lit(0), F.size("t") - 1), lambda i: (i == 0) | (F.get("t", i) != F.get("t", i - 1)))
+    words = words.select("doc_id", "t", starts.alias("starts"))
+    runs = F.transform("starts", lambda at, i: F.struct(F.get("t", at).alias("term"), (F.coalesce(F.get("starts", i + 1), F.size("t")) - at).cast("long").alias("tf")))
+    rows = words.select("doc_id", F.explode(runs).alias("x")).select("x.term", F.floor(F.col("doc_id") / shard_docs).alias("shard"), "doc_id", "x.tf").where("term != '' AND shard IS NOT NULL")
+    return rows.repartition("term", "shard").groupBy("term", "shard", "doc_id").agg(F.sum("tf").alias("tf"))
+
+
 def doc_lengths(docs: DataFrame) -> DataFrame:
-    return tokens(docs).groupBy("doc_id").agg(F.count("*").alias("len"))
+    words = F.filter(F.split(F.lower("text"), TOKEN_BREAK), lambda t: t != "")
+    return docs.select("doc_id", F.size(words).cast("long").alias("n")).groupBy("doc_id").agg(F.sum("n").alias("len")).where("len > 0")
 
 
 def dictionary(found: DataFrame) -> DataFrame:
@@ -52,7 +66,7 @@ def _within():
 
 def gaps(found: DataFrame, shard_docs: int = SHARD_DOCS) -> DataFrame:
     """(term, shard, pos, doc_id, gap, tf): gaps start from a virtual predecessor before the shard's first document."""
-    sharded = found.withColumn("shard", F.floor(F.col("doc_id") / shard_docs))
+    sharded = found if "shard" in found.columns else found.withColumn("shard", F.floor(F.col("doc_id") / shard_docs))
     before = F.lag("doc_id").over(_within())
     return sharded.select(
         "term", "shard", (F.row_number().over(_within()) - 1).cast("long").alias("pos"), "doc_id", (F.col("doc_id") - F.coalesce(before, F.col("shard") * shard_docs - 1)).alias("gap"), "tf"

@@ -8,6 +8,7 @@ from time import perf_counter_ns
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from quadpost.codecs.base import Block
@@ -18,18 +19,27 @@ from quadpost.operators.blocks import decoded, encode_blocks, sizes
 SKIP_BITS = 128
 #: The gap codec's short-list fallback.
 SHORT_CODEC = "vbyte"
+GAP_BYTES = ("g_codec", "g_n", "g_ctrl", "g_data", "g_exc")
+TF_BYTES = ("t_codec", "t_ctrl", "t_data", "t_exc")
 
 
 def index_blocks(found: DataFrame, size: int = corpus.BLOCK, shard_docs: int = corpus.SHARD_DOCS) -> DataFrame:
     """Blocks (term, shard, block, df, n, first_doc, last_doc, max_tf, gaps, tfs) of postings, not yet encoded.
 
     A block's first gap is kept as 1, counted from first_doc - 1, so every block decodes on
-    its own. The list lengths come from the postings, before windows and blocks.
+    its own. The list lengths come from the postings, before windows and blocks; of
+    ``sharded_postings`` they meet the blocks by (term, shard), so that only counts move.
     """
-    df = found.groupBy("term").agg(F.count("*").alias("df"))
+    dealt = "shard" in found.columns
+    if dealt:
+        # tf is read so that both sides have the same exchange, which is then made once
+        own = found.groupBy("term", "shard").agg(F.count(F.when(F.col("tf") > 0, 1)).alias("own"))
+        df = own.select("term", "shard", F.sum("own").over(W.partitionBy("term")).alias("df"))
+    else:
+        df = found.groupBy("term").agg(F.count("*").alias("df"))
     local = F.concat(F.array(F.lit(1).cast("long")), F.slice("gaps", F.lit(2), F.size("gaps")))
     rows = corpus.blocks(corpus.gaps(found, shard_docs), size)
-    return rows.join(df, "term").select("term", "shard", "block", "df", "n", "first_doc", "last_doc", F.array_max("tfs").alias("max_tf"), local.alias("gaps"), "tfs")
+    return rows.join(df, ["term", "shard"] if dealt else ["term"]).select("term", "shard", "block", "df", "n", "first_doc", "last_doc", F.array_max("tfs").alias("max_tf"), local.alias("gaps"), "tfs")
 
 
 def build_index(found: DataFrame, name: str = "quad_selector", size: int = corpus.BLOCK, shard_docs: int = corpus.SHARD_DOCS) -> DataFrame:
@@ -43,22 +53,26 @@ def write_index(index: DataFrame, path: str, files: int) -> None:
     index.repartitionByRange(files, "term", "first_doc").sortWithinPartitions("term", "first_doc").write.mode("overwrite").parquet(path)
 
 
+def unpacked(batch: pa.RecordBatch | pa.Table, tfs: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray | None]:
+    """(postings of each row, documents, frequencies) of index rows, one row after another."""
+    c = {n: batch[n].to_pylist() for n in batch.schema.names if n[:2] in ("g_", "t_")}
+    counts = np.array(c["g_n"], np.int64)
+    part = lambda p: decoded(c[f"{p}_codec"], [Block(*b) for b in zip(c["g_n"], c[f"{p}_ctrl"], c[f"{p}_data"], c[f"{p}_exc"], strict=True)]) if len(counts) else np.zeros(0, np.int64)
+    run_sum = np.cumsum(part("g"))
+    before = np.concatenate([[0], run_sum])[np.cumsum(counts) - counts]  # gaps are summed up inside each block
+    docs = run_sum + np.repeat(batch["first_doc"].to_numpy() - 1 - before, counts)
+    return counts, docs, part("t") if tfs else None
+
+
 def decode_postings(index: DataFrame, tfs: bool = True) -> DataFrame:
     """(term, doc_id, tf) of index rows; without ``tfs`` their bytes are not read and tf is absent."""
-    names = ["term", "first_doc", "g_codec", "g_n", "g_ctrl", "g_data", "g_exc"] + (["t_codec", "t_ctrl", "t_data", "t_exc"] if tfs else [])
-    kept = index.select(*names)
+    kept = index.select("term", "first_doc", *(GAP_BYTES + TF_BYTES if tfs else GAP_BYTES))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            c = {n: batch.column(i).to_pylist() for i, n in enumerate(names) if n not in ("term", "first_doc")}
-            counts = np.array(c["g_n"], np.int64)
-            starts, rows = np.cumsum(counts) - counts, np.repeat(np.arange(len(counts)), counts)
-            part = lambda p: decoded(c[f"{p}_codec"], [Block(*b) for b in zip(c["g_n"], c[f"{p}_ctrl"], c[f"{p}_data"], c[f"{p}_exc"], strict=True)]) if len(counts) else np.zeros(0, np.int64)
-            run_sum = np.cumsum(part("g"))
-            before = np.concatenate([[0], run_sum])[starts]  # gaps are summed up inside each block
-            docs = run_sum + np.repeat(batch.column(1).to_numpy() - 1 - before, counts)
-            columns = [batch.column(0).take(pa.array(rows)), pa.array(docs, pa.int64())]
-            yield pa.RecordBatch.from_arrays(columns + ([pa.array(part("t"), pa.int64())] if tfs else []), ["term", "doc_id"] + (["tf"] if tfs else []))
+            counts, docs, found = unpacked(batch, tfs)
+            columns = [batch["term"].take(pa.array(np.repeat(np.arange(len(counts)), counts))), pa.array(docs, pa.int64())]
+            yield pa.RecordBatch.from_arrays(columns + ([pa.array(found, pa.int64())] if tfs else []), ["term", "doc_id"] + (["tf"] if tfs else []))
 
     return kept.mapInArrow(run, "term string, doc_id bigint" + (", tf bigint" if tfs else ""))
 

@@ -2,14 +2,18 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable, Iterator
+
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from quadpost.operators.corpus import TOKEN_BREAK
-from quadpost.operators.index import decode_postings
+from quadpost.operators.index import GAP_BYTES, TF_BYTES, decode_postings, unpacked
 from quadpost.sources.shared import written
 
 K = 10
@@ -20,6 +24,10 @@ STOP_SHARE = 0.5
 RANGE_DOCS = 4096
 #: Documents of one range of OR: its bounds decide what is decoded.
 OR_RANGE_DOCS = 512
+#: Ranges that a task of OR holds at once.
+CHUNK_RANGES = 16
+#: Ranges that give a query of OR its first threshold.
+FIRST_RANGES = 4
 #: Scores are compared after rounding to six digits, so what is this close below a threshold may still tie.
 _SLACK = 2e-6
 
@@ -131,20 +139,41 @@ class Searcher:
         hits = decode_postings(self.blocks_in(asked, ranges, bounds)).withColumn("range", F.floor(F.col("doc_id") / OR_RANGE_DOCS))
         return self._scored(asked.join(hits, "term").join(ranges, ["query_id", "range"], "left_semi"))
 
+    def _in_chunks(self, asked: DataFrame, live: DataFrame, bounds: DataFrame, evaluate: Callable, k: int) -> DataFrame:
+        """(query_id, doc_id, score) that ``evaluate`` finds in the live ranges (query_id, range, theta), a chunk of ranges at a time.
+
+        Only compressed blocks, live ranges and lengths move to a chunk's task: a list is decoded
+        there once for all queries, and rows of queries times postings are never made.
+        """
+        chunk = lambda c, width: F.floor(F.col(c) / width).alias("chunk")
+        spots = asked.select("query_id", "term").join(live, "query_id").select("term", "range").distinct()
+        where = bounds.join(spots, ["term", "range"], "left_semi").select("term", "shard", "block", chunk("range", CHUNK_RANGES)).distinct()
+        blocks = self._blocks_of(asked).join(where, ["term", "shard", "block"]).select("chunk", "term", "df", "first_doc", "last_doc", *GAP_BYTES, *TF_BYTES)
+        most = bounds.groupBy("term").agg(F.max("bound").alias("bound"))
+        lists = asked.join(most, "term").groupBy("query_id").agg(F.sort_array(F.collect_list(F.struct("bound", "term"))).alias("l"))
+        mine = live.groupBy("query_id", chunk("range", CHUNK_RANGES)).agg(F.collect_list("range").alias("ranges"), F.max("theta").alias("theta"))
+        rows = mine.join(lists, "query_id").select("chunk", "query_id", "theta", F.col("l.term").alias("terms"), F.col("l.bound").alias("bounds"), "ranges", F.lit(None).cast("array<bigint>").alias("lens"))
+        held = self.lengths.groupBy(chunk("doc_id", CHUNK_RANGES * OR_RANGE_DOCS)).agg(F.collect_list(F.struct("doc_id", "len")).alias("h"))
+        none = lambda kind: F.lit(None).cast(kind)
+        sizes = held.select("chunk", none("bigint"), none("double"), none("array<string>"), none("array<double>"), F.col("h.doc_id"), F.col("h.len"))
+        both = blocks.groupBy("chunk").cogroup(rows.union(sizes).groupBy("chunk"))
+        return both.applyInArrow(_in_chunk(evaluate, self.n_docs, self.mean_length, k), "query_id bigint, doc_id bigint, score double")
+
     def prune(self, asked: DataFrame, k: int = K) -> tuple[DataFrame, DataFrame, DataFrame]:
         """What an OR query must look at: block bounds, bounds (query_id, term, range, bound), and its live ranges (query_id, range, theta).
 
-        A range's bound is the sum of its terms' bounds. The range of the largest bound is
-        scored first; its k-th best score is the threshold theta, and ranges below it are dead.
-        A block spans ranges where it has no posting, so that range may hold fewer than k
+        A range's bound is the sum of its terms' bounds. The ranges of the largest bounds are
+        scored first; their k-th best score is the threshold theta, and ranges below it are dead.
+        A block spans ranges where it has no posting, so those ranges may hold fewer than k
         documents or none: then theta is 0 and every range is live.
         """
         bounds = written(self.block_bounds(asked), "block-bounds")
         each = asked.select("query_id", "term").join(bounds.groupBy("term", "range").agg(F.max("bound").alias("bound")), "term")
         total = written(each.groupBy("query_id", "range").agg(F.sum("bound").alias("most")), "range-bounds")
-        # of equal bounds always the same range: the plan below reads ``best`` twice
-        best = total.groupBy("query_id").agg(F.max(F.struct("most", "range")).alias("b")).select("query_id", "b.range")
-        scores = top(self._parts_in(asked, best, bounds).groupBy("query_id", "doc_id").agg(F.sum("part").alias("score")), k)
+        # of equal bounds always the same ranges: the plan below reads ``best`` twice
+        order = W.partitionBy("query_id").orderBy(F.desc("most"), F.desc("range"))
+        best = total.withColumn("at", F.row_number().over(order)).where(F.col("at") <= FIRST_RANGES).select("query_id", "range", F.lit(0.0).alias("theta"))
+        scores = top(self._in_chunks(asked, written(best, "first-ranges"), bounds, _every, k), k)
         theta = scores.groupBy("query_id").agg(F.when(F.count("*") == k, F.min("score")).otherwise(0.0).alias("theta"))
         known = total.join(theta, "query_id", "left").withColumn("theta", F.coalesce("theta", F.lit(0.0)))
         live = known.where(F.col("most") >= F.col("theta") - _SLACK).select("query_id", "range", "theta")
@@ -152,18 +181,8 @@ class Searcher:
 
     def or_maxscore(self, asked: DataFrame, k: int = K) -> DataFrame:
         """Candidates come from the essential lists' live ranges only; the others are decoded where a candidate can still win."""
-        bounds, each, live = self.prune(asked, k)
-        rising = W.partitionBy("query_id").orderBy("bound", "term").rowsBetween(W.unboundedPreceding, W.currentRow)
-        split = each.groupBy("query_id", "term").agg(F.max("bound").alias("bound")).withColumn("below", F.sum("bound").over(rising))
-        split = split.join(live.select("query_id", "theta").distinct(), "query_id").withColumn("essential", F.col("below") >= F.col("theta") - _SLACK)
-        split = written(split, "lists")
-        rest = split.groupBy("query_id").agg(F.coalesce(F.sum(F.when(~F.col("essential"), F.col("bound"))), F.lit(0.0)).alias("rest"), F.max("theta").alias("theta"))
-        lists = lambda which: asked.join(split.where(which).select("query_id", "term"), ["query_id", "term"], "left_semi")
-        first = self._parts_in(lists("essential"), live.select("query_id", "range"), bounds).groupBy("query_id", "doc_id").agg(F.sum("part").alias("part"))
-        alive = written(first.join(rest, "query_id").where(F.col("part") + F.col("rest") >= F.col("theta") - _SLACK).select("query_id", "doc_id", "part"), "candidates")
-        ranges = alive.select("query_id", F.floor(F.col("doc_id") / OR_RANGE_DOCS).alias("range")).distinct()
-        others = self._parts_in(lists("not essential"), ranges, bounds).join(alive, ["query_id", "doc_id"], "left_semi").select("query_id", "doc_id", "part")
-        return top(alive.unionByName(others).groupBy("query_id", "doc_id").agg(F.sum("part").alias("score")), k)
+        bounds, _, live = self.prune(asked, k)
+        return top(self._in_chunks(asked, live, bounds, _maxscore, k), k)
 
     def or_wand(self, asked: DataFrame, k: int = K) -> DataFrame:
         """Document at a time inside every live (query, document range): the pivot is the first list at which the bounds reach the threshold."""
@@ -174,6 +193,124 @@ class Searcher:
         return top(best, k)
 
 
+class _Chunk:
+    """The asked lists of a chunk of ranges: blocks are decoded when they are first needed."""
+
+    def __init__(self, blocks: pa.Table, first: int, docs: np.ndarray, lens: np.ndarray, n_docs: int, mean_length: float):
+        self.blocks, self.first, self.n_docs = blocks.combine_chunks().sort_by([("term", "ascending"), ("first_doc", "ascending")]), first, n_docs
+        self.size = CHUNK_RANGES * OR_RANGE_DOCS
+        self.norm = np.full(self.size, np.nan)
+        self.norm[docs - first] = K1 * (1 - B + B * lens / mean_length)
+        self.rows: dict[str, list[int]] = {}
+        for i, term in enumerate(self.blocks["term"].to_pylist()):
+            self.rows.setdefault(term, []).append(i)
+        self.ends = (self.blocks["last_doc"].to_numpy() - first) // OR_RANGE_DOCS
+        self.starts = (self.blocks["first_doc"].to_numpy() - first) // OR_RANGE_DOCS
+        self.lists: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+
+    def of(self, term: str, ranges: np.ndarray) -> list[int]:
+        """The blocks of a term that span one of ``ranges``."""
+        before = np.concatenate([[0], np.cumsum(ranges)])
+        return [i for i in self.rows.get(term, ()) if before[min(self.ends[i] + 1, CHUNK_RANGES)] > before[max(self.starts[i], 0)]]
+
+    def decode(self, rows: set[int]) -> None:
+        """The parts of blocks that are not decoded yet; what lies beyond the chunk or has no length is left out."""
+        fresh = sorted(i for i in rows if i not in self.lists)
+        if not fresh:
+            return
+        taken = self.blocks.take(pa.array(fresh))
+        counts, docs, tfs = unpacked(taken)
+        df = taken["df"].to_numpy().astype(float)
+        weight = np.repeat(np.log(1 + (self.n_docs - df + 0.5) / (df + 0.5)), counts)
+        at = docs - self.first
+        norm = np.where((at >= 0) & (at < self.size), self.norm[np.clip(at, 0, self.size - 1)], np.nan)
+        parts = weight * tfs * (K1 + 1) / (tfs + norm)
+        ends = np.cumsum(counts)
+        for i, a, z in zip(fresh, ends - counts, ends, strict=True):
+            inside = ~np.isnan(parts[a:z])
+            self.lists[i] = at[a:z][inside], parts[a:z][inside]
+
+    def list(self, term: str, ranges: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(places in the chunk, parts) of a decoded term inside ``ranges``."""
+        held = [self.lists[i] for i in self.of(term, ranges)]
+        if not held:
+            return np.zeros(0, np.int64), np.zeros(0)
+        at, parts = (np.concatenate(x) for x in zip(*held, strict=True)) if len(held) > 1 else held[0]
+        if ranges.all():
+            return at, parts
+        inside = ranges[at // OR_RANGE_DOCS]
+        return at[inside], parts[inside]
+
+
+def _kth(scores: np.ndarray, k: int) -> float:
+    return float(np.partition(scores, len(scores) - k)[len(scores) - k]) if len(scores) >= k else 0.0
+
+
+def _best(at: np.ndarray, scores: np.ndarray, k: int, theta: float = 0.0) -> tuple[np.ndarray, np.ndarray]:
+    """What reaches ``theta`` and the k-th best score, ties of rounded scores with it."""
+    kept = scores >= max(theta, _kth(scores, k)) - _SLACK
+    return at[kept], scores[kept]
+
+
+def _every(held: _Chunk, asked: list[dict], k: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    held.decode({i for q in asked for t in q["terms"] for i in held.of(t, q["ranges"])})
+    for q in asked:
+        total = np.zeros(held.size)
+        for t in q["terms"]:
+            at, parts = held.list(t, q["ranges"])
+            total[at] += parts
+        found = np.flatnonzero(total)
+        yield _best(found, total[found], k)
+
+
+def _maxscore(held: _Chunk, asked: list[dict], k: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    split = [np.cumsum(q["bounds"]) >= q["theta"] - _SLACK for q in asked]
+    held.decode({i for q, s in zip(asked, split, strict=True) for t, e in zip(q["terms"], s, strict=True) if e for i in held.of(t, q["ranges"])})
+    alive, wanted = [], set()
+    for q, s in zip(asked, split, strict=True):
+        total = np.zeros(held.size)
+        for t in (t for t, e in zip(q["terms"], s, strict=True) if e):
+            at, parts = held.list(t, q["ranges"])
+            total[at] += parts
+        found = np.flatnonzero(total)
+        first, rest = total[found], float(np.sum(np.array(q["bounds"])[~s]))
+        can = first + rest >= max(q["theta"], _kth(first, k)) - _SLACK
+        found, first = found[can], first[can]
+        spots = np.zeros(CHUNK_RANGES, bool)
+        spots[found // OR_RANGE_DOCS] = True
+        alive.append((found, first, spots))
+        wanted |= {i for t, e in zip(q["terms"], s, strict=True) if not e for i in held.of(t, spots)}
+    held.decode(wanted)
+    for q, s, (found, first, spots) in zip(asked, split, alive, strict=True):
+        total = np.zeros(held.size)
+        total[found] = first
+        for t in (t for t, e in zip(q["terms"], s, strict=True) if not e):
+            at, parts = held.list(t, spots)
+            total[at] += parts
+        yield _best(found, total[found], k, q["theta"])
+
+
+def _in_chunk(evaluate: Callable, n_docs: int, mean_length: float, k: int) -> Callable:
+    schema = pa.schema([("query_id", pa.int64()), ("doc_id", pa.int64()), ("score", pa.float64())])
+
+    def run(key: tuple, blocks: pa.Table, rows: pa.Table) -> pa.Table:
+        first = key[0].as_py() * CHUNK_RANGES * OR_RANGE_DOCS
+        asked = rows.filter(pc.is_valid(rows["query_id"])).drop_columns(["lens"]).to_pylist()
+        sizes = rows.filter(pc.is_null(rows["query_id"]))
+        if not asked or not blocks.num_rows or not sizes.num_rows:
+            return schema.empty_table()
+        for q in asked:
+            spots = np.zeros(CHUNK_RANGES, bool)
+            spots[np.array(q["ranges"]) - first // OR_RANGE_DOCS] = True
+            q["ranges"] = spots
+        held = _Chunk(blocks, first, pc.list_flatten(sizes["ranges"]).to_numpy(), pc.list_flatten(sizes["lens"]).to_numpy(), n_docs, mean_length)
+        found = list(evaluate(held, asked, k))
+        ids = np.repeat(np.array([q["query_id"] for q in asked], np.int64), [len(at) for at, _ in found])
+        return pa.table([pa.array(ids), pa.array(np.concatenate([at for at, _ in found]).astype(np.int64) + first), pa.array(np.concatenate([s for _, s in found]))], schema=schema)
+
+    return run
+
+
 def wand(lists: list[tuple[np.ndarray, np.ndarray]], k: int, theta: float) -> tuple[list[tuple[float, int]], int]:
     """(score, -doc) of lists (ascending docs, parts) that reach ``theta`` and the k-th best score, and how many documents were scored.
 

@@ -25,11 +25,13 @@ def query(name: str, oracle: str | None = None):
 
 
 def prepared(spark, d, codec: str = "quad_selector", collection: str = "documents"):
-    """(searcher, asked terms) over a collection. The index and the lengths are tables, as a search engine has them."""
-    found = written(corpus.postings(tables.collection(spark, d, collection)), "postings")
-    lengths = written(found.groupBy("doc_id").agg(F.sum("tf").alias("len")), "lengths")
-    searcher = search.Searcher(written(build_index(found, codec), "index"), lengths)
-    return searcher, search.query_terms(tables.table(spark, d, "benchmark"), corpus.dictionary(found), searcher.n_docs)
+    """(searcher, asked terms) over a collection. The index, the lengths and the asked terms are tables, as a search engine has them."""
+    docs = tables.collection(spark, d, collection)
+    lengths = written(corpus.doc_lengths(docs), "lengths")
+    index = written(build_index(corpus.sharded_postings(docs), codec), "index")
+    searcher = search.Searcher(index, lengths)
+    asked = search.query_terms(tables.table(spark, d, "benchmark"), index.select("term", "df").distinct(), searcher.n_docs)
+    return searcher, written(asked, "asked")
 
 
 @query("q_query_terms", sql.search() + " SELECT query_id, term, df FROM asked")

@@ -10,6 +10,7 @@ from quadpost.operators.choose import choose_codec
 from quadpost.operators.index import build_index, decode_postings, index_bits, merge_segments, write_index
 from quadpost.plans import registry
 from quadpost.sources import tables
+from quadpost.sources.shared import written
 from quadpost.streaming import ingest
 from tests.conftest import SMALL
 
@@ -146,6 +147,39 @@ def test_pruning_keeps_queries_whose_best_range_is_empty(spark, mode):
     assert len(want) == 12 and sorted(map(tuple, getattr(searcher, mode)(asked).collect())) == want
 
 
+@pytest.mark.parametrize("mode", ["or_maxscore"])
+def test_or_never_makes_rows_of_queries_times_postings(spark, mode):
+    """Compressed blocks and lengths go to a range's task; decoded postings are joined with nothing."""
+    found = spark.createDataFrame([(t, d, 1 + d % 5) for t in "ab" for d in range(20_000) if t == "a" or d % 3], "term string, doc_id bigint, tf bigint").cache()
+    searcher = search.Searcher(written(build_index(found, "quad_bp128"), "index"), written(found.groupBy("doc_id").agg(F.sum("tf").alias("len")), "lengths"))
+    asked = corpus.dictionary(found).select(F.explode(F.array(*[F.lit(q).cast("long") for q in range(5)])).alias("query_id"), "term", "df").where("query_id % 2 = 0 OR term = 'b'")
+    asked = written(asked, "asked")
+    best = getattr(searcher, mode)(asked)
+    plan = best._jdf.queryExecution().optimizedPlan().toString()
+    assert "FlatMapCoGroupsInArrow" in plan and "MapInArrow" not in plan and "FlatMapGroupsInPandas" not in plan
+    assert sorted(map(tuple, best.collect())) == sorted(map(tuple, searcher.or_topk(asked).collect()))
+
+
+def test_sharded_postings_are_dealt_once_and_give_the_same_index(spark):
+    docs = spark.createDataFrame([(1, "b a b"), (1, "a c"), (7, ""), (8, None), (205, "A a, d"), (301, "c")], "doc_id bigint, text string")
+    rows = corpus.sharded_postings(docs, 100)
+    assert sorted(map(tuple, rows.select("term", "doc_id", "tf").collect())) == sorted(map(tuple, corpus.postings(docs).collect()))
+    ours, want = build_index(rows, shard_docs=100), build_index(corpus.postings(docs), shard_docs=100)
+    assert sorted(map(str, ours.collect())) == sorted(map(str, want.select(*ours.columns).collect()))
+    assert sorted(map(tuple, corpus.doc_lengths(docs).collect())) == sorted(map(tuple, corpus.postings(docs).groupBy("doc_id").agg(F.sum("tf")).collect()))
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        plan = build_index(rows, shard_docs=100)._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.set("spark.sql.adaptive.enabled", "true")
+    assert plan.count("REPARTITION_BY_COL") == 2 and plan.count("ReusedExchange") == 1  # the reused one names what it reads
+
+
+def test_short_lists_are_encoded_together_as_alone():
+    lists = [np.array(v, np.int64) for v in ([1], [], [300, 2**32 - 1, 0], list(range(200)), [])]
+    assert codec("vbyte").encode_many(lists) == [codec("vbyte").encode(v) for v in lists]
+
+
 def test_wand_leaves_ties_of_rounded_scores_to_the_ranking():
     found, _ = search.wand([(np.arange(12), np.array([1.0] + [1.0000003] * 10 + [0.5]))], 10, 0.0)
     assert sorted(-d for _, d in found) == list(range(11))
