@@ -5,7 +5,6 @@ from __future__ import annotations
 from collections.abc import Callable, Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
@@ -28,6 +27,8 @@ OR_RANGE_DOCS = 512
 CHUNK_RANGES = 16
 #: Ranges that give a query of OR its first threshold.
 FIRST_RANGES = 4
+#: Documents among which WAND looks for pivots together.
+STRETCH_DOCS = 1024
 #: Scores are compared after rounding to six digits, so what is this close below a threshold may still tie.
 _SLACK = 2e-6
 
@@ -135,10 +136,6 @@ class Searcher:
         spots = asked.select("query_id", "term").join(ranges, "query_id").select("term", "range").distinct()
         return self.index.join(bounds.join(spots, ["term", "range"]).select("term", "shard", "block").distinct(), ["term", "shard", "block"], "left_semi")
 
-    def _parts_in(self, asked: DataFrame, ranges: DataFrame, bounds: DataFrame) -> DataFrame:
-        hits = decode_postings(self.blocks_in(asked, ranges, bounds)).withColumn("range", F.floor(F.col("doc_id") / OR_RANGE_DOCS))
-        return self._scored(asked.join(hits, "term").join(ranges, ["query_id", "range"], "left_semi"))
-
     def _in_chunks(self, asked: DataFrame, live: DataFrame, bounds: DataFrame, evaluate: Callable, k: int) -> DataFrame:
         """(query_id, doc_id, score) that ``evaluate`` finds in the live ranges (query_id, range, theta), a chunk of ranges at a time.
 
@@ -185,12 +182,9 @@ class Searcher:
         return top(self._in_chunks(asked, live, bounds, _maxscore, k), k)
 
     def or_wand(self, asked: DataFrame, k: int = K) -> DataFrame:
-        """Document at a time inside every live (query, document range): the pivot is the first list at which the bounds reach the threshold."""
+        """Document at a time inside every live range: the pivot is the first list at which the bounds reach the threshold."""
         bounds, _, live = self.prune(asked, k)
-        parts = self._parts_in(asked, live.select("query_id", "range"), bounds).withColumn("range", F.floor(F.col("doc_id") / OR_RANGE_DOCS))
-        theta = live.select("query_id", "theta").distinct()
-        best = parts.join(theta, "query_id").groupBy("query_id", "range").applyInPandas(_wand(k), "query_id bigint, doc_id bigint, score double")
-        return top(best, k)
+        return top(self._in_chunks(asked, live, bounds, _wand, k), k)
 
 
 class _Chunk:
@@ -316,48 +310,53 @@ def wand(lists: list[tuple[np.ndarray, np.ndarray]], k: int, theta: float) -> tu
 
     More than k come back where scores below the k-th best may still equal it when rounded: the ranking decides them.
     """
-    import heapq
+    docs, scores, scored = wand_arrays(lists, k, theta)
+    return list(zip(scores.tolist(), (-docs).tolist(), strict=True)), scored
+
 
+def wand_arrays(lists: list[tuple[np.ndarray, np.ndarray]], k: int, theta: float) -> tuple[np.ndarray, np.ndarray, int]:
+    """(docs, scores, scored) of ``wand``. The pivots of a stretch of documents are found together: those whose lists' bounds reach the threshold as it is at its start."""
+    lists = [x for x in lists if len(x[0])]
     bounds = [float(p.max()) for _, p in lists]
     at = [0] * len(lists)
-    heap: list[float] = []
-    kept: list[tuple[float, int]] = []
-    scored = 0
+    kept: list[tuple[np.ndarray, np.ndarray]] = []
+    heap, scored = np.zeros(0), 0
     while True:
-        live = sorted((int(d[a]), i) for i, ((d, _), a) in enumerate(zip(lists, at, strict=True)) if a < len(d))
-        floor = max(theta, heap[0] if len(heap) == k else 0.0) - _SLACK
-        reach, pivot = 0.0, None
-        for doc, i in live:
-            reach += bounds[i]
-            if reach >= floor:
-                pivot = doc
-                break
-        if pivot is None:
-            return [x for x in kept if x[0] >= floor], scored
-        if live[0][0] == pivot:
-            total = 0.0
-            for doc, i in live:
-                if doc == pivot:
-                    total += float(lists[i][1][at[i]])
-                    at[i] += 1
-            scored += 1
-            if total >= floor:
-                kept.append((total, -pivot))
-                heapq.heappush(heap, total)
-                if len(heap) > k:
-                    heapq.heappop(heap)
-        else:
-            for doc, i in live:
-                if doc >= pivot:
-                    break
-                at[i] += int(np.searchsorted(lists[i][0][at[i] :], pivot))
-
-
-def _wand(k: int):
-    def run(group: pd.DataFrame) -> pd.DataFrame:
-        ordered = group.sort_values(["term", "doc_id"])
-        lists = [(g["doc_id"].to_numpy(), g["part"].to_numpy()) for _, g in ordered.groupby("term", sort=True)]
-        found, _ = wand(lists, k, float(group["theta"].iloc[0]))
-        return pd.DataFrame({"query_id": group["query_id"].iloc[0], "doc_id": [-d for _, d in found], "score": [s for s, _ in found]}).astype({"doc_id": "int64", "query_id": "int64", "score": "float64"})
-
-    return run
+        live = [i for i, a in enumerate(at) if a < len(lists[i][0])]
+        floor = max(theta, float(heap.min()) if len(heap) == k else 0.0) - _SLACK
+        if not live or sum(bounds[i] for i in live) < floor:
+            break
+        begin = min(int(lists[i][0][at[i]]) for i in live)
+        reach, pieces = np.zeros(STRETCH_DOCS), []
+        for i in live:
+            d, p = lists[i]
+            end = at[i] + int(np.searchsorted(d[at[i] : at[i] + STRETCH_DOCS], begin + STRETCH_DOCS))
+            spots = d[at[i] : end] - begin
+            reach[spots] += bounds[i]
+            pieces.append((spots, p[at[i] : end]))
+            at[i] = end
+        pivots = np.flatnonzero((reach > 0) & (reach >= floor))
+        if not len(pivots):
+            continue
+        total = np.zeros(STRETCH_DOCS)
+        for spots, parts in pieces:
+            total[spots] += parts
+        scored += len(pivots)
+        scores = total[pivots]
+        good = scores >= floor
+        if good.any():
+            kept.append((pivots[good] + begin, scores[good]))
+            heap = np.concatenate([heap, scores[good]])
+            if len(heap) > k:
+                heap = np.partition(heap, len(heap) - k)[-k:]
+    floor = max(theta, float(heap.min()) if len(heap) == k else 0.0) - _SLACK
+    found, scores = (np.concatenate(x) for x in zip(*kept, strict=True)) if kept else (np.zeros(0, np.int64), np.zeros(0))
+    good = scores >= floor
+    return found[good], scores[good], scored
+
+
+def _wand(held: _Chunk, asked: list[dict], k: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    held.decode({i for q in asked for t in q["terms"] for i in held.of(t, q["ranges"])})
+    for q in asked:
+        docs, scores, _ = wand_arrays([held.list(t, q["ranges"]) for t in q["terms"]], k, q["theta"])
+        yield docs, scores

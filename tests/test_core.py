@@ -147,7 +147,7 @@ def test_pruning_keeps_queries_whose_best_range_is_empty(spark, mode):
     assert len(want) == 12 and sorted(map(tuple, getattr(searcher, mode)(asked).collect())) == want
 
 
-@pytest.mark.parametrize("mode", ["or_maxscore"])
+@pytest.mark.parametrize("mode", ["or_maxscore", "or_wand"])
 def test_or_never_makes_rows_of_queries_times_postings(spark, mode):
     """Compressed blocks and lengths go to a range's task; decoded postings are joined with nothing."""
     found = spark.createDataFrame([(t, d, 1 + d % 5) for t in "ab" for d in range(20_000) if t == "a" or d % 3], "term string, doc_id bigint, tf bigint").cache()
